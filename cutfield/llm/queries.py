@@ -5,10 +5,14 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import exact_dedup, line_dedup, quality_rules
+from . import exact_dedup, line_dedup, quality_rules, substring_dedup
 from .common import table
 
 
+def op1_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substring_dedup.substring_dedup(table(spark, sf_dir, "documents"), with_text=False).drop("text")
+
+
 def op3_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     rules = quality_rules.learn_rules(docs, table(spark, sf_dir, "labels"))
@@ -25,11 +29,34 @@ def op8_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {
+    "op1_substring_dedup": op1_substring_dedup,
     "op3_quality_rules": op3_quality_rules,
     "op4_exact_dedup": op4_exact_dedup,
     "op8_line_dedup": op8_line_dedup,
 }
 
+OP1_SQL = r"""
+WITH w AS (
+  SELECT doc_id, CASE WHEN regexp_matches(coalesce(text, ''), '[^\x20\x09-\x0D]')
+    THEN regexp_extract_all(text, '[^\x20\x09-\x0D]+') ELSE []::VARCHAR[] END AS ws FROM documents
+), g AS (
+  SELECT doc_id, ws, unnest(range(1, len(ws) - 18)) AS i FROM w WHERE len(ws) >= 20
+), later AS (
+  SELECT doc_id, i FROM (
+    SELECT doc_id, i, row_number() OVER (PARTITION BY ws[i:i+19] ORDER BY doc_id, i) AS k FROM g) WHERE k > 1
+), gone AS (
+  SELECT DISTINCT doc_id, i + unnest(range(0, 20)) AS i FROM later
+), x AS (
+  SELECT doc_id, unnest(ws) AS word, unnest(range(1, len(ws) + 1)) AS i FROM w
+), s AS (
+  SELECT x.doc_id, count(gone.i) AS n_removed,
+         coalesce(string_agg(word, ' ' ORDER BY x.i) FILTER (WHERE gone.i IS NULL), '') AS t
+  FROM x LEFT JOIN gone ON x.doc_id = gone.doc_id AND x.i = gone.i GROUP BY x.doc_id
+)
+SELECT w.doc_id, len(w.ws)::BIGINT AS n_words, coalesce(n_removed, 0)::BIGINT AS n_removed, sha256(coalesce(t, '')) AS kept_sha256
+FROM w LEFT JOIN s USING (doc_id)
+"""
+
 OP4_SQL = """
 WITH d AS (
   SELECT doc_id, translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS t FROM documents
@@ -61,4 +88,4 @@ WITH l AS (
 SELECT doc_id, n_lines, n_removed, sha256(t) AS kept_sha256 FROM s
 """
 
-ORACLE_SQL = {"op4_exact_dedup": OP4_SQL, "op8_line_dedup": OP8_SQL}
+ORACLE_SQL = {"op1_substring_dedup": OP1_SQL, "op4_exact_dedup": OP4_SQL, "op8_line_dedup": OP8_SQL}
