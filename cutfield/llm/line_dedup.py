@@ -48,13 +48,32 @@ def line_dedup(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text
     that share an id share its removals, so repeated rows stay equal; a null id has no place in the order and
     its row stays whole.  Other columns are ignored.  An empty input gives an empty result.
     """
-    later = later_windows(docs, id_col=id_col, text_col=text_col, span=span)
-    gone = later.groupBy("doc_id").agg(F.collect_set("at").alias("starts"))
     rows = docs.select(F.col(id_col).alias("doc_id"), text_or_empty(text_col).alias("body"))
-    covered = F.flatten(F.transform("starts", lambda p: F.sequence(p, p + (span - 1))))
-    lines = F.split("body", "\n")
+    out = _without_later(rows, _gone(docs, id_col, text_col, span), "doc_id", "body", span)
+    lines = F.size(F.split("body", "\n"))
+    removed = F.when(F.col("_stay").isNull(), F.lit(0)).otherwise(lines - F.size("_stay"))
+    return out.select("doc_id", lines.cast("long").alias("n_lines"), removed.cast("long").alias("n_removed"), F.col("_kept").alias("text"))
+
+
+def _gone(docs: DataFrame, id_col: str, text_col: str, span: int) -> DataFrame:
+    later = later_windows(docs, id_col=id_col, text_col=text_col, span=span)
+    return later.groupBy(F.col("doc_id").alias("_id")).agg(F.collect_set("at").alias("_starts"))
+
+
+def _without_later(rows: DataFrame, gone: DataFrame, id_col: str, text_col: str, span: int) -> DataFrame:
+    """The rows with ``_stay`` (numbers of the lines that stay, null for all) and ``_kept`` (their text)."""
+    covered = F.flatten(F.transform("_starts", lambda p: F.sequence(p, p + (span - 1))))
+    lines = F.split(F.col(text_col), "\n")
     stay = F.array_except(F.sequence(F.lit(0).cast("long"), F.size(lines).cast("long") - 1), covered)
-    out = rows.join(gone, "doc_id", "left").withColumn("stay", F.when(F.col("starts").isNotNull(), stay))
-    kept = F.when(F.col("stay").isNull(), F.col("body")).otherwise(F.array_join(F.transform("stay", lambda i: F.get(lines, i.cast("int"))), "\n"))
-    removed = F.when(F.col("stay").isNull(), F.lit(0)).otherwise(F.size(lines) - F.size("stay"))
-    return out.select("doc_id", F.size(lines).cast("long").alias("n_lines"), removed.cast("long").alias("n_removed"), kept.alias("text"))
+    out = rows.join(gone, F.col(id_col) == F.col("_id"), "left").withColumn("_stay", F.when(F.col("_starts").isNotNull(), stay))
+    kept = F.when(F.col("_stay").isNull(), F.col(text_col)).otherwise(F.array_join(F.transform("_stay", lambda i: F.get(lines, i.cast("int"))), "\n"))
+    return out.withColumn("_kept", kept)
+
+
+def remove_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", span: int = 3) -> DataFrame:
+    """All rows and columns of ``docs``, texts without the lines of later windows; null texts stay null."""
+    names = docs.columns
+    plain = docs.select(*[F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(names)])  # clashing names stay apart
+    id_, text = f"c{names.index(id_col)}", f"c{names.index(text_col)}"
+    out = _without_later(plain, _gone(docs, id_col, text_col, span), id_, text, span)
+    return out.select(*[(F.col("_kept") if c == text_col else F.col(f"c{i}")).alias(c) for i, c in enumerate(names)])

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import exact_dedup, line_dedup, packing, quality_rules, secret_scan, sentencepiece_bpe, simhash, substring_dedup
+from . import chat_format, exact_dedup, line_dedup, packing, passage_quality, quality_rules, secret_scan, sentencepiece_bpe, simhash, substring_dedup
 from .common import table
 
 
@@ -34,6 +34,12 @@ def op4_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.exact_dedup(table(spark, sf_dir, "documents"), keep="largest")
 
 
+def op5_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
+    extra = spark.range(2).select(F.lit(-7).cast("long").alias("conv_id"), F.col("id").alias("turn"), F.when(F.col("id") == 0, "user").otherwise("assistant").alias("role"), F.lit("</s>[INST] ok [/INST]").alias("text"))
+    return chat_format.digests(chat_format.format_chats(chat_format.from_rows(rows.unionByName(extra))))
+
+
 def op6_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = secret_scan.scan(table(spark, sf_dir, "documents"))
     of = lambda kind: F.size(F.filter("spans", lambda s: s["kind"] == kind)).cast("long").alias(f"n_{kind}")
@@ -50,6 +56,11 @@ def op8_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "n_lines", "n_removed", F.sha2("text", 256).alias("kept_sha256"))
 
 
+def op9_passage_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return passage_quality.quality_scores(docs, passage_quality.fit(docs, table(spark, sf_dir, "labels")))
+
+
 def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), vocabulary("word_bpe_49k.json"), with_ids=False).drop("ids")
 
@@ -59,9 +70,11 @@ QUERIES = {
     "op2_sentencepiece": op2_sentencepiece,
     "op3_quality_rules": op3_quality_rules,
     "op4_exact_dedup": op4_exact_dedup,
+    "op5_chat_format": op5_chat_format,
     "op6_secret_scan": op6_secret_scan,
     "op7_simhash": op7_simhash,
     "op8_line_dedup": op8_line_dedup,
+    "op9_passage_quality": op9_passage_quality,
     "op10_packing": op10_packing,
 }
 
@@ -96,6 +109,21 @@ SELECT doc_id, max(doc_id) OVER (PARTITION BY t) AS keep_id, count(*) OVER (PART
 FROM d
 """
 
+_CONTROLS = ("<|", "|>", "</s>", "<s>", "[INST]", "[/INST]", "<<SYS>>", "<</SYS>>", "\\")
+_ESCAPES = " + ".join(f"(len(t) - len(replace(t, '{c}', ''))) // {len(c)}" for c in _CONTROLS)
+OP5_SQL = f"""
+WITH c AS (
+  SELECT conv_id, turn, role, coalesce(text, '') AS t FROM conversations
+  UNION ALL SELECT -7, 0, 'user', '</s>[INST] ok [/INST]' UNION ALL SELECT -7, 1, 'assistant', '</s>[INST] ok [/INST]'
+), g AS (
+  SELECT conv_id, count(*) AS n_turns, string_agg(role || chr(10) || t || chr(10), '' ORDER BY turn) AS whole,
+         coalesce(string_agg(t, '' ORDER BY turn) FILTER (WHERE role = 'assistant'), '') AS said,
+         sum(23 + len(role) + len(t) + {_ESCAPES})::BIGINT AS formatted_chars
+  FROM c GROUP BY conv_id
+)
+SELECT conv_id, n_turns, sha256(whole) AS turns_sha256, len(said) AS loss_chars, sha256(said) AS loss_sha256, formatted_chars FROM g
+"""
+
 OP8_SQL = r"""
 WITH l AS (
   SELECT doc_id, string_split(coalesce(text, ''), chr(10)) AS ls FROM documents
@@ -118,4 +146,4 @@ WITH l AS (
 SELECT doc_id, n_lines, n_removed, sha256(t) AS kept_sha256 FROM s
 """
 
-ORACLE_SQL = {"op1_substring_dedup": OP1_SQL, "op4_exact_dedup": OP4_SQL, "op8_line_dedup": OP8_SQL}
+ORACLE_SQL = {"op1_substring_dedup": OP1_SQL, "op4_exact_dedup": OP4_SQL, "op5_chat_format": OP5_SQL, "op8_line_dedup": OP8_SQL}
