@@ -39,14 +39,24 @@ class WordCoder(dict):
 
         super().__init__()
         self.tokenizer = Tokenizer.from_file(path)
+        self.model = self.tokenizer.model
         self.kind = "<u2" if self.tokenizer.get_vocab_size() <= 1 << 16 else "<u4"
         self.special = [t.content.encode() for t in self.tokenizer.get_added_tokens_decoder().values()]
 
     def raw(self, text: bytes) -> bytes:
         return np.array(self.tokenizer.encode(text.decode(), add_special_tokens=False).ids, self.kind).tobytes()
 
+    def fresh(self, word: bytes) -> bytes:
+        """Ids of a lower-case word; ASCII letters go to the merge model at once, with marks behind them apart, as the tokenizer would cut."""
+        core = word.rstrip(b".,;:!?")
+        if core.isalpha() and core.isascii():
+            if len(core) < len(word):
+                return self[core] + self[word[len(core) :]]
+            return np.array([t.id for t in self.model.tokenize(word.decode())], self.kind).tobytes()
+        return self.raw(word)
+
     def __missing__(self, word: bytes) -> bytes:
-        out = self.raw(word)
+        out = self.fresh(word)
         if len(word) <= LONGEST:
             if len(self) >= REMEMBERED:
                 self.clear()
