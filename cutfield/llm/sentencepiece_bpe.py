@@ -56,6 +56,8 @@ class PieceCoder:
                 self.ids[name] = i
                 self.out.append(name.encode().replace(MARK.encode(), b" "))
             self.is_byte.append(bool(byte))
+        #: Neighbours inside some piece; no merge crosses a border between two other characters.
+        self.pairs = {p[i : i + 2] for p in self.score for i in range(len(p) - 1)}
         # merges stay inside parts cut before a space mark and around a line feed
         self.cuttable = not any(MARK in p.lstrip(MARK) or "\n" in p for p in self.score)
         self.memory = _Memory(self)
@@ -168,6 +170,9 @@ class _Memory(dict):
 
     def __missing__(self, part: bytes) -> bytes:
         code, text = self.code, part.decode()
+        if text[-1:] in ENDINGS and len(text) > 1 and text[-2:] not in code.pairs:
+            out = self[part[:-1]] + b"".join([b",%d" % i for i in code.agenda(text[-1])])
+            return self._keep(part, out)
         if text[:1] == "\n":
             ids = code.agenda("\n") + (code.agenda(text[1:]) if text[1:] else [])
             code.pending.append((text, code.agenda(MARK) + ids))  # at the start of a text a lone mark stands before it
@@ -177,7 +182,9 @@ class _Memory(dict):
                 code.pending.append((text, ids))
         if code.decode_bytes(ids) != (part if text[:1] == "\n" else b" " + part):
             self.odd.add(part)
-        out = b",".join([b"%d" % i for i in ids])
+        return self._keep(part, b",".join([b"%d" % i for i in ids]))
+
+    def _keep(self, part: bytes, out: bytes) -> bytes:
         if len(part) <= LONGEST:
             if len(self) >= REMEMBERED:
                 self.clear()
@@ -185,6 +192,8 @@ class _Memory(dict):
         return out
 
 
+#: Marks at the end of a word that are tried for a border of their own.
+ENDINGS = frozenset(",.;:!?")
 EMPTY = hashlib.sha256(b"").hexdigest()
 MARK_BYTES = MARK.encode()
 _RUN = re.compile(f"{MARK}+[^{MARK}]*|[^{MARK}]+")
