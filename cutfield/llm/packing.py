@@ -14,6 +14,7 @@ Every place follows from (length, rank) by a table bounded by the window, so ass
 
 from __future__ import annotations
 
+import unicodedata
 import zlib
 from dataclasses import dataclass
 from functools import lru_cache
@@ -28,7 +29,14 @@ from .common import SharedTable
 
 TOKENS = "part int, doc_id long, ids binary, n int, rest int, rank long, full_rank long"
 #: Distinct words that a worker remembers before it starts anew, and the longest one that it remembers.
-REMEMBERED, LONGEST = 500_000, 48
+REMEMBERED, LONGEST = 1_000_000, 48
+
+
+#: Last letter of the Latin blocks, where lower case is the same everywhere.
+LATIN = "\u024f"
+_PRINTED = {*range(33, 127), *range(161, 173), *range(174, 256)}
+#: Characters that stand for bytes in byte-level vocabularies: printed ones for themselves, the others from 256 on, in order.
+_BYTE_CHARS = {b: 256 + i for i, b in enumerate(sorted(set(range(256)) - _PRINTED))}
 
 
 class WordCoder(dict):
@@ -47,13 +55,20 @@ class WordCoder(dict):
         return np.array(self.tokenizer.encode(text.decode(), add_special_tokens=False).ids, self.kind).tobytes()
 
     def fresh(self, word: bytes) -> bytes:
-        """Ids of a lower-case word; ASCII letters go to the merge model at once, with marks behind them apart, as the tokenizer would cut."""
+        """Ids of a word, A-Z lowered already; Latin letters go to the merge model at once, with marks behind them apart, as the tokenizer would cut."""
         core = word.rstrip(b".,;:!?")
-        if core.isalpha() and core.isascii():
-            if len(core) < len(word):
-                return self[core] + self[word[len(core) :]]
-            return np.array([t.id for t in self.model.tokenize(word.decode())], self.kind).tobytes()
-        return self.raw(word)
+        if core.isascii():
+            if not core.isalpha():
+                return self.raw(word)
+            letters = core.decode()
+        else:
+            text = unicodedata.normalize("NFC", core.decode())
+            if not text.isalpha() or max(text) > LATIN or "\u0130" in text:
+                return self.raw(word)
+            letters = text.lower().encode().decode("latin-1").translate(_BYTE_CHARS)
+        if len(core) < len(word):
+            return self[core] + self[word[len(core) :]]
+        return np.array([t.id for t in self.model.tokenize(letters)], self.kind).tobytes()
 
     def __missing__(self, word: bytes) -> bytes:
         out = self.fresh(word)
