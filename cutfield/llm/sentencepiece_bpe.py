@@ -24,7 +24,7 @@ from ..shipping import ship
 
 MARK = "▁"
 #: Distinct parts that a worker remembers; beyond it, it forgets all and starts anew, which costs time and nothing else.
-REMEMBERED = 500_000
+REMEMBERED = 1_000_000
 #: Parts longer than this are not remembered.
 LONGEST = 64
 _BYTE = re.compile(r"<0x([0-9A-F]{2})>\Z")
