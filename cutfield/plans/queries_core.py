@@ -400,10 +400,10 @@ def broken(spark, d):
 _FIELD = """, x AS (SELECT model_id, src AS i, dst AS j, theta FROM crossing WHERE c_src <> c_dst UNION ALL SELECT model_id, dst, src, theta FROM crossing WHERE c_src <> c_dst)"""
 
 
-@query("mean_messages", f"""WITH {MODELS}{CROSS}{_FIELD} SELECT model_id, i AS var_id, round(sum(theta * CASE WHEN j % 3 = 0 THEN 0.5 ELSE -0.25 END), 6) AS field FROM x GROUP BY 1, 2""")
+@query("mean_messages", f"""WITH {MODELS}{CROSS}{_FIELD} SELECT model_id, i AS var_id, round(sum(theta * CASE WHEN j % 3 = 0 THEN 0.5371 ELSE -0.2593 END), 6) AS field FROM x GROUP BY 1, 2""")
 def messages(spark, d):
     m, a = models(spark, d)
-    means = m.node_params.select("model_id", "var_id", F.when(F.col("var_id") % 3 == 0, 0.5).otherwise(-0.25).alias("mean"))
+    means = m.node_params.select("model_id", "var_id", F.when(F.col("var_id") % 3 == 0, 0.5371).otherwise(-0.2593).alias("mean"))
     return rounded(S.mean_messages(m.edges, means, a), "field")
 
 
