@@ -261,17 +261,17 @@ def cluster_mean_field(model: Model, assignment: DataFrame, *, tol: float = 1e-8
     nodes = assignment.select("model_id", "var_id", "cluster")
     colours = cluster_colours(model.edges, assignment) if schedule == "colour" else None
     classes = [r[0] for r in colours.select("colour").distinct().orderBy("colour").collect()] if colours is not None else [None]
-    held = Stored(means)
+    held = Stored(means.withColumn("old", F.col("mean")))
     trace: list[tuple[int, float]] = []
     for sweep in range(max_sweeps):
-        before = held
-        for c in classes:
+        for step, c in enumerate(classes):
+            now = held.read()
             part = rows.read() if c is None else rows.read().join(colours.where(F.col("colour") == c), ["model_id", "cluster"], "left_semi")
-            state = _updated(model, part, held.read(), nodes, executor)
-            new = _spread(state).withColumnRenamed("mean", "new")
+            new = _spread(_updated(model, part, now, nodes, executor)).withColumnRenamed("mean", "new")
             mixed = F.coalesce((1 - damping) * F.col("new") + damping * F.col("mean"), F.col("mean"))
-            held = Stored(held.read().join(new, ["model_id", "var_id"], "left").select("model_id", "var_id", mixed.alias("mean")))
-        moved = held.read().join(before.read().withColumnRenamed("mean", "old"), ["model_id", "var_id"]).agg(F.max(F.abs(F.col("mean") - F.col("old")))).first()[0] or 0.0
+            start_of_sweep = F.col("mean") if step == 0 else F.col("old")
+            held = Stored(now.join(new, ["model_id", "var_id"], "left").select("model_id", "var_id", mixed.alias("mean"), start_of_sweep.alias("old")))
+        moved = held.read().agg(F.max(F.abs(F.col("mean") - F.col("old")))).first()[0] or 0.0
         trace.append((sweep, float(moved)))
         if moved < tol:
             break

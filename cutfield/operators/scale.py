@@ -52,3 +52,185 @@ def spanning_forest(edges: DataFrame, assignment: DataFrame, max_rounds: int = 3
     if taken is None:
         taken = links.read().limit(0)
     return taken.select("model_id", F.col("a").alias("cluster_a"), F.col("b").alias("cluster_b"), "src", "dst", "theta")
+
+
+def heavy_matching(nodes: DataFrame, weighted: DataFrame, cap: float, rounds: int = 12, stop_at: int = 0) -> DataFrame:
+    """model_id, var_id, group, mass: nodes merged along heavy edges while a group's mass stays within ``cap``.
+
+    ``nodes`` may have a ``mass`` column (1 if not).  Each round every group proposes to the heaviest neighbour that it fits
+    with (ties by a hash of the round); mutual proposals merge.  Rounds end early at ``stop_at`` groups or when none merges.
+    """
+    mass = F.col("mass") if "mass" in nodes.columns else F.lit(1.0)
+    group = Stored(nodes.select("model_id", "var_id", F.col("var_id").alias("group"), mass.cast("double").alias("own")))
+    for r in range(rounds):
+        g = group.read()
+        masses = g.groupBy("model_id", "group").agg(F.sum("own").alias("mass"))
+        a = g.select("model_id", F.col("var_id").alias("src"), F.col("group").alias("ga"))
+        b = g.select("model_id", F.col("var_id").alias("dst"), F.col("group").alias("gb"))
+        coarse = weighted.join(a, ["model_id", "src"]).join(b, ["model_id", "dst"]).where("ga <> gb").groupBy("model_id", F.least("ga", "gb").alias("src"), F.greatest("ga", "gb").alias("dst")).agg(F.sum("weight").alias("weight"))
+        m = lambda end, name: masses.select("model_id", F.col("group").alias(end), F.col("mass").alias(name))
+        fits = coarse.join(m("src", "m1"), ["model_id", "src"]).join(m("dst", "m2"), ["model_id", "dst"]).where(F.col("m1") + F.col("m2") <= cap)
+        order = F.struct("weight", F.xxhash64(F.lit(r), F.least("i", "j"), F.greatest("i", "j")))
+        wish = both_ways(fits).groupBy("model_id", "i").agg(F.max_by("j", order).alias("j"))
+        back = wish.select("model_id", F.col("i").alias("j"), F.col("j").alias("i"))
+        matched = Stored(wish.join(back, ["model_id", "i", "j"]).where("i < j").select("model_id", F.col("j").alias("group"), F.col("i").alias("into")))
+        if not matched.read().limit(1).count():
+            break
+        group = Stored(g.join(matched.read(), ["model_id", "group"], "left").select("model_id", "var_id", F.coalesce("into", "group").alias("group"), "own"))
+        if stop_at and group.read().select("model_id", "group").distinct().groupBy("model_id").count().agg(F.max("count")).first()[0] <= stop_at:
+            break
+    return group.read().select("model_id", "var_id", "group", F.col("own").alias("mass"))
+
+
+def merged_clusters(nodes: DataFrame, weighted: DataFrame, cap: float, balance: str = "nodes", rounds: int = 12) -> DataFrame:
+    """model_id, var_id, cluster: clusters of any number whose cost stays within a cap, grown along heavy edges.
+
+    ``balance``: ``nodes`` caps their number, ``states`` the joint states (nodes may have ``card``), ``edges`` half the degrees inside.
+    """
+    if balance == "states":
+        import math
+
+        card = F.col("card") if "card" in nodes.columns else F.lit(2)
+        nodes, cap = nodes.withColumn("mass", F.log2(card.cast("double"))), math.log2(cap)
+    elif balance == "edges":
+        d = both_ways(weighted).groupBy("model_id", F.col("i").alias("var_id")).agg((F.count(F.lit(1)) / 2.0).alias("mass"))
+        nodes = nodes.select("model_id", "var_id").join(d, ["model_id", "var_id"], "left").fillna(0.0, ["mass"])
+    found = heavy_matching(nodes, weighted, cap, rounds)
+    order = Window.partitionBy("model_id").orderBy("group")
+    return found.withColumn("cluster", F.dense_rank().over(order) - 1).select("model_id", "var_id", "cluster")
+
+
+def rebalance(nodes: DataFrame, weighted: DataFrame, assignment: DataFrame, k: int) -> DataFrame:
+    """The assignment with sizes that differ by one at most: nodes least tied to an overfull cluster move to free places.
+
+    Places are matched by rank, so sizes come out exact in one pass.
+    """
+    inside = both_ways(weighted).join(assignment.select("model_id", F.col("var_id").alias("i"), F.col("cluster").alias("ci")), ["model_id", "i"]).join(assignment.select("model_id", F.col("var_id").alias("j"), F.col("cluster").alias("cj")), ["model_id", "j"])
+    tie = inside.groupBy("model_id", F.col("i").alias("var_id")).agg(F.sum(F.when(F.col("ci") == F.col("cj"), F.col("weight")).otherwise(0.0)).alias("tie"))
+    total = assignment.groupBy("model_id").agg(F.count(F.lit(1)).alias("n"))
+    all_clusters = total.select("model_id", "n", F.explode(F.sequence(F.lit(0), F.lit(k - 1))).alias("cluster"))
+    sizes = assignment.groupBy("model_id", "cluster").agg(F.count(F.lit(1)).alias("m"))
+    by_size = Window.partitionBy("model_id").orderBy(F.desc("m"), "cluster")
+    room = all_clusters.join(sizes, ["model_id", "cluster"], "left").fillna(0, ["m"]).withColumn("r", F.row_number().over(by_size))
+    room = room.select("model_id", "cluster", "m", (F.floor(F.col("n") / k) + (F.col("r") <= F.col("n") % k).cast("int")).alias("cap"))
+    ranked = assignment.join(tie, ["model_id", "var_id"], "left").fillna(0.0, ["tie"]).withColumn("r", F.row_number().over(Window.partitionBy("model_id", "cluster").orderBy(F.desc("tie"), "var_id")))
+    placed = ranked.join(room, ["model_id", "cluster"])
+    free = room.where("m < cap").select("model_id", F.col("cluster").alias("to"), F.explode(F.sequence(F.lit(1), (F.col("cap") - F.col("m")).cast("int"))).alias("s"))
+    free = free.withColumn("slot", F.row_number().over(Window.partitionBy("model_id").orderBy("to", "s")))
+    out = placed.where("r > cap").withColumn("slot", F.row_number().over(Window.partitionBy("model_id").orderBy("cluster", "r"))).select("model_id", "var_id", "slot")
+    moved = out.join(free, ["model_id", "slot"]).select("model_id", "var_id", F.col("to").cast("int").alias("cluster"))
+    return placed.where("r <= cap").select("model_id", "var_id", F.col("cluster").cast("int").alias("cluster")).unionByName(moved)
+
+
+def refine(weighted: DataFrame, assignment: DataFrame, sense: str = "min", rounds: int = 4) -> DataFrame:
+    """Pair swaps between clusters in rounds, sizes unchanged.
+
+    Each node names the cluster that it would gain most from; for every pair of clusters, wishes in either direction are ranked
+    by gain and swapped by equal rank where the sum is positive.  Half of the nodes, by a hash of the round, may move.
+    """
+    sign = 1.0 if sense == "min" else -1.0
+    now = Stored(assignment.select("model_id", "var_id", F.col("cluster").cast("int").alias("cluster")))
+    for r in range(rounds):
+        a = now.read()
+        pull = both_ways(weighted).join(a.select("model_id", F.col("var_id").alias("j"), F.col("cluster").alias("c")), ["model_id", "j"]).groupBy("model_id", F.col("i").alias("var_id"), "c").agg(F.sum("weight").alias("w"))
+        own = a.join(pull.withColumnRenamed("c", "cluster"), ["model_id", "var_id", "cluster"], "left").fillna(0.0, ["w"]).withColumnRenamed("w", "own")
+        wish = own.join(pull, ["model_id", "var_id"]).where("c <> cluster").withColumn("gain", F.lit(sign) * (F.col("w") - F.col("own")))
+        wish = wish.where(F.pmod(F.xxhash64(F.lit(r), "var_id"), F.lit(2)) == 0).groupBy("model_id", "var_id", "cluster").agg(F.max_by(F.struct("c", "gain"), F.struct("gain", -F.col("c"))).alias("b")).select("model_id", "var_id", "cluster", F.col("b.c").alias("to"), "b.gain")
+        ranked = wish.withColumn("r", F.row_number().over(Window.partitionBy("model_id", "cluster", "to").orderBy(F.desc("gain"), "var_id")))
+        other = ranked.select("model_id", F.col("cluster").alias("to"), F.col("to").alias("cluster"), "r", F.col("gain").alias("gain2"))
+        swaps = Stored(ranked.join(other, ["model_id", "cluster", "to", "r"]).where(F.col("gain") + F.col("gain2") > 1e-9).select("model_id", "var_id", F.col("to").alias("new")))
+        if not swaps.read().limit(1).count():
+            break
+        now = Stored(a.join(swaps.read(), ["model_id", "var_id"], "left").select("model_id", "var_id", F.coalesce("new", "cluster").cast("int").alias("cluster")))
+    return now.read()
+
+
+def coarse_partition(nodes: DataFrame, weighted: DataFrame, k: int, sense: str = "min", coarse_nodes: int = 200, rounds: int = 4) -> DataFrame:
+    """model_id, var_id, cluster of large graphs: coarsen by heavy matching, cut the coarse graph densely, project, balance, refine.
+
+    For ``max`` the graph is not coarsened along edges: a balanced hash partition is refined instead.
+    """
+    import numpy as np
+    import pandas as pd
+
+    from ..shipping import ship
+    from . import dense
+    from .graph import random_partition
+    from .inference import arrays
+
+    if sense == "max":
+        return refine(weighted, random_partition(nodes, k), "max", rounds)
+    ship(nodes.sparkSession)
+    largest = nodes.groupBy("model_id").count().agg(F.max("count")).first()[0]
+    cap = max(1.0, largest / k / 2)
+    group = Stored(heavy_matching(nodes, weighted, cap, 24, coarse_nodes)).read()
+    a = group.select("model_id", F.col("var_id").alias("src"), F.col("group").alias("ga"))
+    b = group.select("model_id", F.col("var_id").alias("dst"), F.col("group").alias("gb"))
+    edges = weighted.join(a, ["model_id", "src"]).join(b, ["model_id", "dst"]).where("ga <> gb").groupBy("model_id", F.least("ga", "gb").alias("a"), F.greatest("ga", "gb").alias("b")).agg(F.sum("weight").alias("theta"))
+    masses = group.groupBy("model_id", "group").agg(F.sum("mass").alias("theta"))
+    packed = masses.select("model_id", F.col("group").alias("a"), F.lit(None).cast("long").alias("b"), "theta", F.lit(0).alias("cluster")).unionByName(edges.select("model_id", "a", "b", "theta", F.lit(None).cast("int").alias("cluster")))
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        ids, mass, w, _ = arrays(pdf)
+        points = dense.spectral_points(w, min(k, len(ids)), "min") if len(ids) > k else np.eye(len(ids))
+        rng = np.random.default_rng(0)
+        best = None
+        for _ in range(10):
+            centre = points[rng.choice(len(ids), min(k, len(ids)), replace=False)]
+            for _ in range(20):
+                far = ((points[:, None] - centre[None]) ** 2).sum(2)
+                labels, room = np.full(len(ids), -1), np.full(k, mass.sum() / k * 1.05 + mass.max() / 2)
+                for i in np.argsort(-mass, kind="stable"):
+                    order = np.argsort(far[i], kind="stable")
+                    c = next((x for x in order if room[x] >= mass[i]), int(room.argmax()))
+                    labels[i] = c
+                    room[c] -= mass[i]
+                centre = np.stack([points[labels == c].mean(0) if (labels == c).any() else centre[c] for c in range(len(centre))])
+            cut = dense.cut_value(w, labels)
+            if best is None or cut < best[0]:
+                best = (cut, labels)
+        return pd.DataFrame({"model_id": pdf["model_id"].iloc[0], "group": ids, "cluster": best[1]})
+
+    coarse = packed.groupBy("model_id").applyInPandas(run, "model_id long, group long, cluster int")
+    first = Stored(group.join(coarse, ["model_id", "group"]).select("model_id", "var_id", "cluster")).read()
+    balanced = Stored(rebalance(nodes, weighted, first, k)).read()
+    return refine(weighted, balanced, "min", rounds)
+
+
+def label_propagation(nodes: DataFrame, weighted: DataFrame, k: int, rounds: int = 5, seed: int = 1) -> DataFrame:
+    """Size-capped label propagation from a balanced hash partition: a node takes the label that weighs most around it where its rank fits."""
+    from .graph import random_partition
+
+    start = Stored(random_partition(nodes, k, seed))
+    for _ in range(rounds):
+        a = start.read()
+        pull = both_ways(weighted).join(a.select("model_id", F.col("var_id").alias("j"), "cluster"), ["model_id", "j"]).groupBy("model_id", F.col("i").alias("var_id"), "cluster").agg(F.sum("weight").alias("w"))
+        best = pull.groupBy("model_id", "var_id").agg(F.max_by(F.struct("cluster", "w"), F.struct("w", -F.col("cluster"))).alias("b"))
+        wish = a.join(best, ["model_id", "var_id"], "left").select("model_id", "var_id", F.col("cluster").alias("old"), F.coalesce("b.cluster", "cluster").alias("cluster"), F.coalesce("b.w", F.lit(0.0)).alias("w"))
+        size = nodes.groupBy("model_id").agg(F.ceil(F.count(F.lit(1)) / k * 1.1).alias("cap"))
+        ranked = wish.withColumn("r", F.row_number().over(Window.partitionBy("model_id", "cluster").orderBy(F.desc("w"), "var_id"))).join(size, "model_id")
+        start = Stored(ranked.select("model_id", "var_id", F.when(F.col("r") <= F.col("cap"), F.col("cluster")).otherwise(F.col("old")).alias("cluster")))
+    return rebalance(nodes, weighted, start.read(), k)
+
+
+def spectral_bisection(nodes: DataFrame, weighted: DataFrame, sense: str = "min", rounds: int = 30) -> DataFrame:
+    """Two equal halves by an extreme eigenvector of the Laplacian, found by power iteration; a product is one join and one sum.
+
+    ``min`` iterates on (2 d_max - L), which brings out the second smallest eigenvector; ``max`` on L itself.
+    """
+    from ..hashing import uniform
+    from .graph import degrees
+
+    deg = Stored(degrees(nodes, weighted).withColumnRenamed("i", "var_id"))
+    top = deg.read().groupBy("model_id").agg((2 * F.max("d")).alias("shift"))
+    per = Window.partitionBy("model_id")
+    x = Stored(nodes.select("model_id", "var_id", (uniform(11, F.col("var_id")) - 0.5).alias("x")))
+    for _ in range(rounds):
+        now = x.read()
+        ax = both_ways(weighted).join(now.select("model_id", F.col("var_id").alias("j"), "x"), ["model_id", "j"]).groupBy("model_id", F.col("i").alias("var_id")).agg(F.sum(F.col("weight") * F.col("x")).alias("ax"))
+        lx = now.join(deg.read(), ["model_id", "var_id"]).join(ax, ["model_id", "var_id"], "left").join(F.broadcast(top), "model_id").withColumn("lx", F.col("d") * F.col("x") - F.coalesce("ax", F.lit(0.0)))  # one row per model
+        y = lx.select("model_id", "var_id", (F.col("shift") * F.col("x") - F.col("lx") if sense == "min" else F.col("lx")).alias("y"))
+        stats = y.groupBy("model_id").agg(F.avg("y").alias("mean"), F.sqrt(F.greatest(F.sum(F.col("y") * F.col("y")) - F.count(F.lit(1)) * F.pow(F.avg("y"), 2), F.lit(1e-300))).alias("norm"))
+        x = Stored(y.join(stats, "model_id").select("model_id", "var_id", ((F.col("y") - F.col("mean")) / F.col("norm")).alias("x")))
+    half = F.ntile(2).over(per.orderBy("x", "var_id")) - 1
+    return x.read().select("model_id", "var_id", half.alias("cluster"))

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import queries_core
+from . import queries_more  # noqa: F401  registers its queries
+from .queries_core import QUERIES, SQL
 
-QUERIES = dict(queries_core.QUERIES)
-SQL = dict(queries_core.SQL)
+__all__ = ["QUERIES", "SQL"]

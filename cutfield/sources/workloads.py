@@ -162,10 +162,11 @@ def knn_vectors(spark: SparkSession, sf_dir: str, k: int = 10) -> DataFrame:
 
 
 def host_links(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """src, dst, n: links between hosts, from a page's host to the hosts in its anchors."""
+    """src, dst, n: links between hosts, from a page's host to the hosts of its anchors; a path alone stays on its host."""
     host = r"^https?://([^/?#\"'\s]+)"
-    pages = table(spark, sf_dir, "pages").select(F.regexp_extract("url", host, 1).alias("src"), F.explode(F.regexp_extract_all("html", F.lit(r"href=[\"'](https?://[^\"']+)"), F.lit(1))).alias("href"))
-    return pages.select("src", F.regexp_extract("href", host, 1).alias("dst")).where("src <> '' and dst <> ''").groupBy("src", "dst").agg(F.count(F.lit(1)).alias("n"))
+    pages = table(spark, sf_dir, "pages").select(F.regexp_extract("url", host, 1).alias("src"), F.explode(F.regexp_extract_all("html", F.lit(r"href=[\"']([^\"']+)"), F.lit(1))).alias("href"))
+    dst = F.when(F.col("href").startswith("/"), F.col("src")).otherwise(F.regexp_extract("href", host, 1))
+    return pages.select("src", dst.alias("dst")).where("src <> '' and dst <> ''").groupBy("src", "dst").agg(F.count(F.lit(1)).alias("n"))
 
 
 def role_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
