@@ -47,14 +47,15 @@ def _affine(m: np.ndarray, size: float) -> np.ndarray:
     return out
 
 
-def _positive(m: np.ndarray) -> np.ndarray:
+def _spectral(m: np.ndarray, top: float) -> np.ndarray:
+    """Nearest symmetric matrix with eigenvalues from 0 to ``top``; row sums and non-negative entries imply the upper end."""
     value, vector = np.linalg.eigh((m + m.T) / 2)
     keep = value > 0
-    return (vector[:, keep] * value[keep]) @ vector[:, keep].T
+    return (vector[:, keep] * np.minimum(value[keep], top)) @ vector[:, keep].T
 
 
 def _certificate(cost: np.ndarray, size: float, pull_p: np.ndarray, pull_n: np.ndarray) -> float:
-    """A lower bound on <cost, Y> over the relaxation, valid for any multipliers, as every feasible Y has trace n."""
+    """A lower bound on <cost, Y> over the relaxation, valid for any multipliers: a feasible Y has trace n and eigenvalues up to ``size``."""
     n = len(cost)
     m = cost - pull_p - pull_n
     r, d = m.sum(1), np.diag(m)
@@ -62,7 +63,8 @@ def _certificate(cost: np.ndarray, size: float, pull_p: np.ndarray, pull_n: np.n
     u = (d - r + s / 2) / (1 - n / 2)
     y = d - u
     rest = cost - pull_n - np.diag(y) - (u[:, None] + u[None, :]) / 2
-    return float(y.sum() + size * u.sum() + n * min(0.0, np.linalg.eigvalsh((rest + rest.T) / 2)[0]))
+    low = np.linalg.eigvalsh((rest + rest.T) / 2)
+    return float(y.sum() + size * u.sum() + size * low[: round(n / size)].sum())
 
 
 def eigen_bound(a: np.ndarray, k: int, sense: str) -> float:
@@ -75,7 +77,7 @@ def eigen_bound(a: np.ndarray, k: int, sense: str) -> float:
 def relax(a: np.ndarray, k: int, sense: str, level: str = "psd_nonneg", rounds: int = 1500, tol: float = 2e-5) -> tuple[np.ndarray, float, float]:
     """Relaxed Gram matrix, its objective and a certified bound of the cut into k equal clusters.
 
-    ``level``: ``psd`` keeps unit diagonal, row sums and positive semidefiniteness; ``psd_nonneg`` adds non-negative entries;
+    ``level``: ``psd`` keeps unit diagonal, row sums and eigenvalues from 0 to the cluster size; ``psd_nonneg`` adds non-negative entries;
     ``eigen`` is the spectral bound with no matrix of its own.  Splitting: one copy of the matrix for each constraint set.
     """
     n = len(a)
@@ -98,7 +100,7 @@ def relax(a: np.ndarray, k: int, sense: str, level: str = "psd_nonneg", rounds:
         target = (p - up + q - un) / 2 - cost / (2 * rho) if both else p - up - cost / rho
         x = _affine(target, size)
         last = p
-        p = _positive(x + up)
+        p = _spectral(x + up, size)
         up = up + x - p
         if both:
             q = np.maximum(x + un, 0)
