@@ -172,6 +172,8 @@ def _verify(radius: int):
 def links(distinct: DataFrame, *, radius: int = 3, masks: int = 3) -> DataFrame:
     """a, b: verified links between the distinct fingerprints of column ``fp``, enough to connect each component."""
     ship(distinct.sparkSession)
+    tasks = int(distinct.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    distinct = distinct.select("fp").repartition(tasks, "fp")  # few bytes in, many variants out: not to be coalesced
     met = distinct.select("fp", F.explode(variants(F.col("fp"), radius, masks)).alias("v")).select("v.mask", "v.key", "fp")
     met = met.repartition("mask", "key").sortWithinPartitions("mask", "key")
     return met.mapInArrow(_verify(radius), EDGES).distinct()
@@ -222,7 +224,10 @@ def simhash_groups(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "
 
 
 def simhash_dedup(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
-    """The rows of ``docs`` whose id is the smallest of its group, all columns unchanged."""
+    """The rows of ``docs`` whose id is the smallest of its group, all columns unchanged; rows that repeat that id stay with it."""
     groups = simhash_groups(docs, id_col=id_col, text_col=text_col, **options)
     stay = groups.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("_stay")).distinct()
-    return docs.join(stay, docs[id_col].eqNullSafe(F.col("_stay")), "left_semi")
+    names = docs.columns
+    plain = docs.toDF(*[f"c{i}" for i in range(len(names))])  # clashing names stay apart
+    mine = F.col(f"c{names.index(id_col)}").cast("long")
+    return plain.join(stay, mine.eqNullSafe(F.col("_stay")), "left_semi").toDF(*names)
