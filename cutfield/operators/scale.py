@@ -62,23 +62,27 @@ def heavy_matching(nodes: DataFrame, weighted: DataFrame, cap: float, rounds: in
     """
     mass = F.col("mass") if "mass" in nodes.columns else F.lit(1.0)
     group = Stored(nodes.select("model_id", "var_id", F.col("var_id").alias("group"), mass.cast("double").alias("own")))
+    masses = Stored(group.read().select("model_id", "group", F.col("own").alias("mass")))
+    coarse = Stored(weighted.select("model_id", F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst"), "weight"))
     for r in range(rounds):
-        g = group.read()
-        masses = g.groupBy("model_id", "group").agg(F.sum("own").alias("mass"))
-        a = g.select("model_id", F.col("var_id").alias("src"), F.col("group").alias("ga"))
-        b = g.select("model_id", F.col("var_id").alias("dst"), F.col("group").alias("gb"))
-        coarse = weighted.join(a, ["model_id", "src"]).join(b, ["model_id", "dst"]).where("ga <> gb").groupBy("model_id", F.least("ga", "gb").alias("src"), F.greatest("ga", "gb").alias("dst")).agg(F.sum("weight").alias("weight"))
-        m = lambda end, name: masses.select("model_id", F.col("group").alias(end), F.col("mass").alias(name))
-        fits = coarse.join(m("src", "m1"), ["model_id", "src"]).join(m("dst", "m2"), ["model_id", "dst"]).where(F.col("m1") + F.col("m2") <= cap)
+        m = lambda end, name: masses.read().select("model_id", F.col("group").alias(end), F.col("mass").alias(name))
+        fits = coarse.read().join(m("src", "m1"), ["model_id", "src"]).join(m("dst", "m2"), ["model_id", "dst"]).where(F.col("m1") + F.col("m2") <= cap)
+        # weight for each pair of members, so that large groups do not draw every wish
+        fits = fits.select("model_id", "src", "dst", (F.col("weight") / (F.col("m1") * F.col("m2"))).alias("weight"))
         order = F.struct("weight", F.xxhash64(F.lit(r), F.least("i", "j"), F.greatest("i", "j")))
-        wish = both_ways(fits).groupBy("model_id", "i").agg(F.max_by("j", order).alias("j"))
+        wish = Stored(both_ways(fits).groupBy("model_id", "i").agg(F.max_by("j", order).alias("j"))).read()
         back = wish.select("model_id", F.col("i").alias("j"), F.col("j").alias("i"))
-        matched = Stored(wish.join(back, ["model_id", "i", "j"]).where("i < j").select("model_id", F.col("j").alias("group"), F.col("i").alias("into")))
-        if not matched.read().limit(1).count():
+        matched = Stored(wish.join(back, ["model_id", "i", "j"]).where("i < j").select("model_id", F.col("j").alias("group"), F.col("i").alias("into"))).read()
+        if not matched.limit(1).count():
             break
-        group = Stored(g.join(matched.read(), ["model_id", "group"], "left").select("model_id", "var_id", F.coalesce("into", "group").alias("group"), "own"))
-        if stop_at and group.read().select("model_id", "group").distinct().groupBy("model_id").count().agg(F.max("count")).first()[0] <= stop_at:
+        group = Stored(group.read().join(matched, ["model_id", "group"], "left").select("model_id", "var_id", F.coalesce("into", "group").alias("group"), "own"))
+        masses = Stored(masses.read().join(matched, ["model_id", "group"], "left").groupBy("model_id", F.coalesce("into", "group").alias("group")).agg(F.sum("mass").alias("mass")))
+        if stop_at and masses.read().groupBy("model_id").count().agg(F.max("count")).first()[0] <= stop_at:
             break
+        # the contracted graph takes the place of the last one, so the input is read once
+        a, b = (matched.select("model_id", F.col("group").alias(e), F.col("into").alias(f"{e}_into")) for e in ("src", "dst"))
+        ends_now = coarse.read().join(a, ["model_id", "src"], "left").join(b, ["model_id", "dst"], "left").select("model_id", F.coalesce("src_into", "src").alias("x"), F.coalesce("dst_into", "dst").alias("y"), "weight")
+        coarse = Stored(ends_now.where("x <> y").groupBy("model_id", F.least("x", "y").alias("src"), F.greatest("x", "y").alias("dst")).agg(F.sum("weight").alias("weight")))
     return group.read().select("model_id", "var_id", "group", F.col("own").alias("mass"))
 
 
@@ -158,6 +162,7 @@ def coarse_partition(nodes: DataFrame, weighted: DataFrame, k: int, sense: str =
     from .graph import random_partition
     from .inference import arrays
 
+    nodes, weighted = Stored(nodes.select("model_id", "var_id")).read(), Stored(weighted).read()
     if sense == "max":
         return refine(weighted, random_partition(nodes, k), "max", rounds)
     ship(nodes.sparkSession)
@@ -201,6 +206,7 @@ def label_propagation(nodes: DataFrame, weighted: DataFrame, k: int, rounds: int
     """Size-capped label propagation from a balanced hash partition: a node takes the label that weighs most around it where its rank fits."""
     from .graph import random_partition
 
+    nodes, weighted = Stored(nodes.select("model_id", "var_id")).read(), Stored(weighted).read()
     start = Stored(random_partition(nodes, k, seed))
     for _ in range(rounds):
         a = start.read()
@@ -221,6 +227,7 @@ def spectral_bisection(nodes: DataFrame, weighted: DataFrame, sense: str = "min"
     from ..hashing import uniform
     from .graph import degrees
 
+    nodes, weighted = Stored(nodes.select("model_id", "var_id")).read(), Stored(weighted).read()
     deg = Stored(degrees(nodes, weighted).withColumnRenamed("i", "var_id"))
     top = deg.read().groupBy("model_id").agg((2 * F.max("d")).alias("shift"))
     per = Window.partitionBy("model_id")
