@@ -11,7 +11,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import ascii_lower, text_or_empty
+from .common import SharedTable, ascii_lower, text_or_empty
 
 
 def exact_dedup(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", keep: str = "smallest", fold_case: bool = True, rows_per_salt: int = 256) -> DataFrame:
@@ -25,14 +25,17 @@ def exact_dedup(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "tex
     best = {"smallest": F.min, "largest": F.max}[keep]
     text = text_or_empty(text_col)
     body = ascii_lower(text) if fold_case else text
-    base = docs.select(F.col(id_col).alias("doc_id"), body.alias("body")).withColumn("key", F.unhex(F.md5("body")))
+    base = docs.select(F.col(id_col).alias("doc_id"), body.alias("body"))
+    base = base.withColumn("key", F.coalesce(F.unhex(F.md5("body")), F.lit(b"")))  # never null, so that no filter computes it again
     groups = base.groupBy("key").agg(best("doc_id").alias("rep"), F.count(F.lit(1)).alias("size"))
 
     salts = F.ceil(F.col("size") / F.lit(rows_per_salt)).cast("int")
     rows = base.join(groups, "key").withColumn("sha", F.sha2("body", 256))
     rows = rows.withColumn("body", F.when(F.col("size") > 1, F.col("body")))  # texts of single rows go no further
     rows = rows.withColumn("salt", F.pmod(F.xxhash64("doc_id"), salts).cast("int"))
-    reps = base.join(groups.where("size > 1"), "key").where(F.col("doc_id").eqNullSafe(F.col("rep")))
+    # an inequality, which only the representative meets: the texts are then dealt by key once, for both uses
+    chosen = F.col("doc_id") <= F.col("rep") if keep == "smallest" else F.col("doc_id") >= F.col("rep")
+    reps = base.join(groups, "key").where((F.col("size") > 1) & F.when(F.col("rep").isNull(), True).otherwise(chosen))
     reps = reps.groupBy("key", "size").agg(F.min("body").alias("rep_body"))  # repeated rows of one id, or all ids null
     reps = reps.select("key", "rep_body", F.explode(F.sequence(F.lit(0), salts - 1)).alias("salt"))
     seen = rows.join(reps, ["key", "salt"], "left").select("doc_id", "key", "rep", "size", "sha", F.when(F.col("size") > 1, ~F.col("body").eqNullSafe(F.col("rep_body"))).otherwise(False).alias("differs"))
@@ -40,7 +43,7 @@ def exact_dedup(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "tex
     # A differing text has its own SHA-256; equal hash and equal SHA-256 with unequal bytes is the one case left, and
     # its rows stay apart because only rows that equal the representative join its class.
     tag = F.when(F.col("differs"), F.col("sha")).otherwise(F.lit("")).alias("tag")
-    seen = seen.select("doc_id", "key", "sha", "size", "rep", tag)
+    seen = SharedTable(seen.select("doc_id", "key", "sha", "size", "rep", tag), "exact").read()  # no texts from here on
     odd = seen.where("tag <> ''").groupBy("key", "tag").agg(best("doc_id").alias("odd_rep"), F.count(F.lit(1)).alias("odd_size"))
     lost = odd.groupBy("key").agg(F.sum("odd_size").alias("lost"))
     out = seen.join(odd, ["key", "tag"], "left").join(lost, "key", "left")
