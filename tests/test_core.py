@@ -227,3 +227,34 @@ def test_oracle(spark, data, name):
 def test_entry(spark):
     assert entry.entry(spark).count() == 6
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+def test_files(spark, ring, tmp_path):
+    from cutfield.sources import files
+
+    files.export(ring.edges, str(tmp_path / "csv"), "csv")
+    files.export(ring.edges, str(tmp_path / "json"), "json")
+    ring.edges.write.orc(str(tmp_path / "orc"))
+    want = sorted(map(tuple, ring.edges.collect()))
+    assert sorted(map(tuple, files.read_relation(spark, "edges", str(tmp_path / "csv"), "csv", header="true").collect())) == want
+    assert sorted(map(tuple, files.read_relation(spark, "edges", str(tmp_path / "json"), "json").collect())) == want
+    renamed = files.read_relation(spark, "edges", str(tmp_path / "orc"), "orc", {"src": "src", "dst": "dst", "theta": "2 * theta"})
+    assert sorted(r["theta"] for r in renamed.collect()) == sorted(2 * t for *_, t in want)
+    files.write_by_model(ring.edges, str(tmp_path / "by"), 8)
+    assert sorted(map(tuple, files.read_model(spark, str(tmp_path / "by"), 1, 8).select("model_id", "src", "dst", "theta").collect())) == want
+    a = _assignment(spark, [0, 0, 1, 1])
+    files.write_bucketed(a, "bucketed_assignment", 4)
+    assert spark.table("bucketed_assignment").count() == 4
+    spark.sql("DROP TABLE bucketed_assignment")
+
+
+def test_presence_state(spark, data, tmp_path):
+    from cutfield.streaming import pair_counts as E
+
+    batch = spark.read.parquet(f"{data}/events.parquet").withColumn("ts", F.col("ts").cast("timestamp")).limit(200)
+    batch.coalesce(1).write.parquet(str(tmp_path / "in"))
+    stored = spark.read.parquet(str(tmp_path / "in"))
+    q = E.presence(E.events_stream(spark, str(tmp_path / "in"), batch.schema)).writeStream.format("memory").queryName("presence").outputMode("update").option("checkpointLocation", str(tmp_path / "c")).trigger(availableNow=True).start()
+    q.awaitTermination()
+    want = {tuple(r) for r in stored.groupBy("user_id", "event_type").count().collect()}
+    assert {tuple(r) for r in spark.table("presence").collect()} == want
