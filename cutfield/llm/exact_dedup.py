@@ -3,7 +3,8 @@
 Rows are grouped by the MD5 of the normalised text.  Each group's representative text is compared, byte for
 byte, with every other member, so a hash collision splits its group instead of dropping a document.  Groups
 of any size are dealt over ``ceil(size / rows_per_salt)`` salts before texts are compared; group sizes come
-from map-side combined counts.
+from map-side combined counts, and the few groups that hold over a thousandth of all rows are dealt over parts even
+before they learn their sizes.
 """
 
 from __future__ import annotations
@@ -27,15 +28,21 @@ def exact_dedup(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "tex
     body = ascii_lower(text) if fold_case else text
     base = docs.select(F.col(id_col).alias("doc_id"), body.alias("body"))
     base = base.withColumn("key", F.coalesce(F.unhex(F.md5("body")), F.lit(b"")))  # never null, so that no filter computes it again
-    groups = base.groupBy("key").agg(best("doc_id").alias("rep"), F.count(F.lit(1)).alias("size"))
+    groups = SharedTable(base.groupBy("key").agg(best("doc_id").alias("rep"), F.count(F.lit(1)).alias("size")), "groups").read()
+    # groups of over a thousandth of all rows, fewer than a thousand whatever the input, meet their rows in as many parts as they have thousandths
+    share = max(1, (groups.agg(F.sum("size")).first()[0] or 0) // 1000)
+    groups = groups.withColumn("parts", F.ceil(F.col("size") / share).cast("int"))
+    hot = F.broadcast(groups.where("parts > 1").select("key", "parts"))
+    base = base.join(hot, "key", "left").select("doc_id", "body", "key", F.pmod(F.xxhash64("doc_id"), F.coalesce("parts", F.lit(1))).cast("int").alias("part"))
+    groups = groups.select("key", "rep", "size", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"))
 
     salts = F.ceil(F.col("size") / F.lit(rows_per_salt)).cast("int")
-    rows = base.join(groups, "key").withColumn("sha", F.sha2("body", 256))
+    rows = base.join(groups, ["key", "part"]).withColumn("sha", F.sha2("body", 256))
     rows = rows.withColumn("body", F.when(F.col("size") > 1, F.col("body")))  # texts of single rows go no further
     rows = rows.withColumn("salt", F.pmod(F.xxhash64("doc_id"), salts).cast("int"))
     # an inequality, which only the representative meets: the texts are then dealt by key once, for both uses
     chosen = F.col("doc_id") <= F.col("rep") if keep == "smallest" else F.col("doc_id") >= F.col("rep")
-    reps = base.join(groups, "key").where((F.col("size") > 1) & F.when(F.col("rep").isNull(), True).otherwise(chosen))
+    reps = base.join(groups, ["key", "part"]).where((F.col("size") > 1) & F.when(F.col("rep").isNull(), True).otherwise(chosen))
     reps = reps.groupBy("key", "size").agg(F.min("body").alias("rep_body"))  # repeated rows of one id, or all ids null
     reps = reps.select("key", "rep_body", F.explode(F.sequence(F.lit(0), salts - 1)).alias("salt"))
     seen = rows.join(reps, ["key", "salt"], "left").select("doc_id", "key", "rep", "size", "sha", F.when(F.col("size") > 1, ~F.col("body").eqNullSafe(F.col("rep_body"))).otherwise(False).alias("differs"))
