@@ -88,10 +88,19 @@ def check_equipartition(nodes: DataFrame, assignment: DataFrame, k: int) -> Data
     return held.select("model_id", (bad == 0).alias("ok"), bad.cast("long").alias("n_bad"))
 
 
-def random_partition(nodes: DataFrame, k: int, seed: int = 1) -> DataFrame:
-    """Balanced clusters in the order of a hash of (seed, model, node)."""
-    order = Window.partitionBy("model_id").orderBy(uniform(seed, F.col("model_id"), F.col("var_id")), "var_id")
-    return nodes.select("model_id", "var_id", F.pmod(F.row_number().over(order) - 1, F.lit(k)).cast("int").alias("cluster"))
+def random_partition(nodes: DataFrame, k: int, seed: int = 1, buckets: int = 64) -> DataFrame:
+    """Balanced clusters in the order of a hash of (seed, model, node).
+
+    The order is split into buckets of the hash; a rank is a bucket's offset plus the rank inside it, so no task sorts a whole model.
+    """
+    u = uniform(seed, F.col("model_id"), F.col("var_id"))
+    rows = nodes.select("model_id", "var_id", u.alias("u")).withColumn("bucket", F.floor(F.col("u") * buckets).cast("int"))
+    counts = rows.groupBy("model_id", "bucket").agg(F.count(F.lit(1)).alias("n"))
+    before = Window.partitionBy("model_id").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
+    offsets = counts.select("model_id", "bucket", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("offset"))
+    inside = Window.partitionBy("model_id", "bucket").orderBy("u", "var_id")
+    rank = F.col("offset") + F.row_number().over(inside) - 1
+    return rows.join(offsets, ["model_id", "bucket"]).select("model_id", "var_id", F.pmod(rank, F.lit(k)).cast("int").alias("cluster"))
 
 
 def partition_by_column(nodes: DataFrame, column: str) -> DataFrame:
