@@ -20,6 +20,8 @@ from ..shipping import ship
 
 #: Words in a passage; a last passage shorter than half joins the one before.
 PASSAGE = 128
+#: Passages of one document that training reads; scores always read all.
+TRAINED = 512
 _CLASS = np.zeros(256, np.int64)  # 0: other bytes
 for _k, _chars in enumerate((b" \t\n\x0b\x0c\r", b"abcdefghijklmnopqrstuvwxyz", b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"0123456789", b".,;:", b"!?", b"#*$%&|<>", b"'\"()[]{}", b"-_/\\=+~^@`"), 1):
     _CLASS[list(_chars)] = _k
@@ -152,10 +154,15 @@ def held_out(id_: Column) -> Column:
     return F.pmod(F.crc32(F.coalesce(id_.cast("string"), F.lit("")).cast("binary")), F.lit(5)) == 0
 
 
+def _spread(bag: np.ndarray) -> np.ndarray:
+    """At most TRAINED passages of a training document, evenly spaced over the whole of it."""
+    return bag if len(bag) <= TRAINED else bag[np.linspace(0, len(bag) - 1, TRAINED).astype(int)]
+
+
 def _encode(batches):
     for batch in batches:
         texts = batch.column("body").cast(pa.binary()).to_pylist()
-        bags = [passages(t or b"").astype("<f4") for t in texts]
+        bags = [_spread(passages(t or b"")).astype("<f4") for t in texts]
         yield pa.record_batch([batch.column("doc_id"), batch.column("label"), pa.array([len(b) for b in bags], pa.int32()), pa.array([b.tobytes() for b in bags], pa.binary())], names=["doc_id", "label", "n", "bag"])
 
 
