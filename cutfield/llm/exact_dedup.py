@@ -51,9 +51,13 @@ def exact_dedup(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "tex
     # its rows stay apart because only rows that equal the representative join its class.
     tag = F.when(F.col("differs"), F.col("sha")).otherwise(F.lit("")).alias("tag")
     seen = SharedTable(seen.select("doc_id", "key", "sha", "size", "rep", tag), "exact").read()  # no texts from here on
-    odd = seen.where("tag <> ''").groupBy("key", "tag").agg(best("doc_id").alias("odd_rep"), F.count(F.lit(1)).alias("odd_size"))
-    lost = odd.groupBy("key").agg(F.sum("odd_size").alias("lost"))
-    out = seen.join(odd, ["key", "tag"], "left").join(lost, "key", "left")
+    parts = F.ceil(F.col("size") / share).cast("int")
+    seen = seen.withColumn("cell", F.pmod(F.xxhash64("doc_id"), parts).cast("int"))
+    cells = F.explode(F.sequence(F.lit(0), parts - 1)).alias("cell")
+    odd = seen.where("tag <> ''").groupBy("key", "tag", "size").agg(best("doc_id").alias("odd_rep"), F.count(F.lit(1)).alias("odd_size"))
+    lost = odd.groupBy("key", "size").agg(F.sum("odd_size").alias("lost")).select("key", "lost", cells)
+    odd = odd.select("key", "tag", "odd_rep", "odd_size", cells)
+    out = seen.join(odd, ["key", "tag", "cell"], "left").join(lost, ["key", "cell"], "left")
     keep_id = F.when(F.col("tag") == "", F.col("rep")).otherwise(F.col("odd_rep"))
     size = F.when(F.col("tag") == "", F.col("size") - F.coalesce("lost", F.lit(0))).otherwise(F.col("odd_size"))
     return out.select("doc_id", keep_id.alias("keep_id"), size.cast("long").alias("group_size"), F.col("doc_id").eqNullSafe(keep_id).alias("kept"), F.col("sha").alias("text_sha256"))
