@@ -173,7 +173,7 @@ def links(distinct: DataFrame, *, radius: int = 3, masks: int = 3) -> DataFrame:
     """a, b: verified links between the distinct fingerprints of column ``fp``, enough to connect each component."""
     ship(distinct.sparkSession)
     tasks = int(distinct.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    distinct = distinct.select("fp").repartition(tasks, "fp")  # few bytes in, many variants out: not to be coalesced
+    distinct = distinct.select("fp").repartition(tasks, F.xxhash64("fp"))  # few bytes in, many variants out: not to be coalesced
     met = distinct.select("fp", F.explode(variants(F.col("fp"), radius, masks)).alias("v")).select("v.mask", "v.key", "fp")
     met = met.repartition("mask", "key").sortWithinPartitions("mask", "key")
     return met.mapInArrow(_verify(radius), EDGES).distinct()
