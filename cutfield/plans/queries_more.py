@@ -73,7 +73,7 @@ def _average_sql() -> str:
         for k in touched if len(touched) > 1 else []:
             own = [v for v in m if W.TABLE6_CLUSTERS[v] == k]
             text = " || ';' || ".join(f"'{v}=' || x{v}" for v in own)
-            out.append(f"SELECT {c}::BIGINT AS clique_id, {k} AS cluster, {text} AS own, round(avg(phi), 6) AS phi_avg FROM p{c} GROUP BY 3")
+            out.append(f"SELECT {c}::BIGINT AS clique_id, {k} AS cluster, {text} AS own, round(avg(phi), 9) AS phi_avg FROM p{c} GROUP BY 3")
     return " UNION ALL ".join(out)
 
 
@@ -82,7 +82,8 @@ def border_averages(spark, d):
     m, a = W.table6(spark, d), _clusters(spark)
     got = S.border_averages(m, a, T.uniform_tables(m, a))
     own = F.array_join(F.transform("own", lambda x: F.concat(x["var_id"].cast("string"), F.lit("="), x["s"].cast("string"))), ";")
-    return rounded(got.select("clique_id", "cluster", own.alias("own"), "phi_avg"), "phi_avg")
+    # means of six-decimal numbers lie on ties at six decimals, so nine are kept
+    return got.select("clique_id", "cluster", own.alias("own"), (F.round("phi_avg", 9) + F.lit(0.0)).alias("phi_avg"))
 
 
 @query("tabular_cliques", f"""WITH a(v, c) AS (VALUES {", ".join(f"({v}, {c})" for v, c in W.TABLE6_CLUSTERS.items())}), m(clique_id, v) AS (VALUES {", ".join(f"({c}, {v})" for c, m in enumerate(W.TABLE6_CLIQUES) for v in m)})
