@@ -1,6 +1,6 @@
 """Equal-size cuts of many graphs at once: one graph is one group of rows, solved by dense kernels in its task.
 
-Graphs beyond ``dense_limit`` nodes go to ``scale.coarse_partition``.
+Graphs beyond ``dense_limit`` nodes go to ``scale.coarse_partition`` in ``cut_any_size``.
 """
 
 from __future__ import annotations
@@ -14,8 +14,9 @@ from pyspark.sql import functions as F
 
 from ..model import Model
 from ..shipping import ship
+from ..storage import Stored
 from . import dense
-from .graph import SCHEMES, affinity, expected_weights, random_partition
+from .graph import SCHEMES, affinity, cut_weight, expected_weights, random_partition
 from .inference import arrays, cluster_mean_field
 
 CUT = "model_id long, var_id long, cluster int, cut double, bound double, ratio double"
@@ -49,6 +50,26 @@ def equi_cut(nodes: DataFrame, weighted: DataFrame, k: int, sense: str = "min",
     return _per_graph(nodes, weighted, run, CUT)
 
 
+def cut_any_size(nodes: DataFrame, weighted: DataFrame, k: int, sense: str = "min", *, dense_limit: int = 512, **options) -> DataFrame:
+    """The columns of ``equi_cut`` for every node of every graph.
+
+    Graphs of up to ``dense_limit`` nodes are solved by ``equi_cut`` with ``options``, larger ones by ``scale.coarse_partition``;
+    the cut of those is measured on all their edges, and bound and ratio are null, as no bound is certified.
+    """
+    from .scale import coarse_partition
+
+    nodes, weighted = Stored(nodes.select("model_id", "var_id")).read(), Stored(weighted.select("model_id", "src", "dst", "weight")).read()
+    large = nodes.groupBy("model_id").count().where(F.col("count") > dense_limit).select("model_id")
+    if not large.limit(1).count():
+        return equi_cut(nodes, weighted, k, sense, dense_limit=dense_limit, **options)
+    small = equi_cut(nodes.join(large, "model_id", "left_anti"), weighted.join(large, "model_id", "left_anti"), k, sense, dense_limit=dense_limit, **options)
+    edges = weighted.join(large, "model_id", "left_semi")
+    found = Stored(coarse_partition(nodes.join(large, "model_id", "left_semi"), edges, k, sense)).read()
+    none = F.lit(None).cast("double")
+    coarse = found.join(cut_weight(edges, found), "model_id", "left").select("model_id", "var_id", "cluster", F.coalesce("cut", F.lit(0.0)).alias("cut"), none.alias("bound"), none.alias("ratio"))
+    return small.unionByName(coarse)
+
+
 def relax_bounds(nodes: DataFrame, weighted: DataFrame, k: int, sense: str = "min", levels: tuple[str, ...] = ("eigen", "psd", "psd_nonneg")) -> DataFrame:
     """model_id, level, value, bound: the nested relaxations of one objective."""
 

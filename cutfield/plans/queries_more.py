@@ -295,11 +295,11 @@ def unequal_cut(spark, d):
 
 @query("supplier_cut")
 def supplier_cut(spark, d):
-    """A dense graph beyond a hundred nodes, where exact inference is out of reach."""
+    """All suppliers by the orders that have both: a dense graph, where exact inference is out of reach; ``bound`` is null beyond the dense limit."""
     g = W.copurchase_graph(spark, d, "l_suppkey")
     edges = g.select(F.lit(0).cast("long").alias("model_id"), "src", "dst", F.col("n").cast("double").alias("weight"))
     nodes = W.table(spark, d, "supplier").select(F.lit(0).cast("long").alias("model_id"), F.col("s_suppkey").alias("var_id"))
-    return P.equi_cut(nodes.where("var_id <= 128"), edges.where("src <= 128 and dst <= 128"), 4, method="kmeans", restarts=5).select("var_id", "cluster", "cut", "bound")
+    return P.cut_any_size(nodes, edges, 4, method="kmeans").select("var_id", "cluster", "cut", "bound")
 
 
 # --- experiments ------------------------------------------------------------------------------------------------------------------
