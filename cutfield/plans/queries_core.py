@@ -237,18 +237,27 @@ def folded(spark, d):
     return fold_signs(models(spark, d)[0].edges)
 
 
-@query("model_energy", f"WITH {MODELS}{EXACT} SELECT model_id, s AS state_id, round(e, 6) AS energy FROM ew WHERE s % 7 = 3")
-def model_energy(spark, d):
+def _energies(spark, d) -> DataFrame:
+    """model_id, state_id, energy of every joint state of every model."""
     from ..model import energy
 
     m = models(spark, d)[0]
     place = W.positions(m.node_params)
     size = place.groupBy("model_id").agg(F.count(F.lit(1)).alias("n"))
-    states = size.select("model_id", F.explode(F.expr("sequence(0L, cast(pow(2, n) as bigint) - 1)")).alias("state_id")).where("state_id % 7 = 3")
+    states = size.select("model_id", F.explode(F.expr("sequence(0L, cast(pow(2, n) as bigint) - 1)")).alias("state_id"))
     rows = states.join(place, "model_id").select("model_id", "state_id", "var_id", (2 * F.expr("shiftright(state_id, cast(pos as int)) & 1") - 1).cast("double").alias("value"))
     return rounded(energy(rows, m), "energy")
 
 
+@query("model_energy", f"WITH {MODELS}{EXACT} SELECT model_id, s AS state_id, round(e, 6) AS energy FROM ew WHERE s % 7 = 3")
+def model_energy(spark, d):
+    """The states whose number is 3 modulo 7, as its SQL; ``model_energy_all`` has all of them."""
+    return _energies(spark, d).where("state_id % 7 = 3")
+
+
+query("model_energy_all", f"WITH {MODELS}{EXACT} SELECT model_id, s AS state_id, round(e, 6) AS energy FROM ew")(_energies)
+
+
 _WEIGHT = {"unit": "1.0::DOUBLE", "coupling": "abs(theta)", "inverse": "1.0 / greatest(abs(theta), 1e-6)"}
 for _kind, _expr in _WEIGHT.items():
     query(f"affinity_{_kind}", f"WITH {MODELS} SELECT model_id, src, dst, round({_expr}, 6) AS weight FROM edges")(lambda spark, d, k=_kind: rounded(G.affinity(models(spark, d)[0].edges, k), "weight"))

@@ -2,6 +2,9 @@
 
 from itertools import combinations
 
+import duckdb
+import pytest
+
 import __spark_entry__ as entry
 from cutfield.operators import graph as G
 from cutfield.operators import partition as P
@@ -39,3 +42,22 @@ def test_cut_beyond_dense_limit(spark):
     assert {(r["cut"], r["bound"], r["ratio"]) for r in large} == {(cut, None, None)}
     assert {r["count"] for r in found.where("model_id = 0").groupBy("cluster").count().collect()} == {12}
     assert {r["cut"] for r in small} == {0.0} and all(r["bound"] is not None for r in small)
+
+
+def _both(spark, data, name):
+    """Rows of the query and of its SQL, with columns in the order of their names."""
+    con = duckdb.connect()
+    for t in ("region", "nation", "customer", "supplier", "part", "orders", "lineitem", "events"):
+        con.sql(f"CREATE VIEW {t} AS SELECT * FROM '{data}/{t}.parquet'")
+    rel, df = con.sql(entry.oracle_sql()[name]), entry.queries()[name](spark, data)
+    cols = sorted(df.columns)
+    assert cols == sorted(rel.columns)
+    want = sorted(tuple(dict(zip(rel.columns, r))[c] for c in cols) for r in rel.fetchall())
+    return [dict(zip(cols, r)) for r in sorted(tuple(r[c] for c in cols) for r in df.collect())], [dict(zip(cols, r)) for r in want]
+
+
+def test_model_energy_all_has_every_state(spark, data):
+    got, want = _both(spark, data, "model_energy_all")
+    key = lambda rows: {(r["model_id"], r["state_id"]) for r in rows}
+    assert key(got) == key(want) == {(m, s) for m in range(5) for s in range(32)} | {(100, s) for s in range(256)}
+    assert len(got) == 416 and all(a["energy"] == pytest.approx(b["energy"], abs=1e-9) for a, b in zip(got, want))
