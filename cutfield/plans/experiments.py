@@ -111,7 +111,7 @@ def figure_trials(spark: SparkSession, trials: int = 20, n: int = 24, p: float =
                     random[np.argsort(rng)] = np.arange(n) % k
                     add(k, "random", random)
                     for scheme, (sense, kind) in SCHEMES.items():
-                        labels = dense.partition(kinds[kind], k, sense, restarts=10, rounds=400)["labels"]
+                        labels = dense.partition(kinds[kind], k, sense)["labels"]
                         add(k, scheme, labels)
                         if extra and scheme == "min_coupling":
                             add(k, "min_coupling_tree", labels, dense.TreeField)

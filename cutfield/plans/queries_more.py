@@ -312,15 +312,14 @@ def table_quality(spark, d):
 
 @query("table_quality_weighted")
 def table_quality_weighted(spark, d):
-    return X.table_quality(spark, 20, weighted=True)
+    return X.table_quality(spark, 100, weighted=True)
 
 
-_GRID = {"trials": 5, "strengths": ((1.0, 1.0), (1.0, 2.0)), "ks": (3, 6)}
-query("figure_marginals")(lambda spark, d: X.figure_marginals(X.figure_trials(spark, **_GRID)))
-query("figure_bounds")(lambda spark, d: X.figure_bounds(X.figure_trials(spark, **_GRID)))
-query("figure_dense")(lambda spark, d: X.win_rates(X.figure_trials(spark, 3, p=0.5, strengths=((1.0, 1.0),), ks=(3, 6))))
-query("theorem_scatter")(lambda spark, d: X.theorem_scatter(X.figure_trials(spark, **_GRID)))
-query("win_rates")(lambda spark, d: X.win_rates(X.figure_trials(spark, **_GRID)))
+query("figure_marginals")(lambda spark, d: X.figure_marginals(X.figure_trials(spark)))
+query("figure_bounds")(lambda spark, d: X.figure_bounds(X.figure_trials(spark)))
+query("figure_dense")(lambda spark, d: X.win_rates(X.figure_trials(spark, p=0.5)))
+query("theorem_scatter")(lambda spark, d: X.theorem_scatter(X.figure_trials(spark)))
+query("win_rates")(lambda spark, d: X.win_rates(X.figure_trials(spark)))
 
 # --- extensions -----------------------------------------------------------------------------------------------------------------
 

@@ -1,5 +1,6 @@
 """Registered queries return the whole job, on inputs large enough that a part would show."""
 
+import inspect
 from itertools import combinations
 
 import duckdb
@@ -8,6 +9,7 @@ import pytest
 import __spark_entry__ as entry
 from cutfield.operators import graph as G
 from cutfield.operators import partition as P
+from cutfield.plans import experiments as X
 
 
 def test_supplier_cut_has_every_supplier(spark, tmp_path):
@@ -61,3 +63,23 @@ def test_model_energy_all_has_every_state(spark, data):
     key = lambda rows: {(r["model_id"], r["state_id"]) for r in rows}
     assert key(got) == key(want) == {(m, s) for m in range(5) for s in range(32)} | {(100, s) for s in range(256)}
     assert len(got) == 416 and all(a["energy"] == pytest.approx(b["energy"], abs=1e-9) for a, b in zip(got, want))
+
+
+def test_figures_have_the_whole_grid(monkeypatch):
+    figure, quality, seen = inspect.signature(X.figure_trials), inspect.signature(X.table_quality), {}
+
+    def record(name, signature, *args, **options):
+        bound = signature.bind(*args, **options)
+        bound.apply_defaults()
+        seen[name] = bound.arguments
+
+    for name, p in (("figure_marginals", 0.3), ("figure_bounds", 0.3), ("theorem_scatter", 0.3), ("win_rates", 0.3), ("figure_dense", 0.5)):
+        monkeypatch.setattr(X, "figure_trials", lambda *a, n=name, **o: record(n, figure, *a, **o))
+        for f in ("figure_marginals", "figure_bounds", "theorem_scatter", "win_rates"):
+            monkeypatch.setattr(X, f, lambda trials: trials)
+        entry.queries()[name](None, "")
+        got = seen[name]
+        assert (got["trials"], got["p"], len(got["couplings"]), len(got["strengths"]), got["ks"]) == (20, p, 3, 4, (2, 3, 4, 6, 8, 12))
+    monkeypatch.setattr(X, "table_quality", lambda *a, **o: record("weighted", quality, *a, **o))
+    entry.queries()["table_quality_weighted"](None, "")
+    assert seen["weighted"]["trials"] == 100
