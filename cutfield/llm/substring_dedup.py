@@ -5,22 +5,27 @@ words.  So the blocks that start at multiples of ``block`` words are indexed, ev
 ``block`` words probes the index, and only windows of ``window`` words around a hit are compared; runs of
 those are the maximal exact repeats.
 
-Documents are dealt by a hash of their id into chunks of bounded bytes.  A chunk sends each distinct hash once,
-so a passage that a third of all documents share is one row a chunk, and every hash meets its equals in one of
-as many buckets as there are chunks.
+Documents are dealt by a hash of id and text into chunks of bounded bytes.  A chunk sends each distinct hash once,
+so a passage that a third of all documents share is one row a chunk, and every hash meets its equals in a bucket.
+Chunks grow with the square root of the input up to a bound, so that the rows between chunks and buckets stay in
+proportion to it.
 
-1. probe:  chunk -> (bucket, sorted 24-bit hashes, flags: is a block, repeats here)
+1. probe:  chunk -> (bucket, sorted 27-bit hashes, flags: is a block, repeats here)
 2. match:  bucket -> (chunk, hashes of blocks that some other window equals)
 3. extend: chunk + hits -> (bucket, 96-bit hashes of the windows around hits, smallest id here)
-4. order:  bucket -> (chunk, hashes that start earlier elsewhere; hashes that start here first but repeat)
+4. order:  bucket -> (chunk, hashes that start earlier elsewhere and where; hashes that start here first but repeat)
 5. cut:    chunk + verdicts -> documents without the covered words
+6. runs, check: each distinct run that 5 cuts goes, with its words, to the document that it is said to start in,
+   and must stand there word by word; repeats inside a chunk are compared word by word at once
 
-A false hit in 1-2 only adds a window to 3; what is removed rests on 96 bits of two independent hashes.
+A false hit in 1-2 only adds a window to 3.  Hashes of words are BLAKE2b; should two word sequences ever share 96 bits,
+6 fails the job instead of returning a wrong row, and another ``seed`` gives other hashes.
 """
 
 from __future__ import annotations
 
 import hashlib
+import math
 from itertools import compress
 
 import numpy as np
@@ -32,10 +37,12 @@ from ..shipping import ship
 from .common import text_bytes
 
 U64 = np.uint64
-#: Odd bases of the polynomial hashes over bytes and over words.
+#: Odd bases of the polynomials that join the hashes of a window's words.
 BASES = (U64(0x9E3779B97F4A7C15), U64(0xC2B2AE3D27D4EB4F))
-_SPACE = np.zeros(256, bool)
-_SPACE[[9, 10, 11, 12, 13, 32]] = True
+#: Bits of a hash inside its bucket, and distinct words that a worker remembers before it starts anew.
+BITS, REMEMBERED = 27, 400_000
+#: Order of rows without an id: behind all others.
+LAST = np.iinfo(np.int64).max
 
 
 def _mix(x: np.ndarray) -> np.ndarray:
@@ -44,52 +51,55 @@ def _mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> U64(31))
 
 
-def _powers(base: U64, n: int) -> np.ndarray:
-    out = np.empty(n, U64)
-    if n:
-        out[0] = 1
-        k = 1
-        while k < n:
-            out[k : 2 * k] = out[: min(k, n - k)] * (out[k - 1] * base)
-            k *= 2
-    return out
+class Words(dict):
+    """A number for each distinct word, and two 64-bit hashes of it."""
+
+    def __init__(self, seed: int):
+        super().__init__()
+        self.seed = seed
+        self.key = seed.to_bytes(8, "little")
+        self.digests = bytearray()
+
+    def __missing__(self, word: bytes) -> int:
+        self.digests += hashlib.blake2b(word, digest_size=16, key=self.key).digest()
+        self[word] = out = len(self)
+        return out
+
+
+_WORDS = Words(0)
 
 
 class Chunk:
-    """The words of several texts: their hashes, and the documents they stand in."""
-
-    def __init__(self, texts: list[bytes], bases: int):
-        joined = b" ".join(texts)
-        raw = np.frombuffer(joined, np.uint8)
-        solid = ~_SPACE[raw]
-        edge = np.flatnonzero(np.diff(np.concatenate(([False], solid, [False])).view(np.int8)))
-        start, length = edge[::2], edge[1::2] - edge[::2]
-        begins = np.concatenate(([0], np.cumsum(np.fromiter((len(t) + 1 for t in texts), np.int64, len(texts)))))
-        self.first = np.searchsorted(start, begins)  # word index at which each text begins; the last is the total
-        self.n = len(start)
-        self.words = []
-        if not self.n:
-            self.words = [np.empty(0, U64)] * bases
-            return
-        head = np.cumsum(length) - length
-        inside = np.arange(int(length.sum())) - np.repeat(head, length)  # place of each byte in its word
-        value = raw[solid].astype(U64) + U64(1)
-        with np.errstate(over="ignore"):
-            for k in range(bases):
-                sums = np.add.reduceat(value * _powers(BASES[k], int(length.max()))[inside], head)
-                self.words.append(_mix(sums + length.astype(U64) * BASES[1 - k]))
+    """The words of several texts: their numbers and hashes, and the documents they stand in."""
+
+    def __init__(self, texts: list[bytes], seed: int):
+        global _WORDS
+        if _WORDS.seed != seed or len(_WORDS) > REMEMBERED:
+            _WORDS = Words(seed)
+        self.texts = [t.split() for t in texts]  # of bytes: at space and 0x09-0x0D alone
+        self.first = np.concatenate(([0], np.cumsum([len(t) for t in self.texts], dtype=np.int64)))  # word at which each text begins; the last is the total
+        self.n = int(self.first[-1])
+        number = _WORDS.__getitem__
+        self.numbers = np.fromiter((number(w) for t in self.texts for w in t), np.int32, self.n)
+        self.digests = np.frombuffer(bytes(_WORDS.digests), "<u8").reshape(-1, 2)
 
     def windows(self, size: int, which: int) -> tuple[np.ndarray, np.ndarray]:
         """First word of each window of ``size`` words inside one text, and the window's 64-bit hash."""
         reach = np.repeat(self.first[1:], np.diff(self.first))  # end of each word's text
         at = np.flatnonzero(np.arange(self.n) + size <= reach)
-        w = self.words[which]
+        w = self.digests[self.numbers, which]
         h = np.zeros(max(0, self.n - size + 1), U64)
         with np.errstate(over="ignore"):
             for k in range(size):
-                h = h * BASES[which] + w[k : k + len(h)]
+                h *= BASES[which]
+                h += w[k : k + len(h)]
             return at, _mix(h[at])
 
+    def keys(self, window: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """First word, hash and second hash of each window."""
+        at, h = self.windows(window, 0)
+        return at, h, (self.windows(window, 1)[1] >> U64(32)).astype(np.uint32)
+
     def place(self, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Text and place in it of each word."""
         text = np.searchsorted(self.first, at, side="right") - 1
@@ -97,14 +107,30 @@ class Chunk:
 
 
 def _pack(sorted_values: np.ndarray) -> bytes:
-    """Ascending numbers below 2**32 as gaps of two bytes, or of four where one needs it."""
+    """Ascending numbers below 2**32 as gaps: of two bytes, where 65535 means go on, or of four; whatever is shorter."""
     gaps = np.diff(sorted_values, prepend=sorted_values[:0].dtype.type(0))
-    small = not len(gaps) or gaps.max() < 65536
-    return bytes([2 if small else 4]) + gaps.astype("<u2" if small else "<u4").tobytes()
+    more = gaps // 65535
+    if int(more.sum()) < len(gaps):
+        out = np.full(len(gaps) + int(more.sum()), 65535, "<u2")
+        out[np.arange(len(gaps)) + np.cumsum(more)] = gaps % 65535
+        return b"\x02" + out.tobytes()
+    return b"\x04" + gaps.astype("<u4").tobytes()
 
 
 def _unpack(blob: bytes) -> np.ndarray:
-    return np.cumsum(np.frombuffer(blob, "<u2" if blob[0] == 2 else "<u4", offset=1), dtype=np.int64)
+    if blob[0] == 4:
+        return np.cumsum(np.frombuffer(blob, "<u4", offset=1), dtype=np.int64)
+    gaps = np.frombuffer(blob, "<u2", offset=1)
+    return np.cumsum(gaps, dtype=np.int64)[gaps != 65535]
+
+
+def _steps(ascending: np.ndarray) -> bytes:
+    """Ascending longs as differences, whose zero bytes the shuffle's compression takes away."""
+    return np.diff(ascending.astype("<i8"), prepend=np.int64(0)).astype("<i8").tobytes()
+
+
+def _from_steps(blob: bytes) -> np.ndarray:
+    return np.cumsum(np.frombuffer(blob, "<i8"), dtype=np.int64)
 
 
 def _split(bucket: np.ndarray, n: int) -> np.ndarray:
@@ -113,53 +139,63 @@ def _split(bucket: np.ndarray, n: int) -> np.ndarray:
 
 
 def _key(h: np.ndarray, buckets: int) -> np.ndarray:
-    """Bucket and 24 bits of it, as one number."""
-    return ((h >> U64(32)) % U64(buckets)).astype(np.int64) << 24 | (h & U64(0xFFFFFF)).astype(np.int64)
+    """Bucket and BITS bits of it, as one number."""
+    return ((h >> U64(32)) % U64(buckets)).astype(np.int64) << BITS | (h & U64((1 << BITS) - 1)).astype(np.int64)
 
 
-def _texts(table: pa.Table) -> tuple[np.ndarray, list[bytes]]:
-    """Ids and texts of a chunk in the order of ids, equal ids in the order of texts."""
+def _texts(table: pa.Table) -> tuple[np.ndarray, np.ndarray, list[bytes]]:
+    """Ids (LAST for none), whether there is one, and texts of a chunk, in the order of ids."""
     texts = table["body"].cast(pa.binary()).to_pylist()
-    ids = table["doc_id"].to_numpy()
-    order = sorted(range(len(ids)), key=lambda i: (ids[i], texts[i]))
-    return ids[order], [texts[i] for i in order]
+    ids, there = table["doc_id"].fill_null(LAST).to_numpy(), table["doc_id"].is_valid().to_numpy()
+    order = np.argsort(ids, kind="stable")
+    return ids[order], there[order], [texts[i] for i in order]
 
 
-def _probe(buckets: int, block: int):
+def _table(rows: list[tuple], schema: pa.Schema) -> pa.Table:
+    return pa.table(dict(zip(schema.names, map(list, zip(*rows)))), schema) if rows else schema.empty_table()
+
+
+PROBE = pa.schema([("bucket", pa.int32()), ("chunk", pa.int32()), ("hashes", pa.binary()), ("blocks", pa.binary()), ("again", pa.binary())])
+HITS = pa.schema([("chunk", pa.int32()), ("bucket", pa.int32()), ("hashes", pa.binary())])
+
+
+def _probe(buckets: int, block: int, seed: int):
     def run(table: pa.Table) -> pa.Table:
-        chunk = Chunk(_texts(table)[1], 1)
+        chunk = Chunk(_texts(table)[2], seed)
         at, h = chunk.windows(block, 0)
         key = _key(h, buckets)
         aligned = chunk.place(at)[1] % block == 0
         found, back, count = np.unique(key, return_inverse=True, return_counts=True)
         flag = np.zeros(len(found), bool)
         flag[back[aligned]] = True
-        bounds = _split(found >> 24, buckets)
-        me = table["chunk"][0].as_py()
-        rows = [(b, me, _pack(found[i:j] & 0xFFFFFF), np.packbits(flag[i:j]).tobytes(), np.packbits(count[i:j] > 1).tobytes()) for b, (i, j) in enumerate(zip(bounds[:-1], bounds[1:])) if j > i]
-        return pa.table(dict(zip(PROBE.names, map(list, zip(*rows)))), PROBE) if rows else PROBE.empty_table()
+        bounds = _split(found >> BITS, buckets)
+        me, low = table["chunk"][0].as_py(), (1 << BITS) - 1
+        return _table([(b, me, _pack(found[i:j] & low), np.packbits(flag[i:j]).tobytes(), np.packbits(count[i:j] > 1).tobytes()) for b, (i, j) in enumerate(zip(bounds[:-1], bounds[1:])) if j > i], PROBE)
 
     return run
 
 
-PROBE = pa.schema([("bucket", pa.int32()), ("chunk", pa.int32()), ("hashes", pa.binary()), ("blocks", pa.binary()), ("again", pa.binary())])
-HITS = pa.schema([("chunk", pa.int32()), ("bucket", pa.int32()), ("hashes", pa.binary())])
-
-
 def _match(table: pa.Table) -> pa.Table:
     hashes = [_unpack(x) for x in table["hashes"].to_pylist()]
-    bits = lambda name: [np.unpackbits(np.frombuffer(x, np.uint8), count=len(h)) for x, h in zip(table[name].to_pylist(), hashes)]
-    block, many = np.zeros(1 << 24, bool), np.zeros(1 << 24, np.uint8)  # 32 MB, whatever the input
-    for h, b, again in zip(hashes, bits("blocks"), bits("again")):
-        block[h[b > 0]] = True
-        many[h] = np.minimum(2, many[h] + 1 + again)
-    hit = block & (many > 1)
-    rows = [(c, b, _pack(h[hit[h]])) for c, b, h in zip(table["chunk"].to_pylist(), table["bucket"].to_pylist(), hashes) if hit[h].any()]
-    return pa.table(dict(zip(HITS.names, map(list, zip(*rows)))), HITS) if rows else HITS.empty_table()
+    bits = lambda name: np.concatenate([np.unpackbits(np.frombuffer(x, np.uint8), count=len(h)) for x, h in zip(table[name].to_pylist(), hashes)]) > 0
+    every = np.concatenate(hashes)
+    block, again = np.unique(every[bits("blocks")]), every[bits("again")]
+    every = np.sort(every)
+    many = np.union1d(every[1:][every[1:] == every[:-1]], again)
+    hit = np.intersect1d(block, many, assume_unique=True)
+    if not len(hit):
+        return HITS.empty_table()
+    rows = []
+    for c, b, h in zip(table["chunk"].to_pylist(), table["bucket"].to_pylist(), hashes):
+        mine = h[hit[np.minimum(np.searchsorted(hit, h), len(hit) - 1)] == h]
+        if len(mine):
+            rows.append((c, b, _pack(mine)))
+    return _table(rows, HITS)
 
 
+PAIR = np.dtype([("h", "<u8"), ("m", "<u4")])
 CANDIDATES = pa.schema([("bucket", pa.int32()), ("chunk", pa.int32()), ("hashes", pa.binary()), ("more", pa.binary()), ("ids", pa.binary()), ("again", pa.binary())])
-VERDICTS = pa.schema([("chunk", pa.int32()), ("elsewhere", pa.binary()), ("here", pa.binary())])
+VERDICTS = pa.schema([("chunk", pa.int32()), ("elsewhere", pa.binary()), ("chunks", pa.binary()), ("owners", pa.binary()), ("here", pa.binary())])
 
 
 def _fold(h: np.ndarray, more: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -174,32 +210,30 @@ def _fold(h: np.ndarray, more: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.n
     return order[new], inverse, np.bincount(group, minlength=int(new.sum()))
 
 
-def _extend(buckets: int, block: int, window: int):
+def _extend(buckets: int, block: int, window: int, seed: int):
     def run(docs: pa.Table, hits: pa.Table) -> pa.Table:
         if not docs.num_rows or not hits.num_rows:
             return CANDIDATES.empty_table()
-        ids, texts = _texts(docs)
-        chunk = Chunk(texts, 2)
+        ids, _, texts = _texts(docs)
+        chunk = Chunk(texts, seed)
         at, h = chunk.windows(block, 0)
-        wanted = np.sort(np.concatenate([_unpack(x) | b << 24 for x, b in zip(hits["hashes"].to_pylist(), hits["bucket"].to_pylist())]))
+        wanted = np.sort(np.concatenate([_unpack(x) | b << BITS for x, b in zip(hits["hashes"].to_pylist(), hits["bucket"].to_pylist())]))
         key = _key(h, buckets)
         near = np.searchsorted(wanted, key)
         hit = np.zeros(chunk.n + window + 1, np.int32)
         hit[at] = wanted[np.minimum(near, len(wanted) - 1)] == key
         total = np.concatenate(([0], np.cumsum(hit)))
-        at, h = chunk.windows(window, 0)
-        more = chunk.windows(window, 1)[1]
+        at, h, more = chunk.keys(window)
         around = total[at + window - block + 1] > total[at]
-        at, h, more = at[around], h[around], (more[around] >> U64(32)).astype(np.uint32)
+        at, h, more = at[around], h[around], more[around]
         first, _, count = _fold(h, more)  # texts stand in the order of ids, so the first is the smallest
-        h, more, owner = h[first], more[first], ids[chunk.place(at[first])[0]].astype(np.int64)
-        bucket = (h >> U64(40)) % U64(buckets)
-        order = np.argsort(bucket, kind="stable")
-        h, more, owner, many = h[order], more[order], owner[order], count[order] > 1
-        bounds = _split(bucket[order].astype(np.int64), buckets)
+        h, more, owner, many = h[first], more[first], ids[chunk.place(at[first])[0]], count > 1
+        bucket = ((h >> U64(40)) % U64(buckets)).astype(np.int64)
+        order = np.lexsort((owner, bucket))
+        h, more, owner, many = h[order], more[order], owner[order], many[order]
+        bounds = _split(bucket[order], buckets)
         me = docs["chunk"][0].as_py()
-        rows = [(b, me, h[i:j].tobytes(), more[i:j].tobytes(), owner[i:j].tobytes(), np.packbits(many[i:j]).tobytes()) for b, (i, j) in enumerate(zip(bounds[:-1], bounds[1:])) if j > i]
-        return pa.table(dict(zip(CANDIDATES.names, map(list, zip(*rows)))), CANDIDATES) if rows else CANDIDATES.empty_table()
+        return _table([(b, me, h[i:j].tobytes(), more[i:j].tobytes(), _steps(owner[i:j]), np.packbits(many[i:j]).tobytes()) for b, (i, j) in enumerate(zip(bounds[:-1], bounds[1:])) if j > i], CANDIDATES)
 
     return run
 
@@ -209,62 +243,148 @@ def _order(table: pa.Table) -> pa.Table:
     sizes = list(map(len, hashes))
     h = np.concatenate(hashes)
     more = np.concatenate([np.frombuffer(x, np.uint32) for x in table["more"].to_pylist()])
-    owner = np.concatenate([np.frombuffer(x, np.int64) for x in table["ids"].to_pylist()])
+    owner = np.concatenate([_from_steps(x) for x in table["ids"].to_pylist()])
     many = np.concatenate([np.unpackbits(np.frombuffer(x, np.uint8), count=n) for x, n in zip(table["again"].to_pylist(), sizes)]) > 0
-    first, group, _ = _fold(h, more)
-    least = np.full(len(first), np.iinfo(np.int64).max)
-    np.minimum.at(least, group, owner)
-    later = owner > least[group]  # an id is in one chunk only, so equal ids are the same place
+    names = table["chunk"].to_numpy().astype(np.int64)
+    chunk = np.repeat(names, sizes)
+    order = np.lexsort((chunk, owner, more, h))
+    a, b = h[order], more[order]
+    new = np.ones(len(a), bool)
+    new[1:] = (a[1:] != a[:-1]) | (b[1:] != b[:-1])
+    group = np.empty(len(a), np.int64)
+    group[order] = np.cumsum(new) - 1
+    first = order[new]  # smallest id, and of its chunks the smallest
+    lead = first[group]
+    later = owner > owner[lead]  # rows that share an id never stand before each other
     rows, i = [], 0
-    for me, n in zip(table["chunk"].to_pylist(), sizes):
-        s = slice(i, i + n)
+    for me, n in zip(names.tolist(), sizes):
+        s = np.arange(i, i + n)
         i += n
-        if later[s].any() or many[s].any():
-            both = np.rec.fromarrays((h[s], more[s]), dtype=PAIR)
-            rows.append((me, both[later[s]].tobytes(), both[many[s] & ~later[s]].tobytes()))
-    return pa.table(dict(zip(VERDICTS.names, map(list, zip(*rows)))), VERDICTS) if rows else VERDICTS.empty_table()
+        away, here = s[later[s]], s[many[s] & ~later[s]]
+        if len(away) or len(here):
+            away = away[np.lexsort((owner[lead[away]], chunk[lead[away]]))]
+            both = lambda at: np.rec.fromarrays((h[at], more[at]), dtype=PAIR).tobytes()
+            rows.append((me, both(away), _steps(chunk[lead[away]]), np.diff(owner[lead[away]], prepend=np.int64(0)).astype("<i8").tobytes(), both(here)))
+    return _table(rows, VERDICTS)
 
 
-PAIR = np.dtype([("h", "<u8"), ("m", "<u4")])
 RESULT = pa.schema([("doc_id", pa.int64()), ("n_words", pa.int64()), ("n_removed", pa.int64()), ("kept_sha256", pa.string()), ("text", pa.string())])
-
-
-def _cut(window: int, with_text: bool):
+RUNS = pa.schema([("chunk", pa.int32()), ("owner", pa.int64()), ("body", pa.binary())])
+
+
+class Verdicts:
+    """Which windows of a chunk start earlier, and where those of other chunks do."""
+
+    def __init__(self, chunk: Chunk, ids: np.ndarray, verdicts: pa.Table, window: int):
+        self.at, h, more = chunk.keys(window)
+        away, here = (np.concatenate([np.frombuffer(x, PAIR) for x in verdicts[name].to_pylist()]) for name in ("elsewhere", "here"))
+        both = np.concatenate((np.rec.fromarrays((h, more), dtype=PAIR), away, here))
+        head, group, _ = _fold(both["h"], both["m"])
+        n, e = len(h), len(h) + len(away)
+        self.group, self.n = group[:n], len(head)
+        self.source = np.full(len(head), -1)  # line of ``away`` that says where a window starts first
+        self.source[group[n:e]] = np.arange(e - n)
+        self.away = self.source[self.group] >= 0
+        home = np.zeros(len(head), bool)
+        home[group[e:]] = True
+        local = np.flatnonzero(home[self.group])
+        row = chunk.place(self.at[local])[0]
+        mine = self.group[local]
+        least = np.full(len(head), n)
+        np.minimum.at(least, mine, local)  # rows stand in the order of ids
+        smallest = ids[chunk.place(self.at[np.minimum(least, max(0, n - 1))])[0]] if n else np.empty(0, np.int64)
+        _, start, back = np.unique(mine * len(chunk.texts) + row, return_index=True, return_inverse=True)
+        earlier = local[start][back]  # first of the same words in the same row
+        lead = np.where(ids[row] > smallest[mine], least[mine], earlier)
+        self.drop = self.away.copy()
+        self.drop[local] = lead != local
+        for i in range(0, len(local), 1 << 17):
+            x, y = self.at[local[i : i + (1 << 17)]], self.at[lead[i : i + (1 << 17)]]
+            step = np.arange(window)
+            if (chunk.numbers[x[:, None] + step] != chunk.numbers[y[:, None] + step]).any():
+                raise ValueError(COLLISION)
+        self.chunks = np.concatenate([_from_steps(x) for x in verdicts["chunks"].to_pylist()])
+        self.owners = np.concatenate([np.cumsum(np.frombuffer(x, "<i8"), dtype=np.int64) for x in verdicts["owners"].to_pylist()])
+
+
+COLLISION = "two different word sequences share a hash of 96 bits; give another seed"
+
+
+def _cut(window: int, seed: int, with_text: bool):
     def run(docs: pa.Table, verdicts: pa.Table) -> pa.Table:
-        ids, texts = _texts(docs) if docs.num_rows else ([], [])
-        covered = first = None
-        if len(ids) and verdicts.num_rows:
-            chunk = Chunk(texts, 2)
-            first = chunk.first
-            at, h = chunk.windows(window, 0)
-            more = (chunk.windows(window, 1)[1] >> U64(32)).astype(np.uint32)
-            lists = [np.concatenate([np.frombuffer(x, PAIR) for x in verdicts[name].to_pylist()]) for name in ("elsewhere", "here")]
-            both = np.concatenate((np.rec.fromarrays((h, more), dtype=PAIR), *lists))
-            head, group, _ = _fold(both["h"], both["m"])
-            n, e = len(h), len(h) + len(lists[0])
-            away, home = np.zeros(len(head), bool), np.zeros(len(head), bool)
-            away[group[n:e]] = True
-            home[group[e:]] = True
-            mine = group[:n]
-            leader = np.full(len(head), n)
-            np.minimum.at(leader, mine, np.arange(n))
-            drop = away[mine] | home[mine] & (np.arange(n) > leader[mine])
+        if not docs.num_rows:
+            return RESULT.empty_table()
+        ids, there, texts = _texts(docs)
+        covered = None
+        if verdicts.num_rows:
+            chunk = Chunk(texts, seed)
+            found = Verdicts(chunk, ids, verdicts, window)
             edges = np.zeros(chunk.n + 1, np.int32)
-            np.add.at(edges, at[drop], 1)
-            np.add.at(edges, at[drop] + window, -1)
+            gone = found.at[found.drop]
+            np.add.at(edges, gone, 1)
+            np.add.at(edges, gone + window, -1)
             covered = np.cumsum(edges)[:-1] > 0
         out = []
-        for k, (doc, text) in enumerate(zip(ids, texts)):
-            words = text.split()
+        for k, text in enumerate(texts):
+            words = chunk.texts[k] if covered is not None else text.split()
             n, gone = len(words), 0
             if covered is not None:
-                mask = covered[first[k] : first[k + 1]]
+                mask = covered[chunk.first[k] : chunk.first[k + 1]]
                 gone = int(mask.sum())
                 if gone:
                     words = compress(words, (~mask).tolist())
             kept = b" ".join(words)
-            out.append((int(doc), n, gone, hashlib.sha256(kept).hexdigest(), kept.decode() if with_text else None))
-        return pa.table(dict(zip(RESULT.names, map(list, zip(*out)))), RESULT) if out else RESULT.empty_table()
+            out.append((int(ids[k]) if there[k] else None, n, gone, hashlib.sha256(kept).hexdigest(), kept.decode() if with_text else None))
+        return _table(out, RESULT)
+
+    return run
+
+
+def _runs(window: int, seed: int):
+    """Distinct stretches that are cut because they start in another chunk, with the document where they are said to start."""
+
+    def run(docs: pa.Table, verdicts: pa.Table) -> pa.Table:
+        if not docs.num_rows or not verdicts.num_rows:
+            return RUNS.empty_table()
+        ids, _, texts = _texts(docs)
+        chunk = Chunk(texts, seed)
+        found = Verdicts(chunk, ids, verdicts, window)
+        at = found.at[found.away]
+        if not len(at):
+            return RUNS.empty_table()
+        line = found.source[found.group[found.away]]
+        row = chunk.place(at)[0]
+        where, owner = found.chunks[line], found.owners[line]
+        new = np.ones(len(at), bool)
+        new[1:] = (np.diff(at) != 1) | (np.diff(row) != 0) | (np.diff(where) != 0) | (np.diff(owner) != 0)
+        start = np.flatnonzero(new)
+        end = np.append(start[1:], len(at)) - 1
+        base = chunk.first[row[start]]
+        out = set()
+        for c, o, r, a, b in zip(where[start].tolist(), owner[start].tolist(), row[start].tolist(), (at[start] - base).tolist(), (at[end] - base + window).tolist()):
+            out.add((c, o, b" ".join(chunk.texts[r][a:b])))
+        return _table(list(out), RUNS)
+
+    return run
+
+
+def _check(window: int):
+    def run(docs: pa.Table, runs: pa.Table) -> pa.Table:
+        if not runs.num_rows:
+            return RESULT.empty_table()
+        wanted = set(runs["owner"].to_pylist())
+        held: dict[int, list[bytes]] = {}
+        for doc, text in zip(docs["doc_id"].to_pylist(), docs["body"].cast(pa.binary()).to_pylist()):
+            if doc in wanted:
+                held.setdefault(doc, []).append(b" " + b" ".join(text.split()) + b" ")
+        for doc, body in zip(runs["owner"].to_pylist(), runs["body"].to_pylist()):
+            texts = held.get(doc, [])
+            if any(b" " + body + b" " in t for t in texts):
+                continue
+            words = body.split(b" ")  # parts of the run may stand at different places
+            if not all(any(b" " + b" ".join(words[i : i + window]) + b" " in t for t in texts) for i in range(len(words) - window + 1)):
+                raise ValueError(COLLISION)
+        return RESULT.empty_table()
 
     return run
 
@@ -274,25 +394,34 @@ def _ddl(schema: pa.Schema) -> str:
     return ", ".join(f"{f.name} {kinds[str(f.type)]}" for f in schema)
 
 
-def substring_dedup(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", window: int = 20, chunk_bytes: int = 4 << 20, with_text: bool = True) -> DataFrame:
+def deal(total: int, chunk_bytes: int, bucket_bytes: int, most: int = 32 << 20) -> tuple[int, int]:
+    """Chunks and buckets for so many bytes of text; chunks grow with the root of the input, up to ``most`` bytes."""
+    size = min(max(most, chunk_bytes), max(chunk_bytes, int(chunk_bytes * math.sqrt(total / (1 << 30)))))
+    return max(1, -(-total // size)), max(1, -(-total // bucket_bytes))
+
+
+def substring_dedup(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", window: int = 20, chunk_bytes: int = 4 << 20, bucket_bytes: int = 8 << 20, seed: int = 0, with_text: bool = True) -> DataFrame:
     """``doc_id, n_words, n_removed, kept_sha256, text``: documents without the words of later repeats.
 
     Words are maximal runs of bytes other than space and 0x09-0x0D, unchanged.  A word goes when a window of
     ``window`` consecutive words of its document covers it and the same words also start earlier: in a smaller id, or
     earlier in the same document.  Windows are judged on the input.  ``text`` has the kept words joined by one space.
 
-    Null texts have no words.  Rows that share an id are taken in the order of their texts, and a later one counts as
-    later; a null id is taken as the smallest long.  Other
+    Null texts have no words.  Rows that share an id are documents of their own, none before the other, so repeated rows get
+    equal rows.  Rows with a null id stand behind all others, none before the other, and the null is passed on.  Other
     columns are ignored.  An empty input gives an empty result.
     """
     ship(docs.sparkSession)
     block = (window + 1) // 2
     body = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    rows = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(-(2**63)).cast("long")).alias("doc_id"), body.alias("body"))
-    chunks = max(1, -(-text_bytes(docs, text_col) // chunk_bytes))
-    rows = rows.withColumn("chunk", F.pmod(F.xxhash64("doc_id"), F.lit(chunks)).cast("int"))
-    probes = rows.groupBy("chunk").applyInArrow(_probe(chunks, block), _ddl(PROBE))
+    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), body.alias("body"))
+    chunks, buckets = deal(text_bytes(docs, text_col), chunk_bytes, bucket_bytes)
+    rows = rows.withColumn("chunk", F.pmod(F.xxhash64("doc_id", "body"), F.lit(chunks)).cast("int"))
+    probes = rows.groupBy("chunk").applyInArrow(_probe(buckets, block, seed), _ddl(PROBE))
     hits = probes.groupBy("bucket").applyInArrow(_match, _ddl(HITS))
-    near = rows.groupBy("chunk").cogroup(hits.groupBy("chunk")).applyInArrow(_extend(chunks, block, window), _ddl(CANDIDATES))
-    verdicts = near.groupBy("bucket").applyInArrow(_order, _ddl(VERDICTS))
-    return rows.groupBy("chunk").cogroup(verdicts.groupBy("chunk")).applyInArrow(_cut(window, with_text), _ddl(RESULT))
+    near = rows.groupBy("chunk").cogroup(hits.groupBy("chunk")).applyInArrow(_extend(buckets, block, window, seed), _ddl(CANDIDATES))
+    verdicts = near.groupBy("bucket").applyInArrow(_order, _ddl(VERDICTS)).groupBy("chunk")
+    cut = rows.groupBy("chunk").cogroup(verdicts).applyInArrow(_cut(window, seed, with_text), _ddl(RESULT))
+    runs = rows.groupBy("chunk").cogroup(verdicts).applyInArrow(_runs(window, seed), _ddl(RUNS)).distinct()  # combined before the shuffle
+    checked = rows.groupBy("chunk").cogroup(runs.groupBy("chunk")).applyInArrow(_check(window), _ddl(RESULT))  # no rows, or an error
+    return cut.unionAll(checked)

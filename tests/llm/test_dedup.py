@@ -14,20 +14,23 @@ WORD = re.compile(r"[^\x20\x09-\x0D]+")
 
 
 def brute_substring(rows, window=20):
-    first, out = {}, []
-    order = sorted(((i if i is not None else -(2**63), t or "") for i, t in rows), key=lambda r: (r[0], r[1]))
-    docs = [(i, WORD.findall(t)) for i, t in order]
-    for n, (_, w) in enumerate(docs):
+    """Smaller ids stand first; rows without an id behind all others; rows that share an id, or have none, are not before each other."""
+    docs = [(i, float("inf") if i is None else i, WORD.findall(t or "")) for i, t in rows]
+    least, out = {}, []
+    for _, key, w in docs:
         for p in range(len(w) - window + 1):
-            first.setdefault(tuple(w[p : p + window]), (n, p))
-    for n, (i, w) in enumerate(docs):
-        gone = set()
+            x = tuple(w[p : p + window])
+            least[x] = min(least.get(x, key), key)
+    for i, key, w in docs:
+        gone, seen = set(), set()
         for p in range(len(w) - window + 1):
-            if first[tuple(w[p : p + window])] < (n, p):
+            x = tuple(w[p : p + window])
+            if least[x] < key or x in seen:
                 gone |= set(range(p, p + window))
+            seen.add(x)
         kept = " ".join(x for k, x in enumerate(w) if k not in gone)
         out.append((i, len(w), len(gone), hashlib.sha256(kept.encode()).hexdigest(), kept))
-    return sorted(out)
+    return sorted(out, key=str)
 
 
 def test_substring_random(spark):
@@ -41,12 +44,54 @@ def test_substring_random(spark):
         rows.append((i, r.choice([" ", "\n", "  "]).join(words)))
     rows.append((60, " ".join(["same"] * 100)))
     got = substring_dedup.substring_dedup(spark.createDataFrame(rows, "doc_id long, text string"), chunk_bytes=3000)
-    assert sorted(tuple(x) for x in got.collect()) == brute_substring(rows)
+    assert sorted((tuple(x) for x in got.collect()), key=str) == brute_substring(rows)
+    again = substring_dedup.substring_dedup(spark.createDataFrame(rows, "doc_id long, text string"), chunk_bytes=500, bucket_bytes=900, seed=9)
+    assert sorted((tuple(x) for x in again.collect()), key=str) == brute_substring(rows)
+
+
+def thue_morse(n, flip):
+    return "".join("ab"[(bin(i).count("1") + flip) % 2] for i in range(n))
+
+
+def test_substring_hostile_words(spark):
+    """Words on which every polynomial hash modulo 2**64 collides are told apart."""
+    shared = " ".join(f"w{i}" for i in range(19))
+    rows = [(k, f"{shared} {thue_morse(2048, k)}") for k in (0, 1)]
+    got = {x["doc_id"]: x["n_removed"] for x in substring_dedup.substring_dedup(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {0: 0, 1: 0}
+
+
+def test_substring_null_and_repeated_ids(spark):
+    line = " ".join(f"w{i}" for i in range(25))
+    rows = [(None, line), (None, line), (4, line + " x"), (4, line + " x"), (9, "y " + line), (None, " ".join(f"n{i}" for i in range(22)))] * 3
+    got = substring_dedup.substring_dedup(spark.createDataFrame(rows, "doc_id long, text string"), chunk_bytes=100, bucket_bytes=100).collect()
+    assert sorted((tuple(x) for x in got), key=str) == brute_substring(rows)
+
+
+def test_substring_collision_is_an_error(spark, monkeypatch):
+    """A run that does not stand where a hash says it starts stops the job."""
+    import pyarrow as pa
+    import pytest
+
+    docs = pa.table({"doc_id": [1], "body": [" ".join(map(str, range(30)))], "chunk": [0]})
+    run = lambda words: pa.table({"chunk": [0], "owner": [1], "body": [" ".join(words).encode()]})
+    check = substring_dedup._check(20)
+    assert not check(docs, run(map(str, range(3, 25)))).num_rows
+    with pytest.raises(ValueError):
+        check(docs, run([*map(str, range(3, 24)), "x"]))
+
+
+def test_substring_packing():
+    r = np.random.default_rng(5)
+    for size, top in ((0, 10), (1, 1 << 30), (1000, 1 << 27), (50, 1 << 27), (5000, 20_000)):
+        x = np.unique(r.integers(0, top, size))
+        assert (substring_dedup._unpack(substring_dedup._pack(x)) == x).all()
+    assert substring_dedup._unpack(substring_dedup._pack(np.array([65535, 131070, 131071]))).tolist() == [65535, 131070, 131071]
 
 
 def test_substring_edges(edge, empty):
     rows = [(x["doc_id"], x["text"]) for x in edge.select("doc_id", "text").collect()]
-    got = sorted(tuple(x) for x in substring_dedup.substring_dedup(edge).collect())
+    got = sorted((tuple(x) for x in substring_dedup.substring_dedup(edge).collect()), key=str)
     assert got == brute_substring(rows)
     assert substring_dedup.substring_dedup(empty).count() == 0
 
