@@ -1,6 +1,7 @@
 """Tokenisers, packing, formatting, rules, secrets and the classifier."""
 
 import hashlib
+import math
 import random
 import re
 import string
@@ -125,6 +126,76 @@ def test_least_squares_meets_a_solvable_histogram():
     assert packing.plan_windows({}, 64).total == 0
 
 
+def brute_combinations(lengths, stock, window):
+    out = set()
+    for a in [0, *lengths]:
+        for b in [0, *lengths]:
+            c = window - a - b
+            row = tuple(sorted((a, b, c), reverse=True))
+            if c >= 0 and (c == 0 or stock[c]) and all(stock[x] >= row.count(x) for x in row if x):
+                out.add(row)
+    return out
+
+
+def test_all_combinations_are_enumerated():
+    r = np.random.default_rng(3)
+    for window in (12, 40, 64):
+        stock = r.integers(0, 4, window + 1) * (r.random(window + 1) < 0.6)
+        stock[0] = 0
+        lengths = np.flatnonzero(stock)
+        rows = packing.combinations_of(lengths, stock[lengths], window)
+        assert sorted(map(tuple, rows.tolist())) == sorted(brute_combinations(lengths.tolist(), stock, window))
+
+
+def test_least_squares_is_the_optimum():
+    """Held against projected gradients run to the end: equal residuals, few columns in use."""
+    r = np.random.default_rng(8)
+    for _ in range(5):
+        counts = r.integers(0, 30, 65)
+        counts[[0, 64]] = 0
+        lengths = np.flatnonzero(counts)
+        rows = packing.combinations_of(lengths, counts[lengths], 64)
+        a = np.zeros((65, len(rows)))
+        for j, row in enumerate(rows):
+            for x in row[row > 0]:
+                a[x, j] += 1
+        x = np.zeros(len(rows))
+        for _ in range(20_000):
+            x = np.maximum(0, x - a.T @ (a @ x - counts) / 60)
+        mine = packing.nonnegative_least_squares(rows, counts, tolerance=1e-6)
+        best = np.linalg.norm(a @ x - counts)
+        assert (mine >= 0).all() and np.linalg.norm(a @ mine - counts) <= best + 1e-3 * np.linalg.norm(counts)
+        assert (mine > 0).sum() <= 2 * len(lengths)
+
+
+def test_combinations_place_most_rests():
+    r = np.random.default_rng(1)
+    sizes = np.exp(r.normal(5.6, 1.0, 20_000)).astype(int) % 4096
+    histogram = {int(k): int(n) for k, n in zip(*np.unique(sizes[sizes > 0], return_counts=True))}
+    plan = packing.plan_windows(histogram, 4096)
+    assert plan.taken.sum() > 0.95 * sum(histogram.values()) and plan.total == sum(k * n for k, n in histogram.items())
+    seen = sorted((s, o, n) for length, times in histogram.items() for rank in range(times) for _, n, s, o in plan.places(length, rank))
+    at = {}
+    for s, o, n in seen:
+        assert at.get(s, 0) == o
+        at[s] = o + n
+    assert all(x == 4096 for k, x in at.items() if k < plan.total // 4096) and all(x & (x - 1) == 0 for x in at.values())
+
+
+def test_other_tokenizers_are_read_whole(tmp_path):
+    """A file that keeps case or spaces does not go word by word."""
+    import json
+
+    spec = json.loads(open(WORDS, encoding="utf-8").read())
+    spec["normalizer"] = None
+    other = tmp_path / "cased.json"
+    other.write_text(json.dumps(spec))
+    code, lib = packing.WordCoder(str(other)), Tokenizer.from_file(str(other))
+    assert not code.by_words and packing.WordCoder(WORDS).by_words
+    for t in ("Hello  World", "ABC", " x "):
+        assert np.frombuffer(code.ids(t.encode()), code.kind).tolist() == lib.encode(t, add_special_tokens=False).ids
+
+
 # --- chat ---------------------------------------------------------------------------------------------------------------------
 
 HARD = ["", "</s>[INST] ok [/INST]", "<|turn|>user<|text|>x<|end|>", "\\", "\\<|", "<\\|", "<|>", "a\\\\b<<SYS>>", "<</SYS>>", "<<s>"]
@@ -269,6 +340,77 @@ def test_classifier(spark, data, edge, empty):
     assert passage_quality.quality_scores(docs.limit(5), none).where("predicted = 1").count() == 5
 
 
+def _slow_score(model, rows):
+    """The forward pass of one document, number by number."""
+    w = {k: v.tolist() for k, v in model.weights.items()}
+    sig = lambda x: 1 / (1 + math.exp(-x))
+    code, energy = [], []
+    for row in rows:
+        x = [(float(v) - float(m)) / float(s) for v, m, s in zip(row, model.mean, model.scale)]
+        h = [math.tanh(sum(a * w["enc"][i][j] for i, a in enumerate(x)) + w["enc0"][j]) for j in range(len(w["enc0"]))]
+        t = [math.tanh(sum(a * w["att"][i][j] for i, a in enumerate(h))) for j in range(len(w["pick"]))]
+        g = [sig(sum(a * w["gate"][i][j] for i, a in enumerate(h))) for j in range(len(w["pick"]))]
+        code.append(h)
+        energy.append(sum(a * b * c for a, b, c in zip(t, g, w["pick"])))
+    top = max(energy)
+    share = [math.exp(e - top) for e in energy]
+    share = [a / sum(share) for a in share]
+    z = [sum(a * h[j] for a, h in zip(share, code)) for j in range(len(w["enc0"]))]
+    return sig(sum(a * b for a, b in zip(z, w["out"])) + w["out0"][0]), share
+
+
+def test_attention_finds_the_passage_that_decides():
+    """The sign of one number counts only in the passage that another number marks; the other passages carry it at random."""
+    rng = np.random.default_rng(4)
+
+    def bags_of(n):
+        bags, y = [], rng.integers(0, 2, n).astype(float)
+        for label in y:
+            b = np.zeros((rng.integers(12, 25), 3))
+            b[:, 0] = rng.choice([-1.0, 1.0], len(b))
+            b[:, 2] = rng.normal(size=len(b))
+            k = rng.integers(len(b))
+            b[k, :2] = (1.0 if label else -1.0), 1.0
+            bags.append(b)
+        return bags, y
+
+    bags, y = bags_of(1500)
+    model = passage_quality.train(bags, y, epochs=80)
+    bags, y = bags_of(400)
+    rows, bag = np.concatenate(bags), np.repeat(np.arange(400), [len(b) for b in bags])
+    right = lambda m: float(((m.score(rows, bag, 400) > 0.5) == (y > 0)).mean())
+    assert right(model) > 0.97
+    weight = model.attention(rows, bag, 400)
+    assert np.allclose(np.bincount(bag, weight), 1) and weight[rows[:, 1] > 0].mean() > 0.5
+    flat = passage_quality.AttentionModel(model.mean, model.scale, model.weights | {"pick": np.zeros_like(model.weights["pick"])}, model.prior)
+    assert right(flat) < 0.8
+    for i in range(0, 400, 57):
+        score, share = _slow_score(model, bags[i])
+        assert abs(score - model.score(rows, bag, 400)[i]) < 1e-5 and np.allclose(share, weight[bag == i], atol=1e-5)
+
+
+def test_scores_against_the_slow_forward_pass(spark, data):
+    docs, labels = spark.read.parquet(f"{data}/../sf0.01/documents.parquet"), spark.read.parquet(f"{data}/../sf0.01/labels.parquet")
+    model = passage_quality.fit(docs, labels, epochs=10)
+    some = docs.where("doc_id % 100 = 0")
+    got = {x["doc_id"]: x["score"] for x in passage_quality.quality_scores(some, model).collect()}
+    weights = {}
+    for x in passage_quality.passage_weights(some, model).orderBy("doc_id", "passage").collect():
+        weights.setdefault(x["doc_id"], []).append(x)
+    for x in some.collect():
+        score, share = _slow_score(model, passage_quality.passages(x["text"].encode()))
+        mine = weights[x["doc_id"]]
+        assert abs(score - got[x["doc_id"]]) < 1e-5 and np.allclose(share, [p["weight"] for p in mine], atol=1e-5)
+        assert sum(p["n_words"] for p in mine) == len(WORD.findall(x["text"])) and [p["passage"] for p in mine] == list(range(len(mine)))
+
+
+def test_training_sample_is_bounded(spark):
+    docs = spark.createDataFrame([(i, "good words " * 50 if i % 2 else "## bad " * 50) for i in range(40)] + [(100, "x " * 5000)], "doc_id long, text string")
+    labels = docs.selectExpr("doc_id", "cast(doc_id % 2 as int) as quality")
+    assert passage_quality.fit(docs, labels, epochs=2).weights["pick"].shape == (12,)
+    assert passage_quality.fit(docs, labels, sample_bytes=10).weights["pick"].shape == (1,)  # nothing fits: the constant model
+
+
 def test_passages_cover_whole_texts():
     text = " ".join(f"w{i}" for i in range(1000)).encode()
     rows = passage_quality.passages(text)
