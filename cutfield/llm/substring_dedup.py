@@ -18,8 +18,9 @@ proportion to it.
 6. runs, check: each distinct run that 5 cuts goes, with its words, to the document that it is said to start in,
    and must stand there word by word; repeats inside a chunk are compared word by word at once
 
-A false hit in 1-2 only adds a window to 3.  Hashes of words are BLAKE2b; should two word sequences ever share 96 bits,
-6 fails the job instead of returning a wrong row, and another ``seed`` gives other hashes.
+A false hit in 1-2 only adds a window to 3.  Words are hashed eight bytes at a time, each step mixed by a bijection, long
+words by BLAKE2b; should two word sequences ever share 96 bits, 6 fails the job instead of returning a wrong row, and
+another ``seed`` gives other hashes.
 """
 
 from __future__ import annotations
@@ -39,10 +40,13 @@ from .common import text_bytes
 U64 = np.uint64
 #: Odd bases of the polynomials that join the hashes of a window's words.
 BASES = (U64(0x9E3779B97F4A7C15), U64(0xC2B2AE3D27D4EB4F))
-#: Bits of a hash inside its bucket, and distinct words that a worker remembers before it starts anew.
-BITS, REMEMBERED = 27, 400_000
+#: Bits of a hash inside its bucket, and bytes above which a word is hashed by BLAKE2b.
+BITS, LONG = 27, 256
 #: Order of rows without an id: behind all others.
 LAST = np.iinfo(np.int64).max
+_SPACE = np.zeros(256, bool)
+_SPACE[[9, 10, 11, 12, 13, 32]] = True
+_MASKS = np.array([(1 << 8 * k) - 1 for k in range(9)], U64)
 
 
 def _mix(x: np.ndarray) -> np.ndarray:
@@ -51,49 +55,78 @@ def _mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> U64(31))
 
 
-class Words(dict):
-    """A number for each distinct word, and two 64-bit hashes of it."""
-
-    def __init__(self, seed: int):
-        super().__init__()
-        self.seed = seed
-        self.key = seed.to_bytes(8, "little")
-        self.digests = bytearray()
-
-    def __missing__(self, word: bytes) -> int:
-        self.digests += hashlib.blake2b(word, digest_size=16, key=self.key).digest()
-        self[word] = out = len(self)
-        return out
-
-
-_WORDS = Words(0)
+def word_hashes(raw: bytes, start: np.ndarray, length: np.ndarray, seed: int, hashes: int) -> list[np.ndarray]:
+    """64-bit hashes of each word; words of up to eight bytes and equal length never share one."""
+    lanes = np.ndarray(len(raw), "<u8", raw + b"\0" * 8, strides=(1,))
+    out = []
+    with np.errstate(over="ignore"):
+        for k in range(hashes):
+            out.append(_mix(length.astype(U64) + U64(((2 * seed + k) * 0x9E3779B97F4A7C15 + 0x632BE59BD9B4E019) & (2**64 - 1))))
+        at, here, size = slice(None), start, np.where(length <= LONG, length, 0)
+        k = 0
+        while len(here):
+            lane = lanes[here] & _MASKS[np.minimum(8, size)]
+            for j, h in enumerate(out):
+                h[at] = _mix((h[at] ^ lane) * BASES[j] + U64(k + 1))
+            more = np.flatnonzero(size > 8)
+            at = more if isinstance(at, slice) else at[more]
+            here, size = here[more] + 8, size[more] - 8
+            k += 1
+    for i in np.flatnonzero(length > LONG).tolist():
+        digest = hashlib.blake2b(raw[start[i] : start[i] + length[i]], digest_size=16, key=seed.to_bytes(8, "little")).digest()
+        for j, h in enumerate(out):
+            h[i] = int.from_bytes(digest[8 * j : 8 * j + 8], "little")
+    return out
 
 
 class Chunk:
-    """The words of several texts: their numbers and hashes, and the documents they stand in."""
-
-    def __init__(self, texts: list[bytes], seed: int):
-        global _WORDS
-        if _WORDS.seed != seed or len(_WORDS) > REMEMBERED:
-            _WORDS = Words(seed)
-        self.texts = [t.split() for t in texts]  # of bytes: at space and 0x09-0x0D alone
-        self.first = np.concatenate(([0], np.cumsum([len(t) for t in self.texts], dtype=np.int64)))  # word at which each text begins; the last is the total
-        self.n = int(self.first[-1])
-        number = _WORDS.__getitem__
-        self.numbers = np.fromiter((number(w) for t in self.texts for w in t), np.int32, self.n)
-        self.digests = np.frombuffer(bytes(_WORDS.digests), "<u8").reshape(-1, 2)
+    """The words of several texts: their hashes, and the documents they stand in."""
+
+    def __init__(self, texts: list[bytes], seed: int, hashes: int = 2):
+        self.texts = texts
+        self.raw = b" ".join(texts)
+        raw = np.frombuffer(self.raw, np.uint8)
+        solid = ~_SPACE[raw]
+        edge = np.flatnonzero(np.diff(np.concatenate(([False], solid, [False])).view(np.int8)))
+        self.start, self.length = edge[::2], np.diff(edge)[::2]
+        begins = np.concatenate(([0], np.cumsum(np.fromiter((len(t) + 1 for t in texts), np.int64, len(texts)))))
+        self.first = np.searchsorted(self.start, begins)  # word at which each text begins; the last is the total
+        self.n = len(self.start)
+        self.hashes = word_hashes(self.raw, self.start, self.length, seed, hashes) if self.n else [np.empty(0, U64)] * hashes
+
+    def words(self, a: int, b: int) -> list[bytes]:
+        """Some consecutive words of one text."""
+        return self.raw[self.start[a] : self.start[b - 1] + self.length[b - 1]].split() if b > a else []
+
+    def numbers(self, at: np.ndarray) -> np.ndarray:
+        """A number for each of some words, equal for equal words alone."""
+        seen: dict[bytes, int] = {}
+        return np.fromiter((seen.setdefault(self.raw[a : a + n], len(seen)) for a, n in zip(self.start[at].tolist(), self.length[at].tolist())), np.int64, len(at))
 
     def windows(self, size: int, which: int) -> tuple[np.ndarray, np.ndarray]:
         """First word of each window of ``size`` words inside one text, and the window's 64-bit hash."""
         reach = np.repeat(self.first[1:], np.diff(self.first))  # end of each word's text
         at = np.flatnonzero(np.arange(self.n) + size <= reach)
-        w = self.digests[self.numbers, which]
-        h = np.zeros(max(0, self.n - size + 1), U64)
+        w = self.hashes[which]
+        if not len(at):
+            return at, np.empty(0, U64)
+        part, width, power = self.hashes[which], 1, BASES[which]  # hashes of ``width`` words, joined from shorter ones
+        out, done = None, 0
         with np.errstate(over="ignore"):
-            for k in range(size):
-                h *= BASES[which]
-                h += w[k : k + len(h)]
-            return at, _mix(h[at])
+            while True:
+                if size & width:
+                    if out is None:
+                        out = part
+                    else:  # what is there already goes behind
+                        n = self.n - done - width + 1
+                        out = part[:n] * raised + out[width : width + n]
+                    raised = power if done == 0 else raised * power
+                    done += width
+                if done == size:
+                    return at, _mix(out[at])
+                n = self.n - 2 * width + 1
+                part = part[:n] * power + part[width : width + n]
+                width, power = 2 * width, power * power
 
     def keys(self, window: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """First word, hash and second hash of each window."""
@@ -161,13 +194,13 @@ HITS = pa.schema([("chunk", pa.int32()), ("bucket", pa.int32()), ("hashes", pa.b
 
 def _probe(buckets: int, block: int, seed: int):
     def run(table: pa.Table) -> pa.Table:
-        chunk = Chunk(_texts(table)[2], seed)
+        chunk = Chunk(_texts(table)[2], seed, 1)
         at, h = chunk.windows(block, 0)
-        key = _key(h, buckets)
         aligned = chunk.place(at)[1] % block == 0
-        found, back, count = np.unique(key, return_inverse=True, return_counts=True)
-        flag = np.zeros(len(found), bool)
-        flag[back[aligned]] = True
+        both = np.sort(_key(h, buckets) << 1 | aligned)  # blocks stand last among their equals
+        new = np.flatnonzero(np.concatenate((np.ones(min(1, len(both)), bool), both[1:] >> 1 != both[:-1] >> 1)))
+        end = np.append(new[1:], len(both))[: len(new)]
+        found, count, flag = both[new] >> 1, end - new, (both[end - 1] & 1).astype(bool)
         bounds = _split(found >> BITS, buckets)
         me, low = table["chunk"][0].as_py(), (1 << BITS) - 1
         return _table([(b, me, _pack(found[i:j] & low), np.packbits(flag[i:j]).tobytes(), np.packbits(count[i:j] > 1).tobytes()) for b, (i, j) in enumerate(zip(bounds[:-1], bounds[1:])) if j > i], PROBE)
@@ -199,15 +232,18 @@ VERDICTS = pa.schema([("chunk", pa.int32()), ("elsewhere", pa.binary()), ("chunk
 
 
 def _fold(h: np.ndarray, more: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """First index, inverse and count of each distinct (hash, second hash), in ascending order."""
-    order = np.lexsort((more, h))
+    """Order by (hash, second hash), the start of each group of equals in it, and the group of each entry."""
+    order = np.argsort(h)
     a, b = h[order], more[order]
     new = np.ones(len(a), bool)
-    new[1:] = (a[1:] != a[:-1]) | (b[1:] != b[:-1])
-    group = np.cumsum(new) - 1
-    inverse = np.empty(len(a), np.int64)
-    inverse[order] = group
-    return order[new], inverse, np.bincount(group, minlength=int(new.sum()))
+    new[1:] = a[1:] != a[:-1]
+    if (~new[1:] & (b[1:] != b[:-1])).any():  # a first hash alone may collide
+        order = np.lexsort((more, h))
+        a, b = h[order], more[order]
+        new[1:] = (a[1:] != a[:-1]) | (b[1:] != b[:-1])
+    group = np.empty(len(a), np.int64)
+    group[order] = np.cumsum(new) - 1
+    return order, np.flatnonzero(new), group
 
 
 def _extend(buckets: int, block: int, window: int, seed: int):
@@ -226,8 +262,11 @@ def _extend(buckets: int, block: int, window: int, seed: int):
         at, h, more = chunk.keys(window)
         around = total[at + window - block + 1] > total[at]
         at, h, more = at[around], h[around], more[around]
-        first, _, count = _fold(h, more)  # texts stand in the order of ids, so the first is the smallest
-        h, more, owner, many = h[first], more[first], ids[chunk.place(at[first])[0]], count > 1
+        if not len(at):
+            return CANDIDATES.empty_table()
+        by_hash, start, _ = _fold(h, more)
+        first = np.minimum.reduceat(by_hash, start)  # texts stand in the order of ids, so the first is the smallest
+        h, more, owner, many = h[first], more[first], ids[chunk.place(at[first])[0]], np.diff(np.append(start, len(h))) > 1
         bucket = ((h >> U64(40)) % U64(buckets)).astype(np.int64)
         order = np.lexsort((owner, bucket))
         h, more, owner, many = h[order], more[order], owner[order], many[order]
@@ -247,24 +286,19 @@ def _order(table: pa.Table) -> pa.Table:
     many = np.concatenate([np.unpackbits(np.frombuffer(x, np.uint8), count=n) for x, n in zip(table["again"].to_pylist(), sizes)]) > 0
     names = table["chunk"].to_numpy().astype(np.int64)
     chunk = np.repeat(names, sizes)
-    order = np.lexsort((chunk, owner, more, h))
-    a, b = h[order], more[order]
-    new = np.ones(len(a), bool)
-    new[1:] = (a[1:] != a[:-1]) | (b[1:] != b[:-1])
-    group = np.empty(len(a), np.int64)
-    group[order] = np.cumsum(new) - 1
-    first = order[new]  # smallest id, and of its chunks the smallest
-    lead = first[group]
-    later = owner > owner[lead]  # rows that share an id never stand before each other
+    order, start, group = _fold(h, more)
+    least = np.minimum.reduceat(owner[order], start)[group]  # smallest id, and of its chunks the smallest
+    where = np.minimum.reduceat(np.where(owner == least, chunk, LAST)[order], start)[group]
+    later = owner > least  # rows that share an id never stand before each other
     rows, i = [], 0
     for me, n in zip(names.tolist(), sizes):
         s = np.arange(i, i + n)
         i += n
         away, here = s[later[s]], s[many[s] & ~later[s]]
         if len(away) or len(here):
-            away = away[np.lexsort((owner[lead[away]], chunk[lead[away]]))]
+            away = away[np.lexsort((least[away], where[away]))]
             both = lambda at: np.rec.fromarrays((h[at], more[at]), dtype=PAIR).tobytes()
-            rows.append((me, both(away), _steps(chunk[lead[away]]), np.diff(owner[lead[away]], prepend=np.int64(0)).astype("<i8").tobytes(), both(here)))
+            rows.append((me, both(away), _steps(where[away]), np.diff(least[away], prepend=np.int64(0)).astype("<i8").tobytes(), both(here)))
     return _table(rows, VERDICTS)
 
 
@@ -272,36 +306,50 @@ RESULT = pa.schema([("doc_id", pa.int64()), ("n_words", pa.int64()), ("n_removed
 RUNS = pa.schema([("chunk", pa.int32()), ("owner", pa.int64()), ("body", pa.binary())])
 
 
+def spread(at: np.ndarray, size: int, n: int) -> np.ndarray:
+    """Which of ``n`` words the windows of ``size`` words that begin at ``at`` cover."""
+    return np.cumsum(np.bincount(at, minlength=n + 1) - np.bincount(at + size, minlength=n + 1))[:n] > 0
+
+
 class Verdicts:
     """Which windows of a chunk start earlier, and where those of other chunks do."""
 
-    def __init__(self, chunk: Chunk, ids: np.ndarray, verdicts: pa.Table, window: int):
-        self.at, h, more = chunk.keys(window)
+    def __init__(self, chunk: Chunk, ids: np.ndarray, verdicts: pa.Table, window: int, compare: bool):
+        at, h, more = chunk.keys(window)
         away, here = (np.concatenate([np.frombuffer(x, PAIR) for x in verdicts[name].to_pylist()]) for name in ("elsewhere", "here"))
-        both = np.concatenate((np.rec.fromarrays((h, more), dtype=PAIR), away, here))
-        head, group, _ = _fold(both["h"], both["m"])
-        n, e = len(h), len(h) + len(away)
-        self.group, self.n = group[:n], len(head)
-        self.source = np.full(len(head), -1)  # line of ``away`` that says where a window starts first
-        self.source[group[n:e]] = np.arange(e - n)
-        self.away = self.source[self.group] >= 0
-        home = np.zeros(len(head), bool)
+        named = np.concatenate((away, here))
+        sieve, low = np.zeros(1 << 22, bool), U64((1 << 22) - 1)
+        sieve[named["h"] & low] = True
+        near = np.flatnonzero(sieve[h & low])
+        order, start, group = _fold(np.concatenate((h[near], named["h"])), np.concatenate((more[near], named["m"])))
+        n, e = len(near), len(near) + len(away)
+        source = np.full(len(start), -1)  # line of ``away`` that says where a window starts first
+        source[group[n:e]] = np.arange(e - n)
+        home = np.zeros(len(start), bool)
         home[group[e:]] = True
-        local = np.flatnonzero(home[self.group])
+        hit = (source >= 0) | home
+        near, group = near[hit[group[:n]]], group[:n][hit[group[:n]]]
+        self.at, self.line, n = at[near], source[group], len(near)
+        self.away = self.line >= 0
+        local = np.flatnonzero(home[group])
         row = chunk.place(self.at[local])[0]
-        mine = self.group[local]
-        least = np.full(len(head), n)
+        mine = group[local]
+        least = np.full(len(start), n)
         np.minimum.at(least, mine, local)  # rows stand in the order of ids
         smallest = ids[chunk.place(self.at[np.minimum(least, max(0, n - 1))])[0]] if n else np.empty(0, np.int64)
-        _, start, back = np.unique(mine * len(chunk.texts) + row, return_index=True, return_inverse=True)
-        earlier = local[start][back]  # first of the same words in the same row
-        lead = np.where(ids[row] > smallest[mine], least[mine], earlier)
+        _, first, back = np.unique(mine * len(chunk.texts) + row, return_index=True, return_inverse=True)
+        earlier = local[first][back]  # first of the same words in the same row
+        lead = np.where(ids[row] > smallest[mine], least[mine], earlier) if len(local) else local
         self.drop = self.away.copy()
         self.drop[local] = lead != local
-        for i in range(0, len(local), 1 << 17):
-            x, y = self.at[local[i : i + (1 << 17)]], self.at[lead[i : i + (1 << 17)]]
-            step = np.arange(window)
-            if (chunk.numbers[x[:, None] + step] != chunk.numbers[y[:, None] + step]).any():
+        later = local[lead != local]
+        if compare and len(later):
+            spot = np.unique(np.concatenate((later, lead[lead != local])))
+            number = np.full(chunk.n, -1)
+            inside = np.flatnonzero(spread(self.at[spot], window, chunk.n))
+            number[inside] = chunk.numbers(inside)
+            x, y = self.at[later], self.at[lead[lead != local]]
+            if any((number[x + k] != number[y + k]).any() for k in range(window)):
                 raise ValueError(COLLISION)
         self.chunks = np.concatenate([_from_steps(x) for x in verdicts["chunks"].to_pylist()])
         self.owners = np.concatenate([np.cumsum(np.frombuffer(x, "<i8"), dtype=np.int64) for x in verdicts["owners"].to_pylist()])
@@ -318,15 +366,11 @@ def _cut(window: int, seed: int, with_text: bool):
         covered = None
         if verdicts.num_rows:
             chunk = Chunk(texts, seed)
-            found = Verdicts(chunk, ids, verdicts, window)
-            edges = np.zeros(chunk.n + 1, np.int32)
-            gone = found.at[found.drop]
-            np.add.at(edges, gone, 1)
-            np.add.at(edges, gone + window, -1)
-            covered = np.cumsum(edges)[:-1] > 0
+            found = Verdicts(chunk, ids, verdicts, window, True)
+            covered = spread(found.at[found.drop], window, chunk.n)
         out = []
         for k, text in enumerate(texts):
-            words = chunk.texts[k] if covered is not None else text.split()
+            words = text.split()
             n, gone = len(words), 0
             if covered is not None:
                 mask = covered[chunk.first[k] : chunk.first[k + 1]]
@@ -348,21 +392,20 @@ def _runs(window: int, seed: int):
             return RUNS.empty_table()
         ids, _, texts = _texts(docs)
         chunk = Chunk(texts, seed)
-        found = Verdicts(chunk, ids, verdicts, window)
+        found = Verdicts(chunk, ids, verdicts, window, False)
         at = found.at[found.away]
         if not len(at):
             return RUNS.empty_table()
-        line = found.source[found.group[found.away]]
+        line = found.line[found.away]
         row = chunk.place(at)[0]
         where, owner = found.chunks[line], found.owners[line]
         new = np.ones(len(at), bool)
         new[1:] = (np.diff(at) != 1) | (np.diff(row) != 0) | (np.diff(where) != 0) | (np.diff(owner) != 0)
         start = np.flatnonzero(new)
         end = np.append(start[1:], len(at)) - 1
-        base = chunk.first[row[start]]
         out = set()
-        for c, o, r, a, b in zip(where[start].tolist(), owner[start].tolist(), row[start].tolist(), (at[start] - base).tolist(), (at[end] - base + window).tolist()):
-            out.add((c, o, b" ".join(chunk.texts[r][a:b])))
+        for c, o, a, b in zip(where[start].tolist(), owner[start].tolist(), at[start].tolist(), (at[end] + window).tolist()):
+            out.add((c, o, b" ".join(chunk.words(a, b))))
         return _table(list(out), RUNS)
 
     return run
