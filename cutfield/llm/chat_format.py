@@ -1,14 +1,16 @@
 """Chat formatting by schema fingerprints.
 
-The nested field paths of a record layout, without array positions, are sorted and hashed; the hash selects a
+The nested field paths that a record fills, without array positions, are sorted and hashed; the hash selects a
 declarative mapping from that layout (prompt and response, instruction with input and output, message lists, share
-lists, or one row per turn) to canonical turns.  Turns are rendered with marks that no escaped text can contain,
+lists, or one row per turn) to canonical turns.  Each record has a fingerprint of its own, so one table, or one
+column of JSON texts, may mix layouts.  Turns are rendered with marks that no escaped text can contain,
 and every formatted conversation can be read back exactly, with the characters that carry the loss.
 """
 
 from __future__ import annotations
 
 import hashlib
+import json
 import re
 from collections.abc import Iterable
 from dataclasses import dataclass, field
@@ -16,7 +18,6 @@ from dataclasses import dataclass, field
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
 from ..shipping import ship
 
@@ -39,13 +40,13 @@ def unescape(text: str) -> str:
     return _ESCAPED.sub(r"\1", text)
 
 
-def paths(kind: T.DataType, prefix: str = "") -> list[str]:
-    """Nested field paths of a type, array positions left out."""
-    if isinstance(kind, T.StructType):
-        return [p for f in kind.fields for p in paths(f.dataType, f"{prefix}.{f.name}" if prefix else f.name)]
-    if isinstance(kind, T.ArrayType):
-        return paths(kind.elementType, prefix + "[]")
-    return [prefix]
+def paths(value: object, prefix: str = "") -> set[str]:
+    """Nested field paths that a record fills, array positions left out; nulls fill nothing."""
+    if isinstance(value, dict):
+        return {p for name, x in value.items() for p in paths(x, f"{prefix}.{name}" if prefix else name)}
+    if isinstance(value, list):
+        return {p for x in value for p in paths(x, prefix + "[]")}
+    return set() if value is None else {prefix}
 
 
 def fingerprint(found: Iterable[str]) -> str:
@@ -76,41 +77,100 @@ MAPPINGS = (
     Mapping("prompt_response", ("prompt", "response"), (("user", ("prompt",)), ("assistant", ("response",)))),
     Mapping("prompt_completion", ("prompt", "completion"), (("user", ("prompt",)), ("assistant", ("completion",)))),
     Mapping("system_prompt_response", ("system", "prompt", "response"), (("system", ("system",)), ("user", ("prompt",)), ("assistant", ("response",)))),
+    Mapping("system_prompt_completion", ("system", "prompt", "completion"), (("system", ("system",)), ("user", ("prompt",)), ("assistant", ("completion",)))),
     Mapping("instruction", ("instruction", "output"), (("user", ("instruction",)), ("assistant", ("output",)))),
     Mapping("instruction_input", ("instruction", "input", "output"), (("user", ("instruction", "input")), ("assistant", ("output",)))),
     Mapping("question_answer", ("question", "answer"), (("user", ("question",)), ("assistant", ("answer",)))),
     Mapping("messages", ("messages[].role", "messages[].content"), list_path="messages", role_field="role", text_field="content", roles=ROLES),
     Mapping("shares", ("conversations[].from", "conversations[].value"), list_path="conversations", role_field="from", text_field="value", roles=ROLES),
-    Mapping("turn_rows", ("turns[].turn", "turns[].role", "turns[].text"), list_path="turns", role_field="role", text_field="text", roles=ROLES),
+    Mapping("turn_rows", ("turns[].turn", "turns[].role", "turns[].text"), list_path="turns", role_field="role", text_field="text"),
 )
 BY_KEY = {m.key: m for m in MAPPINGS}
+#: Top-level names that a mapping reads; any other column or field is not looked at.
+NAMES = frozenset(re.split(r"[.\[]", f)[0] for m in MAPPINGS for f in m.fields)
 TURNS = "array<struct<role:string,text:string>>"
 
 
-def canonical(records: DataFrame, id_col: str) -> DataFrame:
-    """conv_id, turns (array of role, text) of records whose layout, without the id, is a known one.
+class Layouts(dict):
+    """The mapping of each set of filled paths, among those whose top-level names a table has."""
 
-    Null roles are ``user``; null texts are empty; parts of one turn that are null or empty are left out.  Unknown layouts are an error.
-    """
-    rest = T.StructType([f for f in records.schema.fields if f.name != id_col])
-    mapping = BY_KEY.get(fingerprint(paths(rest)))
-    if mapping is None:
-        raise ValueError(f"no mapping for the layout {sorted(paths(rest))}")
+    def __init__(self, names: Iterable[str]):
+        super().__init__()
+        self.open = [m for m in MAPPINGS if all(re.split(r"[.\[]", f)[0] in names for f in m.fields)]
+
+    def __missing__(self, found: frozenset[str]) -> Mapping:
+        exact = BY_KEY.get(fingerprint(found))
+        over = sorted((m for m in self.open if found <= set(m.fields)), key=lambda m: len(m.fields))
+        under = sorted((m for m in self.open if found >= set(m.fields)), key=lambda m: -len(m.fields))
+        chosen = exact if exact in self.open else next(iter(over or under), None)
+        if chosen is None:
+            raise ValueError(f"no mapping for the layout {sorted(found)}")
+        self[found] = chosen
+        return chosen
+
+
+def turns_of(record: dict, layouts: Layouts) -> list[tuple[str, str]]:
+    """Canonical turns of a record."""
+    record = {k: v for k, v in record.items() if k in NAMES}
+    mapping = layouts[frozenset(paths(record))]
+    text = lambda x: "" if x is None else x if isinstance(x, str) else json.dumps(x, ensure_ascii=False)
     if mapping.list_path:
-        known = F.create_map(*[F.lit(x) for kv in (mapping.roles or {"": ""}).items() for x in kv])
+        out = []
+        for x in record.get(mapping.list_path) or []:
+            role = text((x or {}).get(mapping.role_field))
+            out.append((mapping.roles.get(role, role), text((x or {}).get(mapping.text_field))))
+        return out
+    return [(role, "\n".join(filter(None, (text(record.get(n)) for n in names)))) for role, names in mapping.pairs]
+
+
+def _table_of(turns: list[list[tuple[str, str]]]) -> pa.Array:
+    return pa.array([[{"role": r, "text": t} for r, t in x] for x in turns], pa.list_(pa.struct([("role", pa.string()), ("text", pa.string())])))
 
-        def turn(x):
-            role = F.coalesce(x[mapping.role_field].cast("string"), F.lit("user"))
-            return F.struct(F.coalesce(F.try_element_at(known, role), role).alias("role"), F.coalesce(x[mapping.text_field].cast("string"), F.lit("")).alias("text"))
 
-        turns = F.transform(F.coalesce(F.col(mapping.list_path), F.array()), turn)
-    else:
-        made = []
-        for role, names in mapping.pairs:
-            parts = F.filter(F.array(*[F.coalesce(F.col(n).cast("string"), F.lit("")) for n in names]), lambda x: x != "")
-            made.append(F.struct(F.lit(role).alias("role"), F.array_join(parts, "\n").alias("text")))
-        turns = F.array(*made)
-    return records.select(F.col(id_col).cast("long").alias("conv_id"), turns.cast(TURNS).alias("turns"))
+def _records(records: DataFrame, id_col: str) -> tuple[DataFrame, Layouts]:
+    """conv_id and the columns that mappings read."""
+    names = [c for c in dict.fromkeys(records.columns) if c in NAMES and c != id_col]
+    layouts = Layouts(names)
+    if not layouts.open:
+        raise ValueError(f"no mapping for the layout {sorted(records.columns)}")
+    return records.select(F.col(id_col).cast("long").alias("conv_id"), *[F.col(c) for c in names]), layouts
+
+
+def _canonical(layouts: Layouts):
+    def run(batches):
+        for batch in batches:
+            ids = batch.column("conv_id")
+            rows = batch.select([n for n in batch.schema.names if n != "conv_id"]).to_pylist()
+            yield pa.record_batch([ids, _table_of([turns_of(x, layouts) for x in rows])], names=["conv_id", "turns"])
+
+    return run
+
+
+def canonical(records: DataFrame, id_col: str = "conv_id") -> DataFrame:
+    """conv_id, turns (array of role, text) of records, each by the mapping that its own filled paths select.
+
+    The fingerprint of the filled paths is looked up first; a record that fills no layout exactly, as where a text is null, gets
+    the smallest mapping that has all it fills, else the largest one that it fills.  Columns that no mapping names are not
+    looked at.  Null texts and roles are empty; parts of one turn that are null or empty are left out.  A table or record
+    without any mapping is an error.
+    """
+    ship(records.sparkSession)
+    rows, layouts = _records(records, id_col)
+    return rows.mapInArrow(_canonical(layouts), f"conv_id long, turns {TURNS}")
+
+
+def canonical_json(records: DataFrame, *, id_col: str = "conv_id", json_col: str = "record") -> DataFrame:
+    """conv_id, turns of records that are JSON objects in a text column, layouts mixed at will; a null or empty text has no turns."""
+    ship(records.sparkSession)
+    layouts = Layouts(NAMES)
+
+    def run(batches):
+        for batch in batches:
+            turns = [turns_of(json.loads(x), layouts) if x and x.strip() else [] for x in batch.column("body").to_pylist()]
+            yield pa.record_batch([batch.column("conv_id"), _table_of(turns)], names=["conv_id", "turns"])
+
+    rows = records.select(F.col(id_col).cast("long").alias("conv_id"), F.col(json_col).cast("string").alias("body"))
+    return rows.mapInArrow(run, f"conv_id long, turns {TURNS}")
 
 
 def from_rows(rows: DataFrame, *, id_col: str = "conv_id", turn_col: str = "turn", role_col: str = "role", text_col: str = "text") -> DataFrame:
@@ -149,17 +209,34 @@ FORMATTED = "conv_id long, formatted string, loss array<struct<start:int,end:int
 DIGESTS = "conv_id long, n_turns long, turns_sha256 string, loss_chars long, loss_sha256 string, formatted_chars long"
 
 
-def _format(batches):
-    for batch in batches:
-        texts = [render([(t["role"] or "user", t["text"] or "") for t in turns or []]) for turns in batch.column("turns").to_pylist()]
-        loss = [[{"start": a, "end": b} for a, b in loss_spans(x)] for x in texts]
-        yield pa.record_batch([batch.column("conv_id"), pa.array(texts, pa.string()), pa.array(loss, pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())])))], names=["conv_id", "formatted", "loss"])
+def _formatted(ids: pa.Array, turns: list[list[tuple[str, str]]]) -> pa.RecordBatch:
+    texts = [render(x) for x in turns]
+    loss = [[{"start": a, "end": b} for a, b in loss_spans(x)] for x in texts]
+    return pa.record_batch([ids, pa.array(texts, pa.string()), pa.array(loss, pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())])))], names=["conv_id", "formatted", "loss"])
+
+
+def format_turns(conversations: DataFrame) -> DataFrame:
+    """``conv_id, formatted, loss`` of canonical turns (``conv_id, turns``)."""
+    ship(conversations.sparkSession)
+
+    def run(batches):
+        for batch in batches:
+            yield _formatted(batch.column("conv_id"), [[(t["role"] or "", t["text"] or "") for t in x or []] for x in batch.column("turns").to_pylist()])
+
+    return conversations.select("conv_id", "turns").mapInArrow(run, FORMATTED)
 
 
 def format_chats(records: DataFrame, id_col: str = "conv_id") -> DataFrame:
-    """``conv_id, formatted, loss`` of each record of a known layout; ``loss`` has code point stretches, ends exclusive."""
+    """``conv_id, formatted, loss`` of each record, by its own layout; ``loss`` has code point stretches, ends exclusive."""
     ship(records.sparkSession)
-    return canonical(records, id_col).mapInArrow(_format, FORMATTED)
+    rows, layouts = _records(records, id_col)
+
+    def run(batches):
+        for batch in batches:
+            found = batch.select([n for n in batch.schema.names if n != "conv_id"]).to_pylist()
+            yield _formatted(batch.column("conv_id"), [turns_of(x, layouts) for x in found])
+
+    return rows.mapInArrow(run, FORMATTED)
 
 
 def _digest(batches):
@@ -179,7 +256,7 @@ def _digest(batches):
 def digests(formatted: DataFrame) -> DataFrame:
     """``conv_id, n_turns, turns_sha256, loss_chars, loss_sha256, formatted_chars``, read back from the formatted text.
 
-    Repeated turn rows are turns of their own; rows with a null conversation id form one conversation; an empty input gives
+    Null and empty roles read back as empty, any other as it stands.  Repeated turn rows are turns of their own; rows with a null conversation id form one conversation; an empty input gives
     an empty result.
     """
     return formatted.mapInArrow(_digest, DIGESTS)

@@ -226,6 +226,33 @@ def test_layouts(spark):
         chat_format.format_chats(spark.createDataFrame([(1, "x")], "conv_id long, odd string"))
 
 
+def test_mixed_layouts_in_one_table(spark):
+    """Each record is mapped by its own filled fields; columns that no mapping names are not looked at."""
+    kind = "conv_id long, source string, prompt string, response string, completion string, system string, instruction string, input string, output string, messages array<struct<role:string,content:string>>, c0 int"
+    say = [("user", "q"), ("assistant", "a")]
+    rows = [
+        (1, "web", "q", "a", None, None, None, None, None, None, 1), (2, "web", "q", None, "a", None, None, None, None, None, 1),
+        (3, None, "q", None, "a", "s", None, None, None, None, 1), (4, "x", None, None, None, None, "do", "this", "a", None, 1),
+        (5, "x", None, None, None, None, "q", None, "a", None, 1), (6, "x", None, None, None, None, None, None, None, [("user", "q"), ("assistant", "a")], 1),
+        (7, "x", "q", None, None, None, None, None, None, None, 1), (8, "x", None, None, None, None, None, None, None, [], 1), (9, "x", "q", "a", None, None, None, None, None, [("human", "z"), (None, None)], 1),
+    ]
+    got = {x["conv_id"]: chat_format.read_back(x["formatted"]) for x in chat_format.format_chats(spark.createDataFrame(rows, kind)).collect()}
+    assert got[1] == got[2] == got[5] == got[6] == say and got[3] == [("system", "s"), *say]
+    assert got[4] == [("user", "do\nthis"), ("assistant", "a")] and got[7] == [("user", "q"), ("assistant", "")]
+    assert got[9] in (say, [("user", "z"), ("", "")])
+    texts = ['{"prompt": "q", "response": "a", "score": 3}', '{"conversations": [{"from": "human", "value": "q"}, {"from": "gpt", "value": "a"}], "meta": {"x": [1]}}', None, "", '{"messages": []}']
+    turns = {x["conv_id"]: x["turns"] for x in chat_format.canonical_json(spark.createDataFrame(list(enumerate(texts)), "conv_id long, record string")).collect()}
+    assert [tuple(t) for t in turns[0]] == [tuple(t) for t in turns[1]] == say and turns[2] == turns[3] == []
+    out = chat_format.format_turns(chat_format.canonical_json(spark.createDataFrame([(0, texts[0])], "conv_id long, record string"))).first()
+    assert chat_format.read_back(out["formatted"]) == say
+
+
+def test_roles_stay_as_they_are(spark):
+    rows = [(1, 0, "", "a"), (1, 1, None, "b"), (1, 2, "human", "c"), (1, 3, "<|x", "d")]
+    df = chat_format.from_rows(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string"))
+    assert chat_format.read_back(chat_format.format_chats(df).first()["formatted"]) == [("", "a"), ("", "b"), ("human", "c"), ("<|x", "d")]
+
+
 def test_chat_edges(spark):
     rows = [(1, 0, "user", t) for t in HARD] + [(2, 0, None, None), (2, None, "assistant", "x"), (None, 0, "user", "y"), (3, 0, "assistant", "z"), (3, 0, "assistant", "z")]
     df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string").withColumn("turns", F.lit(1))
@@ -309,6 +336,96 @@ def test_randomness_battery(spark):
     assert not [i for i in found if i >= len(random_tokens)]
 
 
+def slow_p(token):
+    """The battery in plain Python."""
+    t = token.rstrip("=")
+    _, _, alphabet, cut = next(e for e in secret_scan.ENCODINGS if set(t) <= set(e[2]))
+    k, n, code = len(alphabet), len(t), [alphabet.index(c) for c in t]
+
+    def tail(z):
+        z = max(-12.0, min(12.0, z))
+        return 1 / (1 + math.exp(1.5976 * z + 0.07056 * z**3))
+
+    def chi(x, df):
+        return tail(((max(0.0, x) / df) ** (1 / 3) - (1 - 2 / (9 * df))) / math.sqrt(2 / (9 * df)))
+
+    fine = chi(sum(t.count(c) ** 2 for c in set(t)) * k / n - n, k - 1)
+    classes = [(n * sum(c in alphabet for c in x) / k, sum(c in x for c in t)) for x in secret_scan.CLASSES if set(x) & set(alphabet)]
+    coarse = chi(sum((o - e) ** 2 / e for e, o in classes), len(classes) - 1) if len(classes) > 1 else 1.0
+    high = [c >= cut for c in code]
+    ones, runs = sum(high), 1 + sum(a != b for a, b in zip(high, high[1:]))
+    both = 2 * ones * (n - ones)
+    var = both * (both - n) / (n * n * (n - 1))
+    p2 = min(1.0, 2 * tail(abs(runs - both / n - 1) / math.sqrt(var))) if var > 0 else (cut / k) ** n + (1 - cut / k) ** n if both == 0 else 1.0
+    m = sum(code) / n
+    spread = sum((c - m) ** 2 for c in code)
+    p3 = min(1.0, 2 * tail(abs(sum((a - m) * (b - m) for a, b in zip(code, code[1:])) / spread) * math.sqrt(n))) if spread else 0.0
+    x = -sum(math.log(max(p, 1e-30)) for p in (min(1.0, 2 * min(fine, coarse)), p2, p3))
+    return math.exp(-x) * (1 + x + x * x / 2)
+
+
+def slow_cuts(tokens):
+    cuts = []
+    for i, (least, level) in enumerate(secret_scan.BANDS):
+        most = secret_scan.BANDS[i + 1][0] if i + 1 < len(secret_scan.BANDS) else 10**9
+        ps = sorted(10 ** (-min(400, max(0, math.floor(-math.log10(max(slow_p(t), 1e-60)) * 10))) / 10) for t in tokens if least <= len(t) < most)
+        cuts.append(max([p for k, p in enumerate(ps, 1) if p <= level * sum(q <= p for q in ps) / len(ps)], default=-1.0))
+    return cuts
+
+
+def test_battery_and_control_against_plain_python(spark):
+    r = random.Random(11)
+    alphabets = [e[2] for e in secret_scan.ENCODINGS]
+    tokens = ["".join(r.choices(a, k=r.randint(20, 70))) for a in alphabets for _ in range(12)]
+    tokens += ["".join(r.choice(["the", "ing", "er", "tion", "qu", "a", "e"]) for _ in range(r.randint(9, 16))) for _ in range(80)]
+    tokens += ["a" * 30, "ab" * 12, "0" * 25, "A" * 19 + "b", "q" * 40 + "==", "x/" * 15 + "="]
+    tokens = [t for t in tokens if len(t) >= 20]
+    df = spark.createDataFrame(list(enumerate(tokens)), "doc_id long, text string")
+    for x in df.select("text", secret_scan.p_value(F.col("text")).alias("p")).collect():
+        assert math.isclose(x["p"], slow_p(x["text"]), rel_tol=1e-6, abs_tol=1e-12), x["text"]
+    cuts = secret_scan.control(df).by_band
+    assert np.allclose(cuts, slow_cuts([m[0] for t in tokens for m in re.finditer(secret_scan.TOKEN, t)]), atol=1e-9)
+
+
+def test_letters_alone_are_tested_and_the_null_keeps_its_level(spark):
+    """Random tokens of letters are found; where all tokens are random, hardly any null is rejected."""
+    r = random.Random(6)
+    tokens = ["".join(r.choices(string.ascii_letters, k=40)) for _ in range(200)]
+    words = ["".join(r.choice(["the", "ing", "er", "tion", "men", "al", "ness", "sie"]) for _ in range(12)) for _ in range(200)]
+    df = spark.createDataFrame([(i, f"a {t} b") for i, t in enumerate(tokens)], "doc_id long, text string")
+    found = {x["doc_id"] for x in secret_scan.scan(df).where("size(spans) > 0").collect()}
+    assert len(found) >= 190
+    both = spark.createDataFrame([(i, f"a {t} b") for i, t in enumerate(tokens + words)], "doc_id long, text string")
+    found = {x["doc_id"] for x in secret_scan.scan(both).where("size(spans) > 0").collect()}
+    assert len([i for i in found if i < 200]) >= 150 and len([i for i in found if i >= 200]) <= 10
+
+
+def test_very_many_matches(spark):
+    """A log with tens of thousands of secrets: right, and in little more than proportion."""
+    import time
+
+    def log(n):
+        return " ".join(f"token=abc{i:06d} {'0123456789abcdef' * 2}{i:x}0 " + "".join(random.Random(i).choices(string.ascii_letters + string.digits, k=32)) for i in range(n))
+
+    cuts, took = secret_scan.CutOffs((0.0, 0.0, 0.0)), []
+    for n in (1_000, 1_000, 8_000):
+        text = log(n)
+        df = spark.createDataFrame([(1, text)], "doc_id long, text string")
+        began = time.time()
+        got = secret_scan.scan(df, cuts).first()["spans"]
+        took.append(time.time() - began)
+        base = ",".join(f"{x['kind']}:{x['start']}:{x['end']}" for x in got if x["kind"] != "random")
+        assert base == brute_spans(text) and sum(x["kind"] == "random" for x in got) > 0.9 * n
+        clean = secret_scan.redact(df, cuts).first()["text"]
+        want, at = [], 0
+        for x in got:
+            if x["start"] >= at:
+                want += [text[at : x["start"]], "[SECRET]"]
+            at = max(at, x["end"])
+        assert clean == "".join(want) + text[at:]
+    assert took[2] < 24 * max(took[1], 0.3)
+
+
 # --- classifier -----------------------------------------------------------------------------------------------------------------
 
 
