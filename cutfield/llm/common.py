@@ -7,7 +7,7 @@ import uuid
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..storage import shared_dir
+from ..storage import Tables, remove, shared_dir
 
 #: Word separators: space, tab, line feed, vertical tab, form feed, carriage return.
 SPACE_CLASS = r"[\x20\x09-\x0D]"
@@ -21,6 +21,7 @@ class SharedTable:
         self.spark = df.sparkSession
         self.path = f"{shared_dir(self.spark).rstrip('/')}/{name}-{uuid.uuid4().hex}"
         self.schema = df.schema
+        Tables.note(self.path)
         df.write.option("compression", codec).parquet(self.path)
 
     def read(self) -> DataFrame:
@@ -28,9 +29,7 @@ class SharedTable:
 
     def drop(self) -> None:
         """Remove the files; only for tables that no pending DataFrame reads."""
-        jvm = self.spark.sparkContext._jvm
-        path = jvm.org.apache.hadoop.fs.Path(self.path)
-        path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+        remove(self.spark, self.path)
 
 
 def text_or_empty(name: str) -> Column:

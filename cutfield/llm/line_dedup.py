@@ -2,7 +2,8 @@
 
 Every window of ``span`` consecutive lines is hashed to 128 bits.  The first place of each window, by
 (document id, line number), is one map-side combined minimum over the corpus; only windows seen twice go
-back to their documents, where the positions they cover are merged and dropped.
+back to their documents, where the positions they cover are merged and dropped.  The few windows that hold over a
+thousandth of all repeats learn their first place by a broadcast, so none of them gathers in one task.
 """
 
 from __future__ import annotations
@@ -10,7 +11,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import text_or_empty
+from .common import SharedTable, text_or_empty
 
 #: Line numbers below this fit beside the document id in one decimal, so that a minimum stays in a fixed-width buffer.
 LINE_LIMIT = 10**10
@@ -32,17 +33,22 @@ def _windows(docs: DataFrame, span: int) -> DataFrame:
 def later_windows(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", span: int = 3) -> DataFrame:
     """doc_id, at: each window whose lines also start earlier in the corpus."""
     docs = docs.select(F.col(id_col).cast("long").alias("doc_id"), text_or_empty(text_col).alias("body")).where("doc_id is not null")
-    windows = _windows(docs, span)
+    windows = SharedTable(_windows(docs, span), "windows").read()  # hashed once
     place = (F.col("doc_id").cast("decimal(20,0)") * F.lit(LINE_LIMIT).cast("decimal(11,0)") + F.col("at")).cast("decimal(38,0)")
     windows = windows.withColumn("place", place)
-    firsts = windows.groupBy("h1", "h2").agg(F.min("place").alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1")
-    return windows.join(firsts.drop("n"), ["h1", "h2"]).where("place > first").select("doc_id", "at")
+    firsts = SharedTable(windows.groupBy("h1", "h2").agg(F.min("place").alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1"), "firsts").read()
+    share = max(1, (firsts.agg(F.sum("n")).first()[0] or 0) // 1000)
+    hot = firsts.where(F.col("n") > share).select("h1", "h2", F.col("first").alias("hot"))  # fewer than a thousand, whatever the input
+    windows = windows.join(F.broadcast(hot), ["h1", "h2"], "left")
+    cold = firsts.where(F.col("n") <= share).drop("n")
+    later = windows.where("hot is null").join(cold, ["h1", "h2"]).where("place > first")
+    return windows.where("place > hot").select("doc_id", "at").unionAll(later.select("doc_id", "at"))
 
 
 def line_dedup(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", span: int = 3) -> DataFrame:
     """``doc_id, n_lines, n_removed, text``: each document without the lines that a repeated window covers.
 
-    A window is ``span`` consecutive lines (split at line feeds, compared byte for byte through a 128-bit hash)
+    A window is ``span`` consecutive lines (split at line feeds, equal when two 64-bit hashes of different seeds are)
     with a word in at least one of them.  The first window by (id, line number) stays; every line under a later one goes.
     Texts with fewer lines have no window and stay whole.  Null texts count as empty (one empty line).  Rows
     that share an id share its removals, so repeated rows stay equal; a null id has no place in the order and

@@ -62,6 +62,7 @@ class PieceCoder:
         self.cuttable = not any(MARK in p.lstrip(MARK) or "\n" in p for p in self.score)
         self.memory = _Memory(self)
         self.pending: list[tuple[str, list[int]]] = []
+        self.decoded: list[tuple[list[int], bytes]] = []
 
     def agenda(self, text: str) -> list[int]:
         """Ids of a text whose spaces are marks already, by merging its best adjacent pair again and again."""
@@ -150,15 +151,21 @@ class PieceCoder:
             self.pending.append((text.decode(), numbers))
             ids = b",".join([b"%d" % i for i in numbers])
             body = self.decode_bytes(numbers).removeprefix(b" ")
+            self.decoded.append((numbers, body))
         return ids.count(b",") + 1, hashlib.sha256(ids).hexdigest(), hashlib.sha256(body).hexdigest()
 
     def check(self) -> None:
-        """Hold all that was encoded since the last call against the library; a difference is an error."""
+        """Hold all that was encoded and decoded since the last call against the library; a difference is an error."""
         texts = [t for t, _ in self.pending]
         for (text, ids), theirs in zip(self.pending, self.library.encode(texts, num_threads=1) if texts else []):
             if ids != theirs:
                 raise AssertionError(f"the agenda and the library disagree on {text[:80]!r}")
+        numbers = [ids for ids, _ in self.decoded]
+        for (ids, body), theirs in zip(self.decoded, self.library.decode(numbers, num_threads=1) if numbers else []):
+            if body != theirs.encode():
+                raise AssertionError(f"decoding and the library disagree on {ids[:40]!r}")
         self.pending.clear()
+        self.decoded.clear()
 
 
 class _Memory(dict):
@@ -170,18 +177,22 @@ class _Memory(dict):
 
     def __missing__(self, part: bytes) -> bytes:
         code, text = self.code, part.decode()
+        line = text[:1] == "\n"
         if text[-1:] in ENDINGS and len(text) > 1 and text[-2:] not in code.pairs:
-            out = self[part[:-1]] + b"".join([b",%d" % i for i in code.agenda(text[-1])])
-            return self._keep(part, out)
-        if text[:1] == "\n":
-            ids = code.agenda("\n") + (code.agenda(text[1:]) if text[1:] else [])
-            code.pending.append((text, code.agenda(MARK) + ids))  # at the start of a text a lone mark stands before it
+            stem = part[:-1]
+            ids = [int(i) for i in self[stem].split(b",")] + code.agenda(text[-1])  # no piece joins the mark
+            odd = stem in self.odd or len(stem) > LONGEST
         else:
-            ids = code.agenda(MARK + text)
-            if text:
-                code.pending.append((text, ids))
-        if code.decode_bytes(ids) != (part if text[:1] == "\n" else b" " + part):
+            ids = code.agenda("\n") + (code.agenda(text[1:]) if text[1:] else []) if line else code.agenda(MARK + text)
+            odd = True
+        full = code.agenda(MARK) + ids if line else ids  # at the start of a text a lone mark stands before a line feed
+        own = part if line else b" " + part
+        body = code.decode_bytes(ids) if odd else own
+        if body != own:
             self.odd.add(part)
+        if text:
+            code.pending.append((text, full))
+            code.decoded.append((full, body if line else body.removeprefix(b" ")))
         return self._keep(part, b",".join([b"%d" % i for i in ids]))
 
     def _keep(self, part: bytes, out: bytes) -> bytes:
@@ -240,7 +251,7 @@ def _encode(path: str):
 def encode(docs: DataFrame, path: str, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, ids (array<int>) of each row; null and empty texts have no ids.  Other columns are ignored."""
     ship(docs.sparkSession)
-    return docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("body")).mapInArrow(_encode(path), "doc_id long, ids array<int>")
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("body")).mapInArrow(_encode(path), "doc_id long, ids array<int>")
 
 
 def _decode(path: str):
@@ -256,7 +267,7 @@ def _decode(path: str):
 def decode(encoded: DataFrame, path: str, *, id_col: str = "doc_id", ids_col: str = "ids") -> DataFrame:
     """doc_id, text of each row of ids; null and empty arrays give an empty text."""
     ship(encoded.sparkSession)
-    return encoded.select(F.col(id_col).alias("doc_id"), F.col(ids_col).alias("ids")).mapInArrow(_decode(path), "doc_id long, text string")
+    return encoded.select(F.col(id_col).cast("long").alias("doc_id"), F.col(ids_col).alias("ids")).mapInArrow(_decode(path), "doc_id long, text string")
 
 
 def _digests(path: str):
