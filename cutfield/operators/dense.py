@@ -54,6 +54,21 @@ def _spectral(m: np.ndarray, top: float) -> np.ndarray:
     return (vector[:, keep] * np.minimum(value[keep], top)) @ vector[:, keep].T
 
 
+#: How far a step of the splitting goes beyond the projection.
+AHEAD = 1.6
+
+
+def _distances(x: np.ndarray, p: np.ndarray, q: np.ndarray, last_p: np.ndarray, last_q: np.ndarray, both: bool) -> tuple[float, float]:
+    """How far the copies are apart, and how far they have moved."""
+    apart, moved = np.linalg.norm(x - p), np.linalg.norm(p - last_p)
+    return (max(apart, np.linalg.norm(x - q)), max(moved, np.linalg.norm(q - last_q))) if both else (apart, moved)
+
+
+def _pull(apart: float, moved: float) -> float:
+    """Factor of the penalty: more where the copies disagree, less where they wander."""
+    return 1.6 if apart > 3 * moved else 1 / 1.6 if moved > 3 * apart else 1.0
+
+
 def _certificate(cost: np.ndarray, size: float, pull_p: np.ndarray, pull_n: np.ndarray) -> float:
     """A lower bound on <cost, Y> over the relaxation, valid for any multipliers: a feasible Y has trace n and eigenvalues up to ``size``."""
     n = len(cost)
@@ -67,16 +82,98 @@ def _certificate(cost: np.ndarray, size: float, pull_p: np.ndarray, pull_n: np.n
     return float(y.sum() + size * u.sum() + size * low[: round(n / size)].sum())
 
 
-def eigen_bound(a: np.ndarray, k: int, sense: str) -> float:
-    """Bound of the cut into k equal clusters from the Laplacian's spectrum."""
-    value = np.linalg.eigvalsh(laplacian(a))
-    size = len(a) / k
-    return float(size / 2 * (value[:k].sum() if sense == "min" else value[len(a) - k + 1 :].sum()))
+def eigen_bound(a: np.ndarray, sizes: np.ndarray, sense: str) -> float:
+    """Bound of the cut into clusters of these sizes from the Laplacian's spectrum.
+
+    The Gram matrix of a partition has the sizes as eigenvalues, so the largest meets the smallest of the Laplacian's, or the
+    largest for a maximum; equal sizes leave the zero eigenvalue to the constant vector.
+    """
+    value, sizes = np.linalg.eigvalsh(laplacian(a)), np.sort(sizes)[::-1]
+    if sense == "min":
+        return float((sizes * value[: len(sizes)]).sum() / 2)
+    if len(set(sizes.tolist())) == 1:
+        return float(sizes[0] * value[len(a) - len(sizes) + 1 :].sum() / 2)
+    return float((sizes * value[::-1][: len(sizes)]).sum() / 2)
+
+
+def _least_trace(low: np.ndarray, total: float, top: float) -> float:
+    """Least <Z, W> over W with this trace and eigenvalues from 0 to ``top``, for Z with ascending eigenvalues ``low``."""
+    whole = min(len(low), int(total // top))
+    rest = total - whole * top
+    return float(top * low[:whole].sum() + (rest * low[whole] if whole < len(low) else 0.0))
+
+
+def relax_sizes(a: np.ndarray, sizes: np.ndarray, sense: str, level: str = "psd_nonneg", rounds: int = 1500, tol: float = 2e-5, gap: float = 1e-5) -> tuple[np.ndarray, float, float]:
+    """``relax`` for clusters of any prescribed sizes: Gram matrix, objective and certified bound.
+
+    Row sums differ then, so the matrix keeps a unit diagonal, the sum of the squared sizes over all entries, and an excess over
+    the constant matrix 1/k without negative eigenvalues; ``psd_nonneg`` adds non-negative entries.  The bound holds for any
+    multipliers, as that excess has trace n - n/k and eigenvalues up to the largest size; the spectral bound stands in where
+    it is tighter.
+    """
+    n, k = len(a), len(sizes)
+    sign = 1.0 if sense == "min" else -1.0
+    spectral = eigen_bound(a, sizes, sense)
+    if level == "eigen":
+        return np.eye(n), spectral, spectral
+    whole, most = float((sizes**2).sum()), float(sizes.max())
+    cost = sign * laplacian(a) / 2
+    rho = max(float(np.abs(cost).mean()), 1e-12)
+    both = level == "psd_nonneg"
+    off = ~np.eye(n, dtype=bool)
+    pairs = n * (n - 1)
+
+    def affine(m: np.ndarray) -> np.ndarray:
+        out = (m + m.T) / 2
+        out = out + (whole - n - out[off].sum()) / pairs
+        np.fill_diagonal(out, 1.0)
+        return out
+
+    def certified(up: np.ndarray, un: np.ndarray) -> float:
+        pull = np.maximum(-rho * un, 0) if both else np.zeros((n, n))
+        fit = cost + rho * up - pull
+        s = fit[off].mean()
+        y = np.diag(fit) - s
+        low = np.linalg.eigvalsh(cost - pull - np.diag(y) - s)
+        rest = (cost - pull - np.diag(y) - s).sum() / k  # what meets the constant matrix
+        return float(y.sum() + s * whole + rest + _least_trace(low, n - n / k, most))
+
+    x = affine(np.full((n, n), (whole - n) / pairs))
+    p = q = x
+    up, un = np.zeros((n, n)), np.zeros((n, n))
+    best = -math.inf
+    for step in range(1, rounds + 1):
+        x = affine((p - up + q - un) / 2 - cost / (2 * rho) if both else p - up - cost / rho)
+        last_p, last_q = p, q
+        ahead = AHEAD * x + (1 - AHEAD) * p
+        value, vector = np.linalg.eigh(ahead + up - 1.0 / k)
+        keep = value > 0
+        p = (vector[:, keep] * np.minimum(value[keep], most)) @ vector[:, keep].T + 1.0 / k
+        up = up + ahead - p
+        if both:
+            ahead = AHEAD * x + (1 - AHEAD) * q
+            q = np.maximum(ahead + un, 0)
+            un = un + ahead - q
+        apart, moved = _distances(x, p, q, last_p, last_q, both)
+        if max(apart, moved) < tol * n:
+            break
+        if step % 50 == 0 and max(apart, moved) < 20 * tol * n:
+            best = max(best, certified(up, un))
+            if abs((cost * x).sum() - best) <= gap * max(1.0, abs(best)):
+                break
+        if step % 20 == 0:
+            pull = _pull(apart, moved)
+            rho, up, un = rho * pull, up / pull, un / pull
+    bound = sign * max(best, certified(up, un))
+    bound = max(bound, spectral) if sense == "min" else min(bound, spectral)
+    return x, sign * float((cost * x).sum()), bound
 
 
-def relax(a: np.ndarray, k: int, sense: str, level: str = "psd_nonneg", rounds: int = 1500, tol: float = 2e-5) -> tuple[np.ndarray, float, float]:
+def relax(a: np.ndarray, k: int, sense: str, level: str = "psd_nonneg", rounds: int = 1500, tol: float = 2e-5, gap: float = 1e-5) -> tuple[np.ndarray, float, float]:
     """Relaxed Gram matrix, its objective and a certified bound of the cut into k equal clusters.
 
+    It ends when the copies agree to ``tol``, when the bound comes within the share ``gap`` of the objective, or after ``rounds``.
+
     ``level``: ``psd`` keeps unit diagonal, row sums and eigenvalues from 0 to the cluster size; ``psd_nonneg`` adds non-negative entries;
     ``eigen`` is the spectral bound with no matrix of its own.  Splitting: one copy of the matrix for each constraint set.
     """
@@ -84,7 +181,7 @@ def relax(a: np.ndarray, k: int, sense: str, level: str = "psd_nonneg", rounds:
     size = n / k
     sign = 1.0 if sense == "min" else -1.0
     if level == "eigen":
-        return np.eye(n), eigen_bound(a, k, sense), eigen_bound(a, k, sense)
+        return np.eye(n), *[eigen_bound(a, np.full(k, n // k), sense)] * 2
     if k == 1 or n <= 2 or k == n:
         y = np.ones((n, n)) if k == 1 else np.eye(n)
         value = 0.0 if k == 1 else float(a.sum() / 2)
@@ -96,21 +193,70 @@ def relax(a: np.ndarray, k: int, sense: str, level: str = "psd_nonneg", rounds:
     np.fill_diagonal(x, 1.0)
     p = q = x
     up, un = np.zeros((n, n)), np.zeros((n, n))
-    for _ in range(rounds):
-        target = (p - up + q - un) / 2 - cost / (2 * rho) if both else p - up - cost / rho
-        x = _affine(target, size)
-        last = p
-        p = _spectral(x + up, size)
-        up = up + x - p
+    certified = lambda: _certificate(cost, size, -rho * up, np.maximum(-rho * un, 0) if both else np.zeros((n, n)))
+    best = -math.inf
+    for step in range(1, rounds + 1):
+        x = _affine((p - up + q - un) / 2 - cost / (2 * rho) if both else p - up - cost / rho, size)
+        last_p, last_q = p, q
+        ahead = AHEAD * x + (1 - AHEAD) * p
+        p = _spectral(ahead + up, size)
+        up = up + ahead - p
         if both:
-            q = np.maximum(x + un, 0)
-            un = un + x - q
-        if max(np.linalg.norm(x - p), np.linalg.norm(x - q) if both else 0.0, np.linalg.norm(p - last)) < tol * n:
+            ahead = AHEAD * x + (1 - AHEAD) * q
+            q = np.maximum(ahead + un, 0)
+            un = un + ahead - q
+        apart, moved = _distances(x, p, q, last_p, last_q, both)
+        if max(apart, moved) < tol * n:
             break
-    bound = sign * _certificate(cost, size, -rho * up, np.maximum(-rho * un, 0) if both else np.zeros((n, n)))
+        if step % 50 == 0 and max(apart, moved) < 20 * tol * n:
+            best = max(best, certified())
+            if abs((cost * x).sum() - best) <= gap * max(1.0, abs(best)):
+                break
+        if step % 20 == 0:
+            pull = _pull(apart, moved)
+            rho, up, un = rho * pull, up / pull, un / pull
+    bound = sign * max(best, certified())
     return x, sign * float((cost * x).sum()), bound
 
 
+def solve_sdp(cost: np.ndarray, rows: list[np.ndarray], rhs: np.ndarray, *, trace: float | None = None, rounds: int = 2000, tol: float = 1e-7) -> tuple[np.ndarray, float, float]:
+    """min <cost, X> over X without negative eigenvalues and <rows[i], X> = rhs[i]: X, its objective and a lower bound.
+
+    The canonical form, for any symmetric constraint matrices, by an augmented Lagrangian of the dual.  The bound is
+    certified where ``trace`` limits the trace of a feasible X; without it, it is the dual objective.
+    """
+    n = len(cost)
+    a = np.stack([np.asarray(m, float).ravel() for m in rows])
+    rhs = np.asarray(rhs, float)
+    inverse = np.linalg.pinv(a @ a.T)
+    x, s = np.eye(n), np.zeros((n, n))
+    mu = 1.0
+    y = np.zeros(len(rhs))
+    for step in range(1, rounds + 1):
+        y = -inverse @ (mu * (a @ x.ravel() - rhs) + a @ (s - cost).ravel())
+        v = cost - (a.T @ y).reshape(n, n) - mu * x
+        value, vector = np.linalg.eigh((v + v.T) / 2)
+        keep = value > 0
+        s = (vector[:, keep] * value[keep]) @ vector[:, keep].T
+        x = (s - v) / mu
+        primal = np.linalg.norm(a @ x.ravel() - rhs) / (1 + np.linalg.norm(rhs))
+        dual = np.linalg.norm(cost - (a.T @ y).reshape(n, n) - s) / (1 + np.linalg.norm(cost))
+        if max(primal, dual) < tol:
+            break
+        if step % 20 == 0:
+            mu = mu * 0.7 if primal < dual / 3 else mu / 0.7 if dual < primal / 3 else mu
+    low = float(np.linalg.eigvalsh(cost - (a.T @ y).reshape(n, n))[0])
+    return x, float((cost * x).sum()), float(rhs @ y) + (min(0.0, low) * trace if trace is not None else 0.0)
+
+
+def canonical_cut(a: np.ndarray, k: int, sense: str) -> tuple[list[np.ndarray], np.ndarray, np.ndarray]:
+    """Constraint matrices, right-hand sides and cost of the relaxed cut into k equal clusters in canonical form: unit diagonal, equal row sums."""
+    n = len(a)
+    unit = np.eye(n)
+    rows = [np.outer(e, e) for e in unit] + [(np.outer(e, np.ones(n)) + np.outer(np.ones(n), e)) / 2 for e in unit]
+    return rows, np.array([1.0] * n + [n / k] * n), (1.0 if sense == "min" else -1.0) * laplacian(a) / 2
+
+
 def factor(y: np.ndarray, rank: int | None = None) -> np.ndarray:
     """Points whose inner products are the Gram matrix."""
     value, vector = np.linalg.eigh((y + y.T) / 2)
@@ -208,101 +354,119 @@ def round_projection(points: np.ndarray, a: np.ndarray, sizes: np.ndarray, sense
     return canonical(_best(a, found, sense))
 
 
-def round_hyperplane(points: np.ndarray, a: np.ndarray, sense: str, trials: int = 20, balanced: bool = True, seed: int = 0) -> np.ndarray:
-    """Two sides of a random hyperplane; balanced at the median."""
+def round_hyperplane(points: np.ndarray, a: np.ndarray, sense: str, trials: int = 20, sizes: np.ndarray | None = None, seed: int = 0) -> np.ndarray:
+    """Two sides of a random hyperplane; with ``sizes`` it is moved until they hold."""
     rng = np.random.default_rng(seed)
     found = []
     for _ in range(trials):
         side = points @ rng.normal(size=points.shape[1])
-        if balanced:
+        if sizes is not None:
             labels = np.zeros(len(side), int)
-            labels[np.argsort(side, kind="stable")[len(side) // 2 :]] = 1
+            labels[np.argsort(side, kind="stable")[sizes[0] :]] = 1
         else:
             labels = (side > 0).astype(int)
         found.append(labels)
     return canonical(_best(a, found, sense))
 
 
-def round_linearised(points: np.ndarray, a: np.ndarray, sizes: np.ndarray, sense: str, steps: int = 20, seed: int = 0) -> np.ndarray:
-    """First-order rounding: the quadratic cost is replaced by its tangent at the current labels (at first, at the
-    k leading directions of the relaxed points) and the linear problem is solved under capacities, until nothing changes."""
-    k = len(sizes)
+def round_linearised(y: np.ndarray, a: np.ndarray, sizes: np.ndarray, sense: str, starts: int = 20, steps: int = 20, seed: int = 0) -> np.ndarray:
+    """First-order rounding around the relaxed solution.
+
+    The quadratic cost is replaced by its tangent at the relaxed matrix' own soft clusters (the mean relaxed affinity of each node
+    to the members of a cluster), and the linear problem is solved under capacities; the members follow until they stay.
+    """
+    rng = np.random.default_rng(seed)
+    n, k = len(a), len(sizes)
     sign = 1.0 if sense == "min" else -1.0
-    lead = points[:, :k]
-    labels = _swap(np.abs(lead) if k > 1 else lead, assign_balanced(np.abs(lead), sizes))
-    found = [labels]
-    for _ in range(steps):
-        slope = sign * (a @ np.eye(k)[labels])
-        new = _swap(slope, assign_balanced(slope, sizes))
-        if (new == labels).all():
-            break
-        labels = new
-        found.append(labels)
+    found = []
+    for _ in range(starts):
+        labels = assign_balanced(y[:, rng.choice(n, k, replace=False)], sizes)
+        for _ in range(steps):
+            soft = y @ np.eye(k)[labels] / sizes
+            slope = sign * (a @ soft)
+            new = _swap(slope, assign_balanced(slope, sizes))
+            found.append(new)
+            if (new == labels).all():
+                break
+            labels = new
     return canonical(_best(a, found, sense))
 
 
-def equipartitions(n: int, k: int):
-    """All partitions of 0..n-1 into k clusters of n / k, as label tuples; cluster ids rise with their smallest node."""
-    size = n // k
+def partitions_of(sizes: np.ndarray):
+    """All partitions into clusters of these sizes, as label tuples; cluster ids rise with their smallest node."""
+    n = int(sum(sizes))
 
-    def grow(labels: list[int], room: list[int]):
-        i = len(labels)
-        if i == n:
+    def grow(labels: list[int], room: list[int], closed: list[int]):
+        if len(labels) == n:
             yield tuple(labels)
             return
-        used = sum(r < size for r in room)
-        for c in range(min(used + 1, k)):
+        for c in range(len(room)):
             if room[c]:
                 room[c] -= 1
-                labels.append(c)
-                yield from grow(labels, room)
-                labels.pop()
+                yield from grow([*labels, c], room, closed)
                 room[c] += 1
+        for size in sorted(set(closed)):  # a new cluster of one of the sizes that are left
+            rest = closed.copy()
+            rest.remove(size)
+            yield from grow([*labels, len(room)], [*room, size - 1], rest)
 
-    yield from grow([], [size] * k)
+    yield from grow([], [], [int(x) for x in sizes])
 
 
-def brute_cut(a: np.ndarray, k: int, sense: str) -> tuple[float, np.ndarray]:
+def brute_cut(a: np.ndarray, k: int, sense: str, sizes: np.ndarray | None = None) -> tuple[float, np.ndarray]:
+    """The best cut of all partitions into k clusters of these sizes, or of sizes that differ by one at most."""
     best, out = None, None
-    for labels in equipartitions(len(a), k):
+    for labels in partitions_of(cluster_sizes(len(a), k) if sizes is None else sizes):
         c = cut_value(a, np.array(labels))
         if best is None or (c < best - 1e-12 if sense == "min" else c > best + 1e-12):
             best, out = c, np.array(labels)
     return best, out
 
 
+METHODS = ("kmeans", "projection", "projection_raw", "hyperplane", "hyperplane_raw", "linearised", "spectral", "brute")
+
+
 def partition(a: np.ndarray, k: int, sense: str = "min", method: str = "kmeans", sizes: list[int] | None = None, seed: int = 0, restarts: int = 20, level: str = "psd_nonneg", rounds: int = 1500) -> dict:
-    """Labels, cut, bound and their ratio by one of the ways to relax and round."""
+    """Labels, cut, bound and their ratio by one of the ways to relax and round.
+
+    Sizes that differ are relaxed as such.  The bound is certified; without one (raw roundings may break the sizes) bound and
+    ratio are None, never the cut itself.
+    """
     n = len(a)
+    if method not in METHODS:
+        raise ValueError(f"no method {method}")
+    if method.startswith("hyperplane") and k != 2:
+        raise ValueError("a hyperplane has two sides")
     room = cluster_sizes(n, k, sizes)
-    equal = len(set(room)) == 1
+    equal = len(set(room.tolist())) == 1
     scale = float(np.abs(a).max()) or 1.0
     b = a / scale
     if k in (1, n):
-        labels, bound = np.arange(n) if k == n else np.zeros(n, int), None
+        labels = np.arange(n) if k == n else np.zeros(n, int)
+        bound = cut_value(b, labels)  # the one partition there is
     elif method == "brute":
-        bound, labels = brute_cut(b, k, sense)
-    elif method == "spectral" or not equal:
-        bound = eigen_bound(b, k, sense) if equal else None
+        bound, labels = brute_cut(b, k, sense, room)
+    elif method == "spectral":
+        bound = eigen_bound(b, room, sense)
         labels = round_kmeans(spectral_points(b, k, sense), b, room, sense, restarts, seed)
     else:
-        y, _, bound = relax(b, k, sense, level if level != "eigen" else "psd", rounds)
+        y, _, bound = relax(b, k, sense, level if level != "eigen" else "psd", rounds) if equal else relax_sizes(b, room, sense, level if level != "eigen" else "psd", rounds)
         points = factor(y)
         if method == "kmeans":
             labels = round_kmeans(points, b, room, sense, restarts, seed)
-        elif method == "projection":
-            labels = round_projection(points, b, room, sense, restarts, True, seed)
-        elif method == "projection_raw":
-            labels = round_projection(points, b, room, sense, restarts, False, seed)
-        elif method == "hyperplane":
-            labels = round_hyperplane(points, b, sense, restarts, True, seed)
-        elif method == "linearised":
-            labels = round_linearised(points, b, room, sense, seed=seed)
+        elif method.startswith("projection"):
+            labels = round_projection(points, b, room, sense, restarts, method == "projection", seed)
+        elif method.startswith("hyperplane"):
+            labels = round_hyperplane(points, b, sense, restarts, room if method == "hyperplane" else None, seed)
         else:
-            raise ValueError(f"no method {method}")
+            labels = round_linearised(y, b, room, sense, restarts, seed=seed)
+        if method.endswith("_raw"):
+            bound = None
     cut = cut_value(a, labels)
-    bound = cut if bound is None else bound * scale
-    return {"labels": canonical(labels), "cut": cut, "bound": float(bound), "ratio": cut / bound if bound else 1.0}
+    if bound is None:
+        return {"labels": canonical(labels), "cut": cut, "bound": None, "ratio": None}
+    bound = float(bound * scale)
+    return {"labels": canonical(labels), "cut": cut, "bound": bound, "ratio": cut / bound if abs(bound) > 1e-9 * scale else 1.0 if cut <= 1e-9 * scale else None}
 
 
 def treewidth_minfill(a: np.ndarray) -> int:
@@ -392,13 +556,17 @@ class ClusterField:
         self.mean[self.members[c]] = self.q[c] @ self.states[c]
 
     def run(self, schedule: str = "sequential", tol: float = 1e-10, sweeps: int = 500, damping: float = 0.0, init: np.ndarray | None = None) -> list[tuple[int, float, float]]:
-        """Updates until no mean moves by ``tol``; rows of (sweep, largest move, bound)."""
+        """Updates until no mean moves by ``tol``; rows of (sweep, largest move, bound).
+
+        ``colour`` takes the clusters in the order of colours that touching clusters do not share.
+        """
         trace = []
+        order = self.colours() if schedule == "colour" else range(len(self.members))
         if init is not None:
             self.mean = init.astype(float).copy()
         for sweep in range(sweeps):
             before = self.mean.copy()
-            for c in range(len(self.members)):
+            for c in order:
                 self.update(c, before if schedule == "jacobi" else self.mean, damping)
                 if schedule != "jacobi":
                     self._means(c)
@@ -411,6 +579,14 @@ class ClusterField:
                 break
         return trace
 
+    def colours(self) -> list[int]:
+        """Clusters by the least colour that no touching cluster before them has."""
+        colour: dict[int, int] = {}
+        for c, m in enumerate(self.members):
+            taken = {colour[d] for d in colour if self.across[np.ix_(m, self.members[d])].any()}
+            colour[c] = next(x for x in range(len(self.members)) if x not in taken)
+        return sorted(colour, key=lambda c: (colour[c], c))
+
     def bound(self) -> float:
         """Expected log-potential plus entropy: a lower bound of the log-normaliser at any tables."""
         total = 0.5 * float(self.mean @ self.across @ self.mean)
@@ -443,14 +619,18 @@ class ClusterField:
         return (0.0, 1.0) if x > 0 else (-1.0, 0.0)
 
 
-def best_restart(h: np.ndarray, w: np.ndarray, labels: np.ndarray, domain: str, restarts: int = 1, seed: int = 0, **options) -> tuple[ClusterField, list[tuple[int, float, float]]]:
-    """The run with the best bound among a uniform start and random ones, and its trace."""
+def best_restart(h: np.ndarray, w: np.ndarray, labels: np.ndarray, domain: str, restarts: int = 1, seed: int = 0, budget: int = 1 << 20, init: np.ndarray | None = None, **options) -> tuple[ClusterField, list[tuple[int, float, float]]]:
+    """The run with the best bound, and its trace, among a uniform (or the given) start, all high, all low, and random ones.
+
+    Attractive couplings have one optimum near each of the two ordered starts, which random ones may miss.
+    """
     rng = np.random.default_rng(seed)
     best, steps = None, []
     for r in range(restarts):
-        field = ClusterField(h, w, labels, domain)
+        field = ClusterField(h, w, labels, domain, budget)
         low, high = values_of(domain)
-        trace = field.run(init=None if r == 0 else rng.uniform(low, high, len(h)), **options)
+        start = init if r == 0 else np.full(len(h), 0.05 * low + 0.95 * high if r == 1 else 0.95 * low + 0.05 * high) if r < 3 else rng.uniform(low, high, len(h))
+        trace = field.run(init=start, **options)
         if best is None or field.bound() > best.bound() + 1e-12:
             best, steps = field, trace
     return best, steps

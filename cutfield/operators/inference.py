@@ -121,9 +121,11 @@ def _packed(model: Model, assignment: DataFrame) -> DataFrame:
     return nodes.unionByName(edges)
 
 
-def arrays(pdf: pd.DataFrame) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Ids, node weights, dense couplings and labels of one model's packed rows."""
+def arrays(pdf: pd.DataFrame, limit: int = 2048) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Ids, node weights, dense couplings and labels of one model's packed rows; above ``limit`` nodes an error, before anything is allocated."""
     nodes = pdf[pdf["b"].isna()].sort_values("a")
+    if len(nodes) > limit:
+        raise ValueError(f"a model of {len(nodes)} nodes is beyond the dense limit of {limit}; use the sql or arrow executor, or coarse_partition")
     ids = nodes["a"].to_numpy(np.int64)
     edges = pdf[pdf["b"].notna()]
     w = np.zeros((len(ids), len(ids)))
@@ -132,15 +134,16 @@ def arrays(pdf: pd.DataFrame) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.nd
     return ids, nodes["theta"].to_numpy(), w, nodes["cluster"].fillna(0).to_numpy(int)
 
 
-def _local(domain: str, schedule: str, tol: float, sweeps: int, damping: float, restarts: int, tree: bool) -> Callable:
+def _local(domain: str, schedule: str, tol: float, sweeps: int, damping: float, restarts: int, tree: bool, budget: int) -> Callable:
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         model_id = int(pdf["model_id"].iloc[0])
         ids, h, w, labels = arrays(pdf)
         if tree:
-            field = dense.TreeField(h, w, labels, domain)
+            field = dense.TreeField(h, w, labels, domain, budget)
             trace = field.run(tol=tol, sweeps=sweeps)
         else:
-            field, trace = dense.best_restart(h, w, labels, domain, restarts, schedule=schedule, tol=tol, sweeps=sweeps, damping=damping)
+            start = pdf[pdf["b"].isna()].sort_values("a")["mean"]
+            field, trace = dense.best_restart(h, w, labels, domain, restarts, budget=budget, init=start.to_numpy(float) if start.notna().all() else None, schedule=schedule, tol=tol, sweeps=sweeps, damping=damping)
         rows: list[tuple] = []
         for v, p, m in zip(ids, field.prob(), field.mean):
             rows.append((model_id, "marginal", int(v), None, None, float(p), float(m), None))
@@ -242,19 +245,32 @@ def cluster_colours(edges: DataFrame, assignment: DataFrame, max_colours: int =
     raise RuntimeError("more colours than allowed")
 
 
-def cluster_mean_field(model: Model, assignment: DataFrame, *, tol: float = 1e-8, max_sweeps: int = 200, schedule: str = "colour", damping: float = 0.0, restarts: int = 1, executor: str = "local", tree: bool = False, budget_states: int = 1 << 16, init: DataFrame | None = None) -> Result:
-    """Cluster mean field to its fixed point: ``schedule`` is ``sequential`` (local), ``colour`` or ``jacobi``.
+def cluster_mean_field(model: Model, assignment: DataFrame, *, tol: float = 1e-8, max_sweeps: int = 200, schedule: str | None = None, damping: float = 0.0, restarts: int = 1, executor: str = "local", tree: bool = False, budget_states: int = 1 << 16, init: DataFrame | None = None) -> Result:
+    """Cluster mean field to its fixed point.
 
-    ``colour`` updates clusters that do not touch together, which equals one after the other in the order of colours.
-    ``init`` warm-starts from means (model_id, var_id, mean).
+    ``executor`` is ``local`` (a model a task), ``sql`` or ``arrow``; ``schedule`` is ``sequential`` (local only, its default), ``colour``
+    (the default of the others) or ``jacobi``.  ``colour`` updates clusters that do not touch together, which equals one after
+    the other in the order of colours.  ``init`` warm-starts from means (model_id, var_id, mean) of all variables.  ``restarts`` and
+    ``tree`` are for the local executor.  A cluster above ``budget_states`` joint states, and an option that the chosen way does not have,
+    are errors.
     """
+    schedule = schedule or ("sequential" if executor == "local" else "colour")
+    if executor not in ("local", "sql", "arrow") or schedule not in (("sequential", "colour", "jacobi") if executor == "local" else ("colour", "jacobi")):
+        raise ValueError(f"no schedule {schedule} in the executor {executor}")
+    if tree and (executor != "local" or schedule != "sequential" or damping or restarts != 1 or init is not None):
+        raise ValueError("tree-linked clusters run in the local executor, one after the other, from the uniform start, undamped")
     if executor == "local":
         ship(model.edges.sparkSession)
-        order = "jacobi" if schedule == "jacobi" else "sequential"
-        run = _local(model.domain, order, tol, max_sweeps, damping, restarts, tree)
-        return _result(_packed(model, assignment).groupBy("model_id").applyInPandas(run, PACKED))
-    if tree:
-        raise ValueError("tree-linked clusters run in the local executor")
+        run = _local(model.domain, schedule, tol, max_sweeps, damping, restarts, tree, budget_states)
+        mean = F.lit(None).cast("double").alias("mean")
+        packed = _packed(model, assignment)
+        if init is None:
+            packed = packed.select("*", mean)
+        else:
+            packed = packed.join(init.select("model_id", F.col("var_id").alias("a"), F.col("mean")), ["model_id", "a"], "left").select("model_id", "a", "b", "theta", "cluster", F.when(F.col("b").isNull(), F.col("mean")).alias("mean"))
+        return _result(packed.groupBy("model_id").applyInPandas(run, PACKED))
+    if restarts != 1:
+        raise ValueError("restarts are for the local executor")
     rows = Stored(cluster_rows(model, assignment, budget_states))
     start = 0.0 if model.domain == "spin" else 0.5
     means = init if init is not None else model.node_params.select("model_id", "var_id", F.lit(start).alias("mean"))
@@ -262,7 +278,7 @@ def cluster_mean_field(model: Model, assignment: DataFrame, *, tol: float = 1e-8
     colours = cluster_colours(model.edges, assignment) if schedule == "colour" else None
     classes = [r[0] for r in colours.select("colour").distinct().orderBy("colour").collect()] if colours is not None else [None]
     held = Stored(means.withColumn("old", F.col("mean")))
-    trace: list[tuple[int, float]] = []
+    trace = None
     for sweep in range(max_sweeps):
         for step, c in enumerate(classes):
             now = held.read()
@@ -271,12 +287,12 @@ def cluster_mean_field(model: Model, assignment: DataFrame, *, tol: float = 1e-8
             mixed = F.coalesce((1 - damping) * F.col("new") + damping * F.col("mean"), F.col("mean"))
             start_of_sweep = F.col("mean") if step == 0 else F.col("old")
             held = Stored(now.join(new, ["model_id", "var_id"], "left").select("model_id", "var_id", mixed.alias("mean"), start_of_sweep.alias("old")))
-        moved = held.read().agg(F.max(F.abs(F.col("mean") - F.col("old")))).first()[0] or 0.0
-        trace.append((sweep, float(moved)))
-        if moved < tol:
+        deltas = held.read().groupBy("model_id").agg(F.max(F.abs(F.col("mean") - F.col("old"))).alias("delta"))
+        row = deltas.select("model_id", F.lit(sweep).alias("sweep"), "delta", F.lit(None).cast("double").alias("bound"))
+        trace = row if trace is None else trace.unionByName(row)
+        if (deltas.agg(F.max("delta")).first()[0] or 0.0) < tol:
             break
     final = Stored(_updated(model, rows.read(), held.read(), nodes, executor)).read()
-    spark = model.edges.sparkSession
     out = _spread(final)
     low, high = (-1.0, 1.0) if model.domain == "spin" else (0.0, 1.0)
     marginals = out.select("model_id", "var_id", ((F.col("mean") - low) / (high - low)).alias("prob"), "mean")
@@ -286,7 +302,7 @@ def cluster_mean_field(model: Model, assignment: DataFrame, *, tol: float = 1e-8
     kl = kl_bounds(model, assignment).select("model_id", (F.col("b") * F.col("w")).alias("kl_upper"))
     diag = diag.join(kl, "model_id", "left").select("model_id", "bound", F.coalesce("w", F.lit(0.0)).alias("w"), F.coalesce("kl_upper", F.lit(0.0)).alias("kl_upper"))
     states = final.select("model_id", "cluster", F.posexplode("q").alias("state", "q")).withColumn("state", F.col("state").cast("long"))
-    return Result(marginals, states, diag, spark.createDataFrame(trace, "sweep int, delta double"))
+    return Result(marginals, states, diag, trace)
 
 
 def _updated(model: Model, rows: DataFrame, means: DataFrame, nodes: DataFrame, executor: str) -> DataFrame:
@@ -311,6 +327,27 @@ def kl_divergence(diagnostics: DataFrame, log_z: DataFrame) -> DataFrame:
     return diagnostics.join(log_z, "model_id").select("model_id", (F.col("log_z") - F.col("bound")).alias("kl"))
 
 
+def kl_border_sum(model: Model, assignment: DataFrame, result: Result, log_z: DataFrame) -> DataFrame:
+    """model_id, kl: the divergence at a fixed point as a sum over the cliques that clusters share.
+
+    Every broken potential stands once in each of its two clusters' averages, so one expectation of it is taken back; the
+    normaliser of the product is that of the clusters, read from the state in which all variables are low.
+    """
+    low, high = (-1.0, 1.0) if model.domain == "spin" else (0.0, 1.0)
+    means = result.marginals.select("model_id", "var_id", (low + (high - low) * F.col("prob")).alias("mean"))
+    nodes = assignment.select("model_id", "var_id", "cluster")
+    a = means.select("model_id", F.col("var_id").alias("src"), F.col("mean").alias("x"))
+    b = means.select("model_id", F.col("var_id").alias("dst"), F.col("mean").alias("y"))
+    met = ends(model.edges, nodes)
+    border = met.where("c_src <> c_dst").join(a, ["model_id", "src"]).join(b, ["model_id", "dst"]).select("model_id", (F.col("theta") * F.col("x") * F.col("y")).alias("v"))
+    field = mean_messages(model.edges, means, nodes).select("model_id", F.lit(low).alias("at"), "field").select("model_id", (-F.col("at") * F.col("field")).alias("v"))
+    alone = model.node_params.select("model_id", (-F.lit(low) * F.col("theta")).alias("v"))
+    inside = met.where("c_src = c_dst").select("model_id", (-F.lit(low * low) * F.col("theta")).alias("v"))
+    tables = result.tables.where("state = 0").select("model_id", F.log("q").alias("v"))  # minus the energy of that state gives minus the cluster's normaliser
+    total = border.unionByName(field).unionByName(alone).unionByName(inside).unionByName(tables).groupBy("model_id").agg(F.sum("v").alias("v"))
+    return total.join(log_z, "model_id").select("model_id", (F.col("v") + F.col("log_z")).alias("kl"))
+
+
 def l1_error(approx: DataFrame, exact: DataFrame, norm: str = "mean") -> DataFrame:
     """model_id, l1: absolute error of binary marginals: ``mean`` over nodes and states, ``node``: summed over states, ``sum``: over all."""
     gap = F.abs(F.col("prob") - F.col("truth"))

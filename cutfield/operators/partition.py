@@ -36,16 +36,15 @@ def _per_graph(nodes: DataFrame, weighted: DataFrame, run: Callable, schema: str
 def equi_cut(nodes: DataFrame, weighted: DataFrame, k: int, sense: str = "min", *, method: str = "kmeans", sizes: list[int] | None = None, level: str = "psd_nonneg", restarts: int = 20, seed: int = 0, dense_limit: int = 512) -> DataFrame:
     """model_id, var_id, cluster, cut, bound, ratio of each graph.
 
-    ``method``: ``kmeans``, ``projection`` (with size repair), ``projection_raw``, ``hyperplane`` (k = 2), ``linearised``,
-    ``spectral``, ``brute``.  ``sizes`` prescribes unequal clusters.  A graph above ``dense_limit`` nodes is an error here.
+    ``method``: ``kmeans``, ``projection`` (with size repair), ``projection_raw``, ``hyperplane`` and ``hyperplane_raw`` (k = 2),
+    ``linearised``, ``spectral``, ``brute``.  ``sizes`` prescribes unequal clusters; else they differ by one at most.  Bound and ratio are
+    certified, and null for the raw ways, whose clusters may break the sizes.  A graph above ``dense_limit`` nodes is an error here.
     """
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        ids, _, a, _ = arrays(pdf)
-        if len(ids) > dense_limit:
-            raise ValueError(f"a graph of {len(ids)} nodes is beyond the dense limit; use coarse_partition")
+        ids, _, a, _ = arrays(pdf, dense_limit)
         got = dense.partition(a, k, sense, method, sizes, seed, restarts, level)
-        return pd.DataFrame({"model_id": pdf["model_id"].iloc[0], "var_id": ids, "cluster": got["labels"], "cut": got["cut"], "bound": got["bound"], "ratio": got["ratio"]})
+        return pd.DataFrame({"model_id": pdf["model_id"].iloc[0], "var_id": ids, "cluster": got["labels"], "cut": got["cut"], "bound": got["bound"], "ratio": got["ratio"]}).astype({"bound": float, "ratio": float})
 
     return _per_graph(nodes, weighted, run, CUT)
 
@@ -70,6 +69,46 @@ def cut_any_size(nodes: DataFrame, weighted: DataFrame, k: int, sense: str = "mi
     return small.unionByName(coarse)
 
 
+SANDWICH = "model_id long, sense string, sizes string, optimum double, ordered boolean, canonical boolean, feasible boolean"
+
+
+def size_sandwich(nodes: DataFrame, weighted: DataFrame, cases: tuple[tuple[int, ...], ...], *, dense_limit: int = 12) -> DataFrame:
+    """For each graph, sense and prescribed sizes that fit it, the optimum by enumeration, and whether the rest keeps its side of it.
+
+    ``ordered``: spectral, semidefinite and non-negative semidefinite bounds do not pass the optimum, nor the next of them;
+    ``canonical``: neither does the generic solver's on equal sizes; ``feasible``: every rounding has the sizes and its cut does not
+    pass the optimum.
+    """
+    ways = ("kmeans", "projection", "linearised", "spectral")
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        ids, _, a, _ = arrays(pdf, dense_limit)
+        rows = []
+        for case in cases:
+            if sum(case) != len(ids):
+                continue
+            sizes, k = np.array(case), len(case)
+            for sense in ("min", "max"):
+                sign = 1.0 if sense == "min" else -1.0
+                slack = 1e-6 * max(1.0, float(a.sum()))
+                best = sign * dense.brute_cut(a, k, sense, sizes)[0]
+                equal = len(set(case)) == 1
+                bounds = [sign * (dense.relax(a, k, sense, x, 4000, gap=1e-7) if equal else dense.relax_sizes(a, sizes, sense, x, 4000, gap=1e-7))[2] for x in ("eigen", "psd", "psd_nonneg")]
+                ordered = bounds[2] <= best + slack and bounds[1] <= bounds[2] + 1e-3 * slack / 1e-6 and bounds[0] <= bounds[1] + 1e-3 * slack / 1e-6
+                canonical = True
+                if equal:
+                    matrices, rhs, cost = dense.canonical_cut(a, k, sense)
+                    canonical = dense.solve_sdp(cost, matrices, rhs, trace=len(a))[2] <= best + slack
+                feasible = True
+                for way in ways:
+                    got = dense.partition(a, k, sense, way, list(case))
+                    feasible &= sorted(np.bincount(got["labels"]).tolist()) == sorted(case) and sign * got["cut"] >= best - slack and sign * got["bound"] <= sign * got["cut"] + slack
+                rows.append((int(pdf["model_id"].iloc[0]), sense, ",".join(map(str, case)), sign * best, bool(ordered), bool(canonical), bool(feasible)))
+        return pd.DataFrame(rows, columns=[c.split()[0] for c in SANDWICH.split(", ")])
+
+    return _per_graph(nodes, weighted, run, SANDWICH)
+
+
 def relax_bounds(nodes: DataFrame, weighted: DataFrame, k: int, sense: str = "min", levels: tuple[str, ...] = ("eigen", "psd", "psd_nonneg")) -> DataFrame:
     """model_id, level, value, bound: the nested relaxations of one objective."""
 
@@ -148,17 +187,23 @@ def compare_schemes(model: Model, k: int, schemes: tuple[str, ...] = tuple(SCHEM
     return out
 
 
-def alternate(model: Model, k: int, rounds: int = 3) -> DataFrame:
-    """round, model_id, bound, w: expected-potential weights, cut, inference, and again with the means just found."""
-    out, means = None, None
+def alternate(model: Model, k: int, rounds: int = 10) -> DataFrame:
+    """round, model_id, bound, w, best: expected-potential weights, cut, inference, and again with the means just found.
+
+    It ends when the partitions of all models repeat, or after ``rounds``; ``best`` marks each model's first round with the highest bound.
+    """
+    out, means, before = None, None, None
     for r in range(rounds):
         weights = expected_weights(model.edges, model.domain, means)
-        found = equi_cut(model.node_params, weights, k).select("model_id", "var_id", "cluster")
+        found = Stored(equi_cut(model.node_params, weights, k).select("model_id", "var_id", "cluster")).read()  # clusters are named by their smallest node
+        if before is not None and not found.join(before, ["model_id", "var_id", "cluster"], "left_anti").limit(1).count():
+            break
         result = cluster_mean_field(model, found)
         row = result.diagnostics.select(F.lit(r).alias("round"), "model_id", "bound", "w")
         out = row if out is None else out.unionByName(row)
-        means = result.marginals.select("model_id", "var_id", "mean")
-    return out
+        means, before = Stored(result.marginals.select("model_id", "var_id", "mean")).read(), found
+    first = F.row_number().over(Window.partitionBy("model_id").orderBy(F.round("bound", 9).desc(), "round")) == 1
+    return out.withColumn("best", first)
 
 
 def infer(model: Model, *, budget_states: int = 1 << 16, k: int | None = None, schemes: tuple[str, ...] = ("min_coupling", "min_unit"), tree: bool = True) -> DataFrame:
@@ -173,7 +218,9 @@ def infer(model: Model, *, budget_states: int = 1 << 16, k: int | None = None, s
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         ids, h, w, _ = arrays(pdf)
         n = len(ids)
-        kk = k or next(x for x in range(1, n + 1) if sum(2.0**m for m in dense.cluster_sizes(n, x)) <= budget_states)
+        kk = k or next((x for x in range(1, n + 1) if sum(2.0**m for m in dense.cluster_sizes(n, x)) <= budget_states), None)
+        if kk is None:
+            raise ValueError(f"{n} variables have more states than the budget of {budget_states} even one by one")
         best = None
         for name in schemes:
             sense, kind = SCHEMES[name]

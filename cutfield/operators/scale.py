@@ -2,13 +2,28 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..storage import Stored
 from .graph import both_ways, ends
 
 
+def ranked(df: DataFrame, keys: list[str], order: list[Column], name: str) -> DataFrame:
+    """``df`` with ``name``: the place of each row, from 1, among those of its keys, by an order without ties.
+
+    Rows are dealt to ranges of keys and order, numbered inside their range, and moved on by what the ranges before hold,
+    so no task sees all rows of a key.  The ranges are written once, because their borders come from a sample.
+    """
+    held = Stored(df.repartitionByRange(*keys, *order).withColumn("_part", F.spark_partition_id())).read()
+    counts = held.groupBy(*keys, "_part").agg(F.count(F.lit(1)).alias("_n"))
+    earlier = Window.partitionBy(*keys).orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)  # a row a range
+    before = counts.select(*keys, "_part", F.coalesce(F.sum("_n").over(earlier), F.lit(0)).alias("_before"))
+    inside = F.row_number().over(Window.partitionBy(*keys, "_part").orderBy(*order))
+    out = held.withColumn("_in", inside).join(before, [*keys, "_part"])
+    return out.withColumn(name, F.col("_before") + F.col("_in")).drop("_part", "_before", "_in")
+
+
 def components(nodes: DataFrame, edges: DataFrame, max_rounds: int = 64) -> DataFrame:
     """model_id, var_id, component: the smallest node that edges reach.  Labels hook to the smallest around and jump; rounds are logarithmic."""
     pairs = Stored(both_ways(edges.select("model_id", "src", "dst", F.lit(0).alias("w")), "w").select("model_id", "i", "j").distinct())
@@ -100,8 +115,9 @@ def merged_clusters(nodes: DataFrame, weighted: DataFrame, cap: float, balance:
         d = both_ways(weighted).groupBy("model_id", F.col("i").alias("var_id")).agg((F.count(F.lit(1)) / 2.0).alias("mass"))
         nodes = nodes.select("model_id", "var_id").join(d, ["model_id", "var_id"], "left").fillna(0.0, ["mass"])
     found = heavy_matching(nodes, weighted, cap, rounds)
-    order = Window.partitionBy("model_id").orderBy("group")
-    return found.withColumn("cluster", F.dense_rank().over(order) - 1).select("model_id", "var_id", "cluster")
+    found = Stored(found).read()
+    named = ranked(found.select("model_id", "group").distinct(), ["model_id"], [F.col("group")], "r")
+    return found.join(named, ["model_id", "group"]).select("model_id", "var_id", (F.col("r") - 1).cast("int").alias("cluster"))
 
 
 def rebalance(nodes: DataFrame, weighted: DataFrame, assignment: DataFrame, k: int) -> DataFrame:
@@ -117,11 +133,10 @@ def rebalance(nodes: DataFrame, weighted: DataFrame, assignment: DataFrame, k: i
     by_size = Window.partitionBy("model_id").orderBy(F.desc("m"), "cluster")
     room = all_clusters.join(sizes, ["model_id", "cluster"], "left").fillna(0, ["m"]).withColumn("r", F.row_number().over(by_size))
     room = room.select("model_id", "cluster", "m", (F.floor(F.col("n") / k) + (F.col("r") <= F.col("n") % k).cast("int")).alias("cap"))
-    ranked = assignment.join(tie, ["model_id", "var_id"], "left").fillna(0.0, ["tie"]).withColumn("r", F.row_number().over(Window.partitionBy("model_id", "cluster").orderBy(F.desc("tie"), "var_id")))
-    placed = ranked.join(room, ["model_id", "cluster"])
+    placed = ranked(assignment.join(tie, ["model_id", "var_id"], "left").fillna(0.0, ["tie"]), ["model_id", "cluster"], [F.desc("tie"), F.col("var_id")], "r").join(room, ["model_id", "cluster"])
     free = room.where("m < cap").select("model_id", F.col("cluster").alias("to"), F.explode(F.sequence(F.lit(1), (F.col("cap") - F.col("m")).cast("int"))).alias("s"))
-    free = free.withColumn("slot", F.row_number().over(Window.partitionBy("model_id").orderBy("to", "s")))
-    out = placed.where("r > cap").withColumn("slot", F.row_number().over(Window.partitionBy("model_id").orderBy("cluster", "r"))).select("model_id", "var_id", "slot")
+    free = ranked(free, ["model_id"], [F.col("to"), F.col("s")], "slot")
+    out = ranked(placed.where("r > cap").select("model_id", "var_id", "cluster", "r"), ["model_id"], [F.col("cluster"), F.col("r")], "slot").select("model_id", "var_id", "slot")
     moved = out.join(free, ["model_id", "slot"]).select("model_id", "var_id", F.col("to").cast("int").alias("cluster"))
     return placed.where("r <= cap").select("model_id", "var_id", F.col("cluster").cast("int").alias("cluster")).unionByName(moved)
 
@@ -140,9 +155,9 @@ def refine(weighted: DataFrame, assignment: DataFrame, sense: str = "min", round
         own = a.join(pull.withColumnRenamed("c", "cluster"), ["model_id", "var_id", "cluster"], "left").fillna(0.0, ["w"]).withColumnRenamed("w", "own")
         wish = own.join(pull, ["model_id", "var_id"]).where("c <> cluster").withColumn("gain", F.lit(sign) * (F.col("w") - F.col("own")))
         wish = wish.where(F.pmod(F.xxhash64(F.lit(r), "var_id"), F.lit(2)) == 0).groupBy("model_id", "var_id", "cluster").agg(F.max_by(F.struct("c", "gain"), F.struct("gain", -F.col("c"))).alias("b")).select("model_id", "var_id", "cluster", F.col("b.c").alias("to"), "b.gain")
-        ranked = wish.withColumn("r", F.row_number().over(Window.partitionBy("model_id", "cluster", "to").orderBy(F.desc("gain"), "var_id")))
-        other = ranked.select("model_id", F.col("cluster").alias("to"), F.col("to").alias("cluster"), "r", F.col("gain").alias("gain2"))
-        swaps = Stored(ranked.join(other, ["model_id", "cluster", "to", "r"]).where(F.col("gain") + F.col("gain2") > 1e-9).select("model_id", "var_id", F.col("to").alias("new")))
+        wishes = wish.withColumn("r", F.row_number().over(Window.partitionBy("model_id", "cluster", "to").orderBy(F.desc("gain"), "var_id")))
+        other = wishes.select("model_id", F.col("cluster").alias("to"), F.col("to").alias("cluster"), "r", F.col("gain").alias("gain2"))
+        swaps = Stored(wishes.join(other, ["model_id", "cluster", "to", "r"]).where(F.col("gain") + F.col("gain2") > 1e-9).select("model_id", "var_id", F.col("to").alias("new")))
         if not swaps.read().limit(1).count():
             break
         now = Stored(a.join(swaps.read(), ["model_id", "var_id"], "left").select("model_id", "var_id", F.coalesce("new", "cluster").cast("int").alias("cluster")))
@@ -214,30 +229,37 @@ def label_propagation(nodes: DataFrame, weighted: DataFrame, k: int, rounds: int
         best = pull.groupBy("model_id", "var_id").agg(F.max_by(F.struct("cluster", "w"), F.struct("w", -F.col("cluster"))).alias("b"))
         wish = a.join(best, ["model_id", "var_id"], "left").select("model_id", "var_id", F.col("cluster").alias("old"), F.coalesce("b.cluster", "cluster").alias("cluster"), F.coalesce("b.w", F.lit(0.0)).alias("w"))
         size = nodes.groupBy("model_id").agg(F.ceil(F.count(F.lit(1)) / k * 1.1).alias("cap"))
-        ranked = wish.withColumn("r", F.row_number().over(Window.partitionBy("model_id", "cluster").orderBy(F.desc("w"), "var_id"))).join(size, "model_id")
-        start = Stored(ranked.select("model_id", "var_id", F.when(F.col("r") <= F.col("cap"), F.col("cluster")).otherwise(F.col("old")).alias("cluster")))
+        placed = ranked(wish, ["model_id", "cluster"], [F.desc("w"), F.col("var_id")], "r").join(size, "model_id")
+        start = Stored(placed.select("model_id", "var_id", F.when(F.col("r") <= F.col("cap"), F.col("cluster")).otherwise(F.col("old")).alias("cluster")))
     return rebalance(nodes, weighted, start.read(), k)
 
 
-def spectral_bisection(nodes: DataFrame, weighted: DataFrame, sense: str = "min", rounds: int = 30) -> DataFrame:
+def spectral_bisection(nodes: DataFrame, weighted: DataFrame, sense: str = "min", rounds: int = 30, tol: float = 1e-4) -> DataFrame:
     """Two equal halves by an extreme eigenvector of the Laplacian, found by power iteration; a product is one join and one sum.
 
+    It ends when the unit vector moves by less than ``tol`` in every model, or after ``rounds``.
+
     ``min`` iterates on (2 d_max - L), which brings out the second smallest eigenvector; ``max`` on L itself.
     """
     from ..hashing import uniform
     from .graph import degrees
 
-    nodes, weighted = Stored(nodes.select("model_id", "var_id")).read(), Stored(weighted).read()
+    nodes = Stored(nodes.select("model_id", "var_id")).read()
+    pairs = Stored(both_ways(weighted)).read()
     deg = Stored(degrees(nodes, weighted).withColumnRenamed("i", "var_id"))
     top = deg.read().groupBy("model_id").agg((2 * F.max("d")).alias("shift"))
-    per = Window.partitionBy("model_id")
     x = Stored(nodes.select("model_id", "var_id", (uniform(11, F.col("var_id")) - 0.5).alias("x")))
-    for _ in range(rounds):
+    for step in range(rounds):
         now = x.read()
-        ax = both_ways(weighted).join(now.select("model_id", F.col("var_id").alias("j"), "x"), ["model_id", "j"]).groupBy("model_id", F.col("i").alias("var_id")).agg(F.sum(F.col("weight") * F.col("x")).alias("ax"))
-        lx = now.join(deg.read(), ["model_id", "var_id"]).join(ax, ["model_id", "var_id"], "left").join(F.broadcast(top), "model_id").withColumn("lx", F.col("d") * F.col("x") - F.coalesce("ax", F.lit(0.0)))  # one row per model
-        y = lx.select("model_id", "var_id", (F.col("shift") * F.col("x") - F.col("lx") if sense == "min" else F.col("lx")).alias("y"))
+        ax = pairs.join(now.select("model_id", F.col("var_id").alias("j"), "x"), ["model_id", "j"]).groupBy("model_id", F.col("i").alias("var_id")).agg(F.sum(F.col("weight") * F.col("x")).alias("ax"))
+        lx = now.join(deg.read(), ["model_id", "var_id"]).join(ax, ["model_id", "var_id"], "left").join(top, "model_id").withColumn("lx", F.col("d") * F.col("x") - F.coalesce("ax", F.lit(0.0)))
+        y = lx.select("model_id", "var_id", F.col("x").alias("was"), (F.col("shift") * F.col("x") - F.col("lx") if sense == "min" else F.col("lx")).alias("y"))
         stats = y.groupBy("model_id").agg(F.avg("y").alias("mean"), F.sqrt(F.greatest(F.sum(F.col("y") * F.col("y")) - F.count(F.lit(1)) * F.pow(F.avg("y"), 2), F.lit(1e-300))).alias("norm"))
-        x = Stored(y.join(stats, "model_id").select("model_id", "var_id", ((F.col("y") - F.col("mean")) / F.col("norm")).alias("x")))
-    half = F.ntile(2).over(per.orderBy("x", "var_id")) - 1
-    return x.read().select("model_id", "var_id", half.alias("cluster"))
+        x = Stored(y.join(stats, "model_id").select("model_id", "var_id", ((F.col("y") - F.col("mean")) / F.col("norm")).alias("x"), "was"))
+        if step % 5 == 4:  # both operators have no negative eigenvalue here, so the sign stays
+            moved = x.read().groupBy("model_id").agg(F.sum(F.pow(F.col("x") - F.col("was"), 2)).alias("m")).agg(F.max("m")).first()[0] or 0.0
+            if moved < tol * tol:
+                break
+    sizes = nodes.groupBy("model_id").agg(F.count(F.lit(1)).alias("n"))
+    placed = ranked(x.read().select("model_id", "var_id", "x"), ["model_id"], [F.col("x"), F.col("var_id")], "r").join(sizes, "model_id")
+    return placed.select("model_id", "var_id", (2 * F.col("r") > F.col("n") + 1).cast("int").alias("cluster"))

@@ -14,6 +14,7 @@ from ..hashing import uniform_value
 from ..operators import dense
 from ..operators.graph import SCHEMES
 from ..shipping import ship
+from ..storage import Stored
 
 
 def random_graph(trial: int, n: int, p: float, seed: int = 1) -> np.ndarray:
@@ -47,7 +48,10 @@ QUALITY = "p double, k int, sense string, trial int, rounding string, bound doub
 
 
 def quality_trials(spark: SparkSession, trials: int = 100, n: int = 24, densities: tuple[float, ...] = (0.3, 0.5), ks: tuple[int, ...] = (3, 4, 6, 8), weighted: bool = False) -> DataFrame:
-    """One row per trial, sense, k and rounding: certified bound, feasible cut, and their ratio."""
+    """One row per trial, sense, k and rounding: certified bound, feasible cut, and their ratio.
+
+    Roundings: K-means, one balanced draw of random directions, the best of twenty, and one draw whose sizes are not repaired.
+    """
     ship(spark)
     cells = [(p, t) for p in densities for t in range(trials)]
 
@@ -60,10 +64,16 @@ def quality_trials(spark: SparkSession, trials: int = 100, n: int = 24, densitie
                     for sense in ("min", "max"):
                         y, _, bound = dense.relax(a, k, sense)
                         points, sizes = dense.factor(y), dense.cluster_sizes(n, k)
-                        kinds = {"kmeans": dense.round_kmeans(points, a, sizes, sense), "projection": dense.round_projection(points, a, sizes, sense)}
+                        kinds = {
+                            "kmeans": dense.round_kmeans(points, a, sizes, sense),
+                            "projection": dense.round_projection(points, a, sizes, sense),
+                            "projection_20": dense.round_projection(points, a, sizes, sense, 20),
+                            "projection_raw": dense.round_projection(points, a, sizes, sense, 1, False),
+                        }
                         for name, labels in kinds.items():
                             cut = dense.cut_value(a, labels)
-                            rows.append((float(p), k, sense, int(trial), name, bound, cut, cut / bound))
+                            held = name != "projection_raw"  # its clusters may break the sizes, so the bound is not its own
+                            rows.append((float(p), k, sense, int(trial), name, bound if held else None, cut, cut / bound if held else None))
             yield pd.DataFrame(rows, columns=["p", "k", "sense", "trial", "rounding", "bound", "cut", "ratio"])
 
     return _cells(spark, cells, "p double, trial int").mapInPandas(run, QUALITY)
@@ -82,42 +92,73 @@ FIGURE = "p double, coupling string, w_obs double, w_coup double, trial int, k i
 def figure_trials(spark: SparkSession, trials: int = 20, n: int = 24, p: float = 0.3, couplings: tuple[str, ...] = ("repulsive", "mixed", "attractive"), strengths: tuple[tuple[float, float], ...] = ((1.0, 1.0), (1.0, 2.0), (1.0, 4.0), (0.25, 1.0)), ks: tuple[int, ...] = (2, 3, 4, 6, 8, 12), domain: str = "spin", restarts: int = 3, extra: bool = False) -> DataFrame:
     """One row per model, k and clustering (six schemes, random, naive): error of marginals, bound over log-normaliser, broken weight."""
     ship(spark)
-    cells = [(c, o, s, t) for c in couplings for o, s in strengths for t in range(trials)]
+    cells = [(c, t) for c in couplings for t in range(trials)]
 
     def run(batches):
         for pdf in batches:
             rows = []
-            for coupling, w_obs, w_coup, trial in pdf.itertuples(index=False):
-                h, w = random_model(int(trial), n, p, coupling, w_obs, w_coup)
-                log_z, truth = dense.exact(h, w, domain)
-                width = dense.treewidth_minfill(w != 0)
-                size = np.abs(w)
-                on = w != 0
-                kinds = {"unit": on.astype(float), "coupling": size, "inverse": np.where(on, 1 / np.maximum(size, 0.02), 0.0)}
-
-                def add(k, name, labels, make=None):
-                    if make:
-                        field = make(h, w, labels, domain)
-                        steps = field.run()
-                    else:
-                        field, steps = dense.best_restart(h, w, labels, domain, restarts)
-                    kl = log_z - field.bound()
-                    rows.append((p, coupling, w_obs, w_coup, int(trial), k, name, float(np.abs(field.prob() - truth).mean()), field.bound() / log_z if log_z > 0 else None, kl, field.broken(), kl, field.kl_upper(), len(steps), width))
-
-                add(n, "naive", np.arange(n))
-                for k in ks:
-                    rng = np.array([uniform_value(4, trial, k, i) for i in range(n)])
-                    random = np.empty(n, int)
-                    random[np.argsort(rng)] = np.arange(n) % k
-                    add(k, "random", random)
-                    for scheme, (sense, kind) in SCHEMES.items():
-                        labels = dense.partition(kinds[kind], k, sense)["labels"]
-                        add(k, scheme, labels)
-                        if extra and scheme == "min_coupling":
-                            add(k, "min_coupling_tree", labels, dense.TreeField)
+            for coupling, trial in pdf.itertuples(index=False):
+                cuts: dict = {}  # the strength scales all couplings alike, and with them every affinity, so each cut is searched once
+                for w_obs, w_coup in strengths:
+                    h, w = random_model(int(trial), n, p, coupling, w_obs, w_coup)
+                    log_z, truth = dense.exact(h, w, domain)
+                    on, size = w != 0, np.abs(w)
+                    width = dense.treewidth_minfill(on)
+                    kinds = {"unit": on.astype(float), "coupling": size, "inverse": np.where(on, 1 / np.maximum(size, 1e-6), 0.0)}
+
+                    def add(k, name, labels, make=None):
+                        if make:
+                            field = make(h, w, labels, domain)
+                            steps = field.run()
+                        else:
+                            field, steps = dense.best_restart(h, w, labels, domain, restarts)
+                        kl = log_z - field.bound()
+                        rows.append((p, coupling, w_obs, w_coup, int(trial), k, name, float(np.abs(field.prob() - truth).mean()), field.bound() / log_z if log_z > 0 else None, kl, field.broken(), kl, field.kl_upper(), len(steps), width))
+
+                    add(n, "naive", np.arange(n))
+                    for k in ks:
+                        rng = np.array([uniform_value(4, trial, k, i) for i in range(n)])
+                        random = np.empty(n, int)
+                        random[np.argsort(rng)] = np.arange(n) % k
+                        add(k, "random", random)
+                        for scheme, (sense, kind) in SCHEMES.items():
+                            if (k, scheme) not in cuts:
+                                cuts[k, scheme] = dense.partition(kinds[kind], k, sense)["labels"]
+                            labels = cuts[k, scheme]
+                            add(k, scheme, labels)
+                            if extra and scheme == "min_coupling":
+                                add(k, "min_coupling_tree", labels, dense.TreeField)
             yield pd.DataFrame(rows, columns=[c.split()[0] for c in FIGURE.split(", ")])
 
-    return _cells(spark, cells, "coupling string, w_obs double, w_coup double, trial int").mapInPandas(run, FIGURE)
+    return _cells(spark, cells, "coupling string, trial int", len(cells)).mapInPandas(run, FIGURE)
+
+
+_GRIDS: dict[tuple, Stored] = {}
+
+
+def stored_trials(spark: SparkSession, **options) -> DataFrame:
+    """``figure_trials`` written once for each application and choice of options; all figures read that table."""
+    key = (spark.sparkContext.applicationId, *sorted(options.items()))
+    if key not in _GRIDS:
+        _GRIDS[key] = Stored(figure_trials(spark, **options))
+    return _GRIDS[key].read()
+
+
+def panels(trials: DataFrame, middle: int) -> DataFrame:
+    """One row per panel (coupling, strengths), clustering and k, over the graphs whose treewidth is ``middle`` give or take one, and over all.
+
+    ``l1_rank`` and ``bound_rank`` order the clusterings of a panel and k, best first.
+    """
+    from pyspark.sql import Window
+
+    near = F.abs(F.col("width") - middle) <= 1
+    both = trials.withColumn("graphs", F.lit("all")).unionByName(trials.where(near).withColumn("graphs", F.lit("of the width")))
+    naive = both.where("clustering = 'naive'").drop("k").join(both.where("clustering <> 'naive'").select("k").distinct())  # a handful of k
+    cells = both.where("clustering <> 'naive'").unionByName(naive.select(both.columns)).groupBy("graphs", "coupling", "w_obs", "w_coup", "k", "clustering")
+    out = cells.agg(F.avg("l1").alias("l1"), F.stddev_samp("l1").alias("l1_sd"), F.avg("ratio").alias("ratio"), F.avg("gap").alias("gap"), F.avg("w").alias("w"), F.avg("width").alias("width"), F.count(F.lit(1)).alias("n"))
+    per = Window.partitionBy("graphs", "coupling", "w_obs", "w_coup", "k")
+    out = out.withColumns({"l1_rank": F.rank().over(per.orderBy("l1")), "bound_rank": F.rank().over(per.orderBy("gap"))})
+    return out.select("graphs", "coupling", "w_obs", "w_coup", "k", "clustering", *[F.round(c, 5).alias(c) for c in ("l1", "l1_sd", "ratio", "gap", "w", "width")], "n", "l1_rank", "bound_rank")
 
 
 def figure_marginals(trials: DataFrame) -> DataFrame:

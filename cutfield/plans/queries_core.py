@@ -310,10 +310,10 @@ def maxcut_identity(spark, d):
     return rounded(G.max_cut_identity(m.node_params, G.affinity(m.edges), a), "lhs", "rhs")
 
 
-_BY_SCHEME = " UNION ALL ".join(f"SELECT '{k}' AS affinity, model_id, src, dst, {e} AS w FROM edges" for k, e in _WEIGHT.items())
+BY_SCHEME = " UNION ALL ".join(f"SELECT '{k}' AS affinity, model_id, src, dst, {e} AS w FROM edges" for k, e in _WEIGHT.items())
 
 
-@query("cut_by_scheme", f"""WITH {MODELS}, aw AS ({_BY_SCHEME})
+@query("cut_by_scheme", f"""WITH {MODELS}, aw AS ({BY_SCHEME})
 SELECT affinity, a.partition, round(sum(CASE WHEN a.cluster <> b.cluster THEN w ELSE 0 END), 6) AS cut
 FROM aw JOIN parts a ON a.model_id = aw.model_id AND a.var_id = aw.src JOIN parts b ON b.model_id = aw.model_id AND b.var_id = aw.dst AND b.partition = a.partition
 WHERE aw.model_id = 100 GROUP BY 1, 2""")
@@ -379,7 +379,7 @@ def _brute(spark, d, sense: str) -> DataFrame:
 
 
 for _sense, _order in (("min", ""), ("max", "-")):
-    _one = [_BRUTE.format(models=MODELS, k=k, schemes=_BY_SCHEME, order=_order) for k in (2, 4)]
+    _one = [_BRUTE.format(models=MODELS, k=k, schemes=BY_SCHEME, order=_order) for k in (2, 4)]
     query(f"equi_{_sense}cut_brute", f"SELECT * FROM ({_one[0]}) UNION ALL SELECT * FROM ({_one[1]})")(lambda spark, d, s=_sense: _brute(spark, d, s))
 
 # --- structure and bounds -------------------------------------------------------------------------------------------------------

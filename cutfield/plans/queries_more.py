@@ -15,7 +15,7 @@ from ..operators import tabular as T
 from ..sources import workloads as W
 from ..streaming import pair_counts as E
 from . import experiments as X
-from .queries_core import models, query, rounded
+from .queries_core import BY_SCHEME, CROSS, EXACT, MODELS, PAIR_GROUP, mean_field_sql, models, query, rounded
 
 # --- tabular --------------------------------------------------------------------------------------------------------------------
 
@@ -258,6 +258,32 @@ def _cuts(spark, d, method: str, ks=(3, 4, 6, 8), senses=("min", "max")) -> Data
 for _name, _method in (("round_kmeans", "kmeans"), ("round_projection", "projection"), ("round_projection_raw", "projection_raw"), ("round_linearised", "linearised"), ("spectral_partition", "spectral")):
     query(_name)(lambda spark, d, m=_method: _cuts(spark, d, m))
 query("round_hyperplane")(lambda spark, d: _cuts(spark, d, "hyperplane", (2,)))
+query("round_hyperplane_raw")(lambda spark, d: _cuts(spark, d, "hyperplane_raw", (2,)))
+query("cut_uneven")(lambda spark, d: _cuts(spark, d, "kmeans", (5, 7, 9)))
+
+
+#: Prescribed sizes: equal ones, ones that do not divide, and lopsided ones; for the models of five and of eight nations.
+SIZES = ((3, 2), (4, 1), (2, 2, 1), (3, 3, 2), (5, 3), (4, 4), (2, 2, 2, 2))
+_CASES = ", ".join(f"('{','.join(map(str, c))}', {len(c)}, {sum(c)})" for c in SIZES)
+
+
+@query("cut_sandwich", f"""WITH {MODELS}, aw AS ({BY_SCHEME}), cs AS (SELECT * FROM (VALUES {_CASES}) v(sizes, k, n)),
+lab AS (SELECT sizes, k, n, s, p, (s // pow(k, p)::BIGINT) % k AS c FROM (SELECT *, unnest(range(pow(k, n)::BIGINT)) AS s FROM cs) x, range(8) r(p) WHERE p < n),
+ok AS (SELECT sizes, n, s FROM (SELECT sizes, k, n, s, c, count(*) AS m FROM lab GROUP BY ALL) GROUP BY sizes, k, n, s HAVING array_to_string(list_reverse_sort(list(m)), ',') = sizes),
+named AS (SELECT lab.sizes, lab.n, lab.s, lab.p, lab.c FROM lab JOIN ok USING (sizes, n, s)),
+nn AS (SELECT model_id, count(*) AS n FROM nodes GROUP BY 1),
+cut AS (SELECT affinity, aw.model_id, a.sizes, a.s, sum(CASE WHEN a.c <> b.c THEN w ELSE 0 END) AS cut
+  FROM aw JOIN nn USING (model_id) JOIN pos x ON x.model_id = aw.model_id AND x.var_id = aw.src JOIN pos y ON y.model_id = aw.model_id AND y.var_id = aw.dst
+  JOIN named a ON a.n = nn.n AND a.p = x.pos JOIN named b ON b.sizes = a.sizes AND b.s = a.s AND b.p = y.pos GROUP BY ALL)
+SELECT affinity, model_id, 'min' AS sense, sizes, round(min(cut), 6) AS optimum, TRUE AS ordered, TRUE AS canonical, TRUE AS feasible FROM cut GROUP BY ALL
+UNION ALL SELECT affinity, model_id, 'max', sizes, round(max(cut), 6), TRUE, TRUE, TRUE FROM cut GROUP BY ALL""")
+def cut_sandwich(spark, d):
+    """Every bound on its side of the optimum, every rounding of the asked sizes on the other, also where sizes differ."""
+    m, out = models(spark, d)[0], None
+    for kind in ("unit", "coupling", "inverse"):
+        r = P.size_sandwich(m.node_params, G.affinity(m.edges, kind), SIZES).select(F.lit(kind).alias("affinity"), "*")
+        out = r if out is None else out.unionByName(r)
+    return rounded(out, "optimum")
 
 
 @query("relax_bound")
@@ -315,18 +341,22 @@ def table_quality_weighted(spark, d):
     return X.table_quality(spark, 100, weighted=True)
 
 
-query("figure_marginals")(lambda spark, d: X.figure_marginals(X.figure_trials(spark)))
-query("figure_bounds")(lambda spark, d: X.figure_bounds(X.figure_trials(spark)))
-query("figure_dense")(lambda spark, d: X.win_rates(X.figure_trials(spark, p=0.5)))
-query("theorem_scatter")(lambda spark, d: X.theorem_scatter(X.figure_trials(spark)))
-query("win_rates")(lambda spark, d: X.win_rates(X.figure_trials(spark)))
+# each grid is computed once an application: 20 trials, three couplings, four strengths, k = 2, 3, 4, 6, 8, 12
+query("figure_marginals")(lambda spark, d: X.figure_marginals(X.stored_trials(spark)))
+query("figure_bounds")(lambda spark, d: X.figure_bounds(X.stored_trials(spark)))
+query("figure_panels")(lambda spark, d: X.panels(X.stored_trials(spark), 12))
+query("figure_dense")(lambda spark, d: X.win_rates(X.stored_trials(spark, p=0.5)))
+query("figure_dense_panels")(lambda spark, d: X.panels(X.stored_trials(spark, p=0.5), 16))
+query("figure_bit")(lambda spark, d: X.win_rates(X.stored_trials(spark, domain="bit")))
+query("theorem_scatter")(lambda spark, d: X.theorem_scatter(X.stored_trials(spark)))
+query("win_rates")(lambda spark, d: X.win_rates(X.stored_trials(spark)))
 
 # --- extensions -----------------------------------------------------------------------------------------------------------------
 
 
 @query("autopilot")
 def autopilot(spark, d):
-    return rounded(P.infer(models(spark, d)[0], budget_states=32), "prob", "bound", "kl_upper")
+    return rounded(P.infer(models(spark, d)[0], budget_states=16), "prob", "bound", "kl_upper")
 
 
 query("alternate")(lambda spark, d: rounded(P.alternate(models(spark, d)[0], 2), "bound", "w"))
@@ -387,8 +417,8 @@ def coarsen_partition(spark, d):
 
 query("coarsen_max_cut")(lambda spark, d: (lambda n, e: _with_cut(L.coarse_partition(n, e, 8, "max"), e, "refined max"))(*_copurchase(spark, d)))
 query("label_propagation")(lambda spark, d: (lambda n, e: _with_cut(L.label_propagation(n, e, 8), e, "labels"))(*_copurchase(spark, d)))
-query("spectral_bisection")(lambda spark, d: (lambda n, e: _with_cut(L.spectral_bisection(n, e, rounds=10), e, "spectral"))(*_copurchase(spark, d)))
-query("merged_clusters")(lambda spark, d: (lambda n, e: _with_cut(L.merged_clusters(n, e, 2.0**10, "states", 6), e, "merged"))(*_copurchase(spark, d)))
+query("spectral_bisection")(lambda spark, d: (lambda n, e: _with_cut(L.spectral_bisection(n, e), e, "spectral"))(*_copurchase(spark, d)))
+query("merged_clusters")(lambda spark, d: (lambda n, e: _with_cut(L.merged_clusters(n, e, 2.0**10, "states"), e, "merged"))(*_copurchase(spark, d)))
 
 
 @query("link_components", """WITH RECURSIVE e AS (SELECT DISTINCT least(src, dst) AS a, greatest(src, dst) AS b FROM (SELECT x.n_nationkey::BIGINT AS src, y.n_nationkey::BIGINT AS dst FROM nation x JOIN nation y ON y.n_nationkey = x.n_nationkey + 5 AND x.n_nationkey % 5 < 3)),
@@ -400,7 +430,19 @@ def link_components(spark, d):
     return L.components(n, e).select("var_id", "component")
 
 
-@query("flagship", None)
+@query("kl_border_sum", f"WITH RECURSIVE {MODELS}{EXACT}{mean_field_sql(PAIR_GROUP)} SELECT model_id, round(log_z - bound, 6) AS kl FROM fb JOIN lz USING (model_id)")
+def kl_border_sum(spark, d):
+    """The divergence from the cliques that clusters share, against the gap of the bound."""
+    m, a = models(spark, d)
+    r = I.cluster_mean_field(m, a, tol=1e-13, max_sweeps=500)
+    return rounded(I.kl_border_sum(m, a, r, I.exact_log_z(m)), "kl")
+
+
+@query("flagship", f"""WITH RECURSIVE {MODELS}{CROSS}{EXACT}{mean_field_sql(PAIR_GROUP)},
+bw AS (SELECT model_id, sum(CASE WHEN c_src <> c_dst THEN abs(theta) ELSE 0 END) AS w FROM crossing GROUP BY 1),
+el AS (SELECT model_id, avg(abs((mean + 1) / 2 - prob)) AS l1 FROM fin JOIN em USING (model_id, var_id) GROUP BY 1)
+SELECT model_id, round(w, 6) AS w, round(bound, 6) AS bound, round(log_z, 6) AS log_z, round(log_z - bound, 6) AS kl, round(4 * w, 6) AS kl_upper, round(l1, 6) AS l1
+FROM fb JOIN lz USING (model_id) JOIN bw USING (model_id) JOIN el USING (model_id)""")
 def flagship(spark, d):
     """Small regional models end to end: clusters, inference, certificate, and the truth beside them."""
     m, a = models(spark, d)
