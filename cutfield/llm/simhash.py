@@ -6,12 +6,18 @@ holds a differing bit, and with that block hidden ``radius - 1`` bits are left.
 emits, for each hidden block, all variants within half the radius of what is left; fingerprints that meet at
 a variant are verified bit by bit.
 
+``near_dedup`` removes documents by five-word similarity: the same ball hashing over fingerprints of weighted words, which
+move little when few words change, proposes groups, and inside them word shingles are compared exactly.
+
 Copies share one fingerprint, so hot groups of copies shrink to one row before anything is emitted.  A group of many
 distinct fingerprints at one variant is linked through a spanning forest, never through all its pairs.
 """
 
 from __future__ import annotations
 
+import hashlib
+import math
+from collections import Counter
 from itertools import combinations
 
 import numpy as np
@@ -231,3 +237,125 @@ def simhash_dedup(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "t
     plain = docs.toDF(*[f"c{i}" for i in range(len(names))])  # clashing names stay apart
     mine = F.col(f"c{names.index(id_col)}").cast("long")
     return plain.join(stay, mine.eqNullSafe(F.col("_stay")), "left_semi").toDF(*names)
+
+
+# --- near duplicates by similarity --------------------------------------------------------------------------------------------------
+
+MARKS = "doc_id long, fp long, class binary"
+SETS = "least long, root long, class binary, grams binary, keys array<long>"
+#: Odd multipliers of the hashes whose least value over a document's shingles is one of its keys.
+MULTIPLIERS = (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93)
+
+
+def weighted_fingerprint(words: list[bytes], seed: int = 42) -> int:
+    """64-bit SimHash of the words, each weighted by one and the logarithm of its count; zero for no words."""
+    if not words:
+        return 0
+    count = Counter(words)
+    weight = {n: round(64 * (1 + math.log(n))) for n in set(count.values())}  # whole numbers, so that sums do not depend on the order
+    weights = np.fromiter((weight[n] for n in count.values()), np.int64, len(count))
+    values = np.fromiter((xxhash.xxh64_intdigest(w, seed) for w in count), np.uint64, len(count))
+    ones = np.zeros(64, np.int64)
+    for i in range(0, len(values), 1 << 14):  # bounded memory for very long texts
+        bits = np.unpackbits(values[i : i + (1 << 14)].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
+        ones += weights[i : i + (1 << 14)] @ bits
+    return int(np.packbits(2 * ones > weights.sum(), bitorder="little").view(np.uint64)[0])
+
+
+def grams(words: list[bytes], size: int) -> np.ndarray:
+    """Ascending distinct 64-bit hashes of the word shingles; fewer words than ``size`` are one shingle, none are none."""
+    if not words:
+        return np.empty(0, np.uint64)
+    k = min(size, len(words))
+    return np.unique(np.fromiter(map(xxhash.xxh64_intdigest, map(b" ".join, zip(*(words[i:] for i in range(k))))), np.uint64, len(words) - k + 1))
+
+
+def _class(words: list[bytes]) -> bytes:
+    return hashlib.blake2b(b" ".join(words), digest_size=16).digest()
+
+
+def _marks(batches):
+    for batch in batches:
+        found = [t.lower().split() for t in batch.column("body").cast(pa.binary()).to_pylist()]
+        fps = np.fromiter(map(weighted_fingerprint, found), np.uint64, len(found)).view(np.int64)
+        yield pa.record_batch([batch.column("doc_id"), pa.array(fps), pa.array(list(map(_class, found)), pa.binary())], names=["doc_id", "fp", "class"])
+
+
+def _sets(size: int):
+    def run(batches):
+        for batch in batches:
+            out = []
+            for least, root, own, text in zip(*(batch.column(n).to_pylist() for n in ("least", "root", "class")), batch.column("body").cast(pa.binary()).to_pylist()):
+                words = text.lower().split()
+                if _class(words) == own:  # another row may have the same id and another text
+                    g = grams(words, size)
+                    with np.errstate(over="ignore"):
+                        keys = [int((g * np.uint64(m)).min().view(np.int64)) if len(g) else 0 for m in MULTIPLIERS]
+                    out.append((least, root, own, g.tobytes(), keys))
+            cols = list(zip(*out)) if out else [()] * 5
+            kinds = (pa.int64(), pa.int64(), pa.binary(), pa.binary(), pa.list_(pa.int64()))
+            yield pa.record_batch([pa.array(c, k) for c, k in zip(cols, kinds)], names=["least", "root", "class", "grams", "keys"])
+
+    return run
+
+
+def _similar(similarity: float):
+    def run(batches):
+        for batch in batches:
+            gone = []
+            for own, mine, theirs in zip(*(batch.column(n).to_pylist() for n in ("class", "grams", "lead_grams"))):
+                a, b = np.frombuffer(mine, np.uint64), np.frombuffer(theirs, np.uint64)
+                if min(len(a), len(b)) >= similarity * max(len(a), len(b)):
+                    both = len(np.intersect1d(a, b, assume_unique=True))
+                    if both >= similarity * (len(a) + len(b) - both):
+                        gone.append(own)
+            yield pa.record_batch([pa.array(gone, pa.binary())], names=["class"])
+
+    return run
+
+
+def near_dedup(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", words: int = 5, similarity: float = 0.8, radius: int = 3, masks: int = 3) -> DataFrame:
+    """The rows of ``docs`` without near duplicates, all columns unchanged.
+
+    Texts are compared by their words, A-Z lowered.  Of rows with the same words the smallest id stays.  Rows whose weighted
+    fingerprints reach each other in steps of ``radius`` bits are a group; in it a document goes when one with a smaller
+    id is found whose ``words``-word shingles are similar by ``similarity`` or more (shared over all distinct shingles, counted
+    exactly).  Each of four rounds compares the members that share a least hash of their shingles with the smallest id among
+    them, so a pair at the threshold is overlooked in the rounds once in six hundred times, and no round makes pairs.  The
+    smallest id of a set of similar documents always stays, and whatever goes has a similar document before it.
+
+    Null and empty texts have the same (no) words.  A row without an id has no place in the order and stays; rows that share an
+    id stay or go together.  An empty input gives an empty result.
+    """
+    ship(docs.sparkSession)
+    names = docs.columns
+    plain = docs.toDF(*[f"c{i}" for i in range(len(names))])  # clashing names stay apart
+    mine = F.col(f"c{names.index(id_col)}").cast("long")
+    body = F.coalesce(F.col(f"c{names.index(text_col)}").cast("string"), F.lit(""))
+    rows = plain.select(mine.alias("doc_id"), body.alias("body")).where("doc_id is not null")
+    marks = SharedTable(rows.mapInArrow(_marks, MARKS), "marks").read()
+    classes = SharedTable(marks.groupBy("class").agg(F.min("doc_id").alias("least"), F.min("fp").alias("fp")), "classes").read()
+    roots = components(links(classes.select("fp").distinct(), radius=radius, masks=masks))
+    named = classes.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("least", "class", F.coalesce("root", "fp").alias("root"))
+    grouped = named.groupBy("root").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("root")
+    members = SharedTable(named.join(grouped, "root", "left_semi").select("least", "root", "class"), "members").read()
+    open_ = SharedTable(rows.withColumnRenamed("doc_id", "least").join(members, "least").mapInArrow(_sets(words), SETS).dropDuplicates(["class"]), "sets").read()
+    gone = None
+    for r in range(len(MULTIPLIERS)):
+        keyed = open_.withColumn("key", F.get("keys", F.lit(r)))
+        leads = keyed.groupBy("root", "key").agg(F.min_by(F.struct("class", "grams"), F.struct("least", "class")).alias("lead"), F.count(F.lit(1)).alias("n")).where("n > 1")
+        leads = SharedTable(leads.select("root", "key", F.col("lead.class").alias("lead"), F.col("lead.grams").alias("lead_grams"), "n"), "leads").read()
+        # groups of over a thousandth of all members, fewer than a thousand, are dealt over as many parts as they have thousandths
+        share = max(1, (leads.agg(F.sum("n")).first()[0] or 0) // 1000)
+        parts = F.ceil(F.col("n") / share).cast("int")
+        hot = F.broadcast(leads.where(F.col("n") > share).select("root", "key", parts.alias("parts")))
+        dealt = keyed.join(hot, ["root", "key"], "left").withColumn("part", F.pmod(F.xxhash64("class"), F.coalesce("parts", F.lit(1))).cast("int"))
+        spread = leads.select("root", "key", "lead", "lead_grams", F.explode(F.sequence(F.lit(0), parts - 1)).alias("part"))
+        met = dealt.join(spread, ["root", "key", "part"]).where(F.col("class") != F.col("lead")).select("class", "grams", "lead_grams")
+        found = SharedTable(met.mapInArrow(_similar(similarity), "class binary"), "gone").read()
+        gone = found if gone is None else gone.unionAll(found)
+        if r + 1 < len(MULTIPLIERS):
+            open_ = SharedTable(open_.join(found, "class", "left_anti"), "sets").read()
+    stay = classes.join(gone, "class", "left_anti").select(F.col("least").alias("_stay")).distinct()
+    kept = plain.join(stay, mine == F.col("_stay"), "left_semi")
+    return kept.unionAll(plain.where(mine.isNull())).toDF(*names)

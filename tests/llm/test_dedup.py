@@ -263,3 +263,64 @@ def brute_components_np(fps):
             left.difference_update(near)
             stack += near
     return n
+
+
+def brute_grams(text, size=5):
+    w = [x.translate(str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")) for x in WORD.findall(text or "")]
+    return {tuple(w[p : p + size]) for p in range(max(1, len(w) - size + 1))}
+
+
+def brute_near(texts, similarity=0.8):
+    """For each id, the smaller ids whose shingles are similar enough."""
+    sets = {i: brute_grams(t) for i, t in sorted(texts.items())}
+    ids = list(sets)
+    return {j: [i for i in ids if i < j and len(sets[i] & sets[j]) >= similarity * len(sets[i] | sets[j])] for j in ids}
+
+
+def check_near(texts, kept, least=0.75):
+    """Whatever goes has a similar document before it; copies all go, and most others that have one before them: a fingerprint of 64 bits does not catch every pair near the threshold."""
+    before = brute_near(texts)
+    assert all(before[i] for i in texts if i not in kept)
+    due = [i for i in texts if before[i]]
+    copies = [i for i in due if any(brute_grams(texts[i]) == brute_grams(texts[j]) and len(WORD.findall(texts[i] or "")) == len(WORD.findall(texts[j] or "")) for j in before[i])]
+    assert not [i for i in copies if i in kept and any(WORD.findall((texts[i] or "").lower()) == WORD.findall((texts[j] or "").lower()) for j in before[i])]
+    assert sum(i not in kept for i in due) >= least * len(due)
+
+
+def test_near_dedup(spark):
+    r = random.Random(12)
+    vocabulary = [f"w{i}" for i in range(3000)]
+    texts, n = {}, 0
+    for _ in range(60):
+        base = [r.choice(vocabulary) for _ in range(r.randint(120, 400))]
+        for _ in range(r.randint(1, 5)):
+            words = base.copy()
+            for _ in range(r.randint(0, 3)):
+                words[r.randrange(len(words))] = r.choice(vocabulary)
+            texts[n] = " ".join(words)
+            n += 1
+        shuffled = base.copy()
+        r.shuffle(shuffled)
+        texts[n] = " ".join(shuffled)  # the same words in another order: the fingerprint is equal, the text is another one
+        n += 1
+    texts |= {n: "", n + 1: None, n + 2: "one two", n + 3: "One TWO", n + 4: "two one"}
+    df = spark.createDataFrame([(i, t, "x") for i, t in texts.items()], "doc_id long, text string, c0 string")
+    got = simhash.near_dedup(df)
+    assert got.columns == df.columns
+    check_near(texts, {x["doc_id"] for x in got.collect()})
+
+
+def test_near_dedup_edges(edge, empty, spark):
+    out = simhash.near_dedup(edge)
+    kept = sorted((x["doc_id"] for x in out.collect()), key=str)
+    assert out.columns == edge.columns and None in kept and kept.count(5) == 2 and 6 not in kept and 12 not in kept
+    assert {2, 7, 8, 9, 10, 11, 1} <= set(kept) and 3 not in kept and 4 not in kept
+    assert simhash.near_dedup(empty).count() == 0
+
+
+def test_weighted_fingerprint():
+    words = ["a"] * 8 + ["b"] * 3 + ["c", "d"]
+    values = {w: xxhash.xxh64_intdigest(w.encode(), 42) for w in set(words)}
+    weight = {w: round(64 * (1 + np.log(words.count(w)))) for w in set(words)}
+    want = sum(1 << b for b in range(64) if 2 * sum(weight[w] for w in values if values[w] >> b & 1) > sum(weight.values()))
+    assert simhash.weighted_fingerprint([w.encode() for w in words]) == want and simhash.weighted_fingerprint([]) == 0
