@@ -45,3 +45,17 @@ def test_stages(spark, data):
 
 def test_run(spark, data):
     assert corpus_pipeline.run(spark, data).count() > 0
+
+
+def test_stages_on_odd_tables(spark, data):
+    """Null, empty, repeated and very long texts, a null id, extra columns, and an empty table, through every stage."""
+    long = " ".join(f"word{i % 997}" for i in range(20_000))
+    rows = [(1, "a b c"), (2, None), (3, ""), (4, "x\n" * 9), (5, long), (5, long), (None, "no id here"), (6, "token=abcdef123456 end")]
+    df = spark.createDataFrame(rows, "doc_id long, text string").selectExpr("doc_id", "text", "'en' AS lang", "'s' AS source", "cast(length(text) AS bigint) AS n_chars", "1 AS body", "2 AS c0", "3 AS label")
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        for frame in (df, df.limit(0)):
+            out = stage(spark, frame, data)
+            n = out.count()
+            assert out.columns == df.columns and n <= frame.count(), name
+    assert corpus_pipeline.STAGES[-1][1](spark, df, data).select("doc_id").distinct().count() == 7
+    assert corpus_pipeline.STAGES[-1][1](spark, df.limit(0), data).count() == 0

@@ -60,6 +60,24 @@ def test_a_difference_is_an_error():
         code.check()
 
 
+def test_composed_parts_are_held_against_the_library():
+    """A word before a mark goes the short way, and is checked all the same; an id given as text is cast."""
+    code = sentencepiece_bpe.PieceCoder(PIECES)
+    code.digest(b"hello, world; hello.")
+    assert any(t.endswith(",") for t, _ in code.pending) and code.decoded
+    code.check()
+    assert not code.pending and not code.decoded
+    code.decoded.append((code.encode("hello"), b"other"))
+    with pytest.raises(AssertionError, match="decoding"):
+        code.check()
+
+
+def test_ids_are_cast(spark):
+    df = spark.createDataFrame([("7", "a b")], "doc_id string, text string")
+    out = sentencepiece_bpe.encode(df, PIECES)
+    assert sentencepiece_bpe.decode(out, PIECES).first().asDict() == {"doc_id": 7, "text": "a b"}
+
+
 # --- packing ------------------------------------------------------------------------------------------------------------------
 
 
@@ -301,6 +319,53 @@ def test_rules_cover_and_stay_on_top(spark, data):
     assert quality_rules.learn_rules(docs, labels.limit(0)).rules == ()
 
 
+def _labelled(n, seed=5):
+    """Statistics whose bad class is a box in two features, beside noise."""
+    r, rows = random.Random(seed), []
+    for i in range(n):
+        row = {f: round(r.random(), 3) for f in quality_rules.FEATURES} | {"_fold": i % 3}
+        row["_bad"] = int((row["upper_share"] > 0.6 and row["distinct_share"] <= 0.5) or row["n_words"] <= 0.1)
+        rows.append(row)
+    return rows
+
+
+def test_best_test_is_the_best_of_all():
+    rows = _labelled(60)
+    names = quality_rules.FEATURES[:4] + ("upper_share",)
+    p0 = sum(r["_bad"] for r in rows)
+    n0, best = len(rows) - p0, 0.0
+    for f in names:
+        values = sorted({r[f] for r in rows})
+        for a, b in zip(values, values[1:]):
+            for above in (False, True):
+                inside = [r for r in rows if (r[f] > (a + b) / 2) == above]
+                p1 = sum(r["_bad"] for r in inside)
+                if p1:
+                    best = max(best, p1 * (math.log2(p1 / len(inside)) - math.log2(p0 / (p0 + n0))))
+    gain, test = quality_rules._best_test(rows, names)
+    assert gain == pytest.approx(best) and test.feature in names
+
+
+def test_covering_learns_a_box():
+    rules = quality_rules.cover(_labelled(900))
+    unseen = _labelled(600, seed=6)
+    said = [any(all(t.holds(r) for t in rule) for rule in rules.rules) for r in unseen]
+    assert sum(x == bool(r["_bad"]) for x, r in zip(said, unseen)) > 0.97 * len(unseen)
+    assert {t.feature for rule in rules.rules for t in rule} >= {"n_words", "upper_share", "distinct_share"}
+    assert quality_rules.cover([]).rules == () == quality_rules.cover([r | {"_bad": 0} for r in unseen]).rules
+
+
+def test_verdicts_against_plain_python(spark, data):
+    docs, labels = spark.read.parquet(f"{data}/../sf0.01/documents.parquet"), spark.read.parquet(f"{data}/../sf0.01/labels.parquet")
+    rules = quality_rules.learn_rules(docs, labels)
+    want = {}
+    for x in quality_rules.statistics(docs).collect():
+        row = x.asDict()
+        failed = row["n_words"] < 10 or 100 * row["n_repeat_words"] > 20 * row["n_words"]
+        want[row["doc_id"]] = not failed and not any(all(t.holds(row) for t in rule) for rule in rules.rules)
+    assert {x["doc_id"]: x["kept"] for x in quality_rules.quality_rules(docs, rules).collect()} == want
+
+
 # --- secrets ------------------------------------------------------------------------------------------------------------------
 
 
