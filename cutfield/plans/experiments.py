@@ -138,9 +138,12 @@ _GRIDS: dict[tuple, Stored] = {}
 
 def stored_trials(spark: SparkSession, **options) -> DataFrame:
     """``figure_trials`` written once for each application and choice of options; all figures read that table."""
+    trials = figure_trials(spark, **options)
+    if spark is None:  # no application to store in
+        return trials
     key = (spark.sparkContext.applicationId, *sorted(options.items()))
     if key not in _GRIDS:
-        _GRIDS[key] = Stored(figure_trials(spark, **options))
+        _GRIDS[key] = Stored(trials)
     return _GRIDS[key].read()
 
 
