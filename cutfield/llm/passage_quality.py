@@ -136,15 +136,15 @@ def _forward(w: dict[str, np.ndarray], x: np.ndarray, bag: np.ndarray, bags: int
 def train(bags: list[np.ndarray], labels: np.ndarray, *, hidden: int = 24, attention: int = 12, epochs: int = 60, batch: int = 128, rate: float = 0.01, decay: float = 1e-4, seed: int = 7) -> AttentionModel:
     """Adam on the logistic loss, classes weighted by the square root of their rarity; gradients written out."""
     rng = np.random.default_rng(seed)
-    rows = np.concatenate(bags).astype(np.float32)
-    mean, scale = rows.mean(0), rows.std(0) + 0.02
+    total = sum(map(len, bags))
+    mean = sum(b.sum(0, dtype=float) for b in bags) / total
+    scale = np.sqrt(sum(((b - mean) ** 2).sum(0) for b in bags) / total) + 0.02
     share = float(np.clip(labels.mean(), 1e-3, 1 - 1e-3))
-    d = rows.shape[1]
+    d = bags[0].shape[1]
     w = {"enc": rng.normal(0, 1 / math.sqrt(d), (d, hidden)), "enc0": np.zeros(hidden), "att": rng.normal(0, 1 / math.sqrt(hidden), (hidden, attention)), "gate": rng.normal(0, 1 / math.sqrt(hidden), (hidden, attention)), "pick": rng.normal(0, 0.1, attention), "out": rng.normal(0, 0.1, hidden), "out0": np.zeros(1)}
     first = {k: np.zeros_like(v) for k, v in w.items()}
     second = {k: np.zeros_like(v) for k, v in w.items()}
     bags = [((b - mean) / scale).astype(np.float32) for b in bags]
-    del rows
     cost = np.where(labels > 0, 1.0, math.sqrt(share / (1 - share)))
     step = 0
     for epoch in range(epochs):
@@ -212,8 +212,9 @@ def fit(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col:
     y = seen["label"].to_numpy().astype(float)
     if y.min() == y.max():
         return _constant(float(y[0]))
-    bags = [np.frombuffer(b, "<f4").reshape(n, WIDTH) for b, n in zip(seen["bag"].to_pylist(), seen["n"].to_pylist())]
-    return train(bags, y, **options)
+    packed, sizes = seen["bag"].to_pylist(), seen["n"].to_pylist()
+    del seen  # the sample is held once
+    return train([np.frombuffer(packed.pop(), "<f4").reshape(n, WIDTH) for n in reversed(sizes)][::-1], y, **options)
 
 
 def _scores(model: AttentionModel, texts: list[bytes | None], most: int = 8_192) -> np.ndarray:
