@@ -6,8 +6,8 @@ holds a differing bit, and with that block hidden ``radius - 1`` bits are left.
 emits, for each hidden block, all variants within half the radius of what is left; fingerprints that meet at
 a variant are verified bit by bit.
 
-``near_dedup`` removes documents by five-word similarity: the same ball hashing over fingerprints of weighted words, which
-move little when few words change, proposes groups, and inside them word shingles are compared exactly.
+``near_dedup`` removes documents by five-word similarity: ball hashing over fingerprints of weighted words, which move little
+when few words change, proposes one comparison a document, and what it leaves open is completed by prefixes of the shingle sets.
 
 Copies share one fingerprint, so hot groups of copies shrink to one row before anything is emitted.  A group of many
 distinct fingerprints at one variant is linked through a spanning forest, never through all its pairs.
@@ -241,10 +241,13 @@ def simhash_dedup(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "t
 
 # --- near duplicates by similarity --------------------------------------------------------------------------------------------------
 
-MARKS = "doc_id long, fp long, class binary"
-SETS = "least long, root long, class binary, grams binary, keys array<long>"
-#: Odd multipliers of the hashes whose least value over a document's shingles is one of its keys.
-MULTIPLIERS = (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93)
+MARKS = "doc_id long, fp long, class binary, n int, grams binary"
+#: Up to this many members that share a shingle are compared as pairs of rows; larger groups are compared in packed blocks.
+PAIRWISE = 128
+#: Members, and bytes of shingles, in one packed block.
+BLOCK, BLOCK_BYTES = 512, 4 << 20
+#: Rows of a class, its number and its smallest id that a task may hold in a broadcast.
+BROADCAST_ROWS = 500_000
 
 
 def weighted_fingerprint(words: list[bytes], seed: int = 42) -> int:
@@ -274,88 +277,278 @@ def _class(words: list[bytes]) -> bytes:
     return hashlib.blake2b(b" ".join(words), digest_size=16).digest()
 
 
-def _marks(batches):
+def _marks(size: int):
+    def run(batches):
+        for batch in batches:
+            for at in range(0, batch.num_rows, 1024):
+                part = batch.slice(at, 1024)
+                out = []
+                for text in part.column("body").cast(pa.binary()):
+                    words = text.as_py().lower().split()
+                    g = grams(words, size)
+                    out.append((weighted_fingerprint(words), _class(words), len(g), g.tobytes()))
+                fp, own, n, g = zip(*out)
+                yield pa.record_batch([part.column("doc_id"), pa.array(np.array(fp, np.uint64).view(np.int64)), pa.array(own, pa.binary()), pa.array(n, pa.int32()), pa.array(g, pa.binary())], names=["doc_id", "fp", "class", "n", "grams"])
+
+    return run
+
+
+def _lead(radius: int):
+    """a, b: for each fingerprint of a run of equal (mask, key), the one of the smallest id in it, where that is within the radius."""
+
+    def run(batches):
+        for _, fp, least in _runs(batches):
+            first = int(least.argmin())
+            near = (_distance(fp.view(np.uint64), fp.view(np.uint64)[first]) <= radius) & (fp != fp[first])
+            if near.any():
+                yield fp[near], np.full(int(near.sum()), fp[first])
+
+    return lambda batches: _batched(run(batches), ("a", "b"))
+
+
+def _runs(batches):
+    """(key columns of the first row, further columns ...) of the runs of two rows and more from rows sorted by the first column."""
+    held = None
     for batch in batches:
-        found = [t.lower().split() for t in batch.column("body").cast(pa.binary()).to_pylist()]
-        fps = np.fromiter(map(weighted_fingerprint, found), np.uint64, len(found)).view(np.int64)
-        yield pa.record_batch([batch.column("doc_id"), pa.array(fps), pa.array(list(map(_class, found)), pa.binary())], names=["doc_id", "fp", "class"])
+        cols = [batch.column(i).to_numpy(zero_copy_only=False) for i in range(batch.num_columns)]
+        if held is not None:
+            cols = [np.concatenate(c) for c in zip(held, cols)]
+        if not len(cols[0]):
+            continue
+        cut = np.concatenate(([0], np.flatnonzero(np.diff(cols[0]) != 0) + 1))
+        held = [c[cut[-1] :] for c in cols]
+        for i in np.flatnonzero(np.diff(cut) > 1).tolist():
+            yield (cols[0][cut[i]], *(c[cut[i] : cut[i + 1]] for c in cols[1:]))
+    if held is not None and len(held[0]) > 1:
+        yield (held[0][0], *held[1:])
+
+
+def _batched(found, names, rows: int = 1 << 16):
+    """Record batches of distinct rows from tuples of columns, with ``times``: how often each came."""
+
+    def pack():
+        kept, times = np.unique(np.stack([np.concatenate(c) for c in zip(*held)], 1), axis=0, return_counts=True)
+        return pa.record_batch([pa.array(kept[:, i]) for i in range(len(names))] + [pa.array(times.astype(np.int64))], names=[*names, "times"])
+
+    held, n = [], 0
+    for cols in found:
+        held.append(cols)
+        n += len(cols[0])
+        if n >= rows:
+            yield pack()
+            held, n = [], 0
+    if held:
+        yield pack()
+
+
+def _often(batches):
+    """h, f: shingles that a 4096th of a batch's texts have (three at least), and how many; they only order the shingles."""
+    for batch in batches:
+        every = np.frombuffer(b"".join(batch.column("grams").to_pylist()), np.uint64)
+        h, f = np.unique(every, return_counts=True)
+        hot = f >= max(3, batch.num_rows // 4096)
+        yield pa.record_batch([pa.array(h[hot].view(np.int64)), pa.array(f[hot].astype(np.int64))], names=["h", "f"])
+
 
+def prefix(g: np.ndarray, often: np.ndarray, place: np.ndarray, similarity: float) -> np.ndarray:
+    """The first n - ceil(similarity n) + 1 shingles, often seen ones behind all others: sets that are similar enough share one."""
+    keep = len(g) - math.ceil(similarity * len(g) - 1e-9) + 1
+    if len(often):
+        at = np.minimum(np.searchsorted(often, g), len(often) - 1)
+        late = np.where(often[at] == g, place[at], 0)
+        g = g[np.argsort(late, kind="stable")]
+    return g[:keep]
 
-def _sets(size: int):
+
+def _prefixes(often, similarity: float):
     def run(batches):
+        h, place = often.value
         for batch in batches:
-            out = []
-            for least, root, own, text in zip(*(batch.column(n).to_pylist() for n in ("least", "root", "class")), batch.column("body").cast(pa.binary()).to_pylist()):
-                words = text.lower().split()
-                if _class(words) == own:  # another row may have the same id and another text
-                    g = grams(words, size)
-                    with np.errstate(over="ignore"):
-                        keys = [int((g * np.uint64(m)).min().view(np.int64)) if len(g) else 0 for m in MULTIPLIERS]
-                    out.append((least, root, own, g.tobytes(), keys))
-            cols = list(zip(*out)) if out else [()] * 5
-            kinds = (pa.int64(), pa.int64(), pa.binary(), pa.binary(), pa.list_(pa.int64()))
-            yield pa.record_batch([pa.array(c, k) for c, k in zip(cols, kinds)], names=["least", "root", "class", "grams", "keys"])
+            keys = [prefix(np.frombuffer(g, np.uint64), h, place, similarity).view(np.int64) if g else np.empty(0, np.int64) for g in batch.column("grams").to_pylist()]
+            offsets = np.concatenate(([0], np.cumsum([len(k) for k in keys]))).astype(np.int32)
+            flat = np.concatenate(keys) if keys else np.empty(0, np.int64)
+            yield pa.record_batch([batch.column(c) for c in ("doc_id", "class", "n")] + [pa.ListArray.from_arrays(pa.array(offsets), pa.array(flat))], names=["doc_id", "class", "n", "keys"])
 
     return run
 
 
+def _meetings(similarity: float):
+    """hot, a, b, need: pairs (later, earlier) of the runs of few members; key and member of the runs of many.
+
+    The sets of a pair share at most the shingles in both prefixes and, beyond the prefix that ends first, as many as that
+    set has left; so it must meet in ``need`` runs to be similar enough, or in one of many members.
+    """
+
+    def run(batches):
+        for key, num, least, n, open_ in _runs(batches):
+            num, at = np.unique(num, return_index=True)
+            least, n, open_ = least[at], n[at], open_[at].astype(bool)
+            if len(num) < 2 or not open_[least > least.min()].any():
+                continue
+            if len(num) > PAIRWISE:
+                yield np.ones(len(num), np.int64), np.full(len(num), key), num, np.ones(len(num), np.int64)
+                continue
+            fits = np.minimum(n[:, None], n[None]) >= similarity * np.maximum(n[:, None], n[None]) - 1e-9
+            i, j = np.nonzero(fits & (least[:, None] > least[None]) & open_[:, None])
+            if len(i):
+                left = np.ceil(similarity * n.astype(float) - 1e-9) - 1
+                least_shared = np.ceil(similarity / (1 + similarity) * (n[i].astype(float) + n[j]) - 1e-6)
+                yield np.zeros(len(i), np.int64), num[i], num[j], np.maximum(1, least_shared - np.maximum(left[i], left[j])).astype(np.int64)
+
+    return lambda batches: _batched(run(batches), ("hot", "a", "b", "need"))
+
+
 def _similar(similarity: float):
     def run(batches):
         for batch in batches:
             gone = []
-            for own, mine, theirs in zip(*(batch.column(n).to_pylist() for n in ("class", "grams", "lead_grams"))):
+            for own, mine, theirs in zip(*(batch.column(n).to_pylist() for n in ("x", "mine", "theirs"))):
                 a, b = np.frombuffer(mine, np.uint64), np.frombuffer(theirs, np.uint64)
-                if min(len(a), len(b)) >= similarity * max(len(a), len(b)):
+                if min(len(a), len(b)) >= similarity * max(len(a), len(b)) - 1e-9:
                     both = len(np.intersect1d(a, b, assume_unique=True))
                     if both >= similarity * (len(a) + len(b) - both):
                         gone.append(own)
-            yield pa.record_batch([pa.array(gone, pa.binary())], names=["class"])
+            yield pa.record_batch([pa.array(gone, pa.int64())], names=["num"])
 
     return run
 
 
+def shared(xs: list[np.ndarray], ys: list[np.ndarray], width: int = 4096) -> np.ndarray:
+    """Matrix of the numbers of shingles that each of ``xs`` shares with each of ``ys``, by products of indicator matrices."""
+    out = np.zeros((len(xs), len(ys)), np.float32)
+    x, y = np.concatenate(xs), np.concatenate(ys)
+    both = np.intersect1d(x, y)
+
+    def cells(values, sets):
+        row = np.repeat(np.arange(len(sets)), [len(s) for s in sets])
+        at = np.minimum(np.searchsorted(both, values), len(both) - 1)
+        held = both[at] == values
+        return row[held], at[held]
+
+    if len(both):
+        (rx, cx), (ry, cy) = cells(x, xs), cells(y, ys)
+        for s in range(0, len(both), width):
+            a, b = np.zeros((len(xs), width), np.float32), np.zeros((len(ys), width), np.float32)
+            for m, r, c in ((a, rx, cx), (b, ry, cy)):
+                inside = (c >= s) & (c < s + width)
+                m[r[inside], c[inside] - s] = 1
+            out += a @ b.T
+    return out
+
+
+def _blocks_similar(similarity: float):
+    def run(batches):
+        for batch in batches:
+            gone = []
+            for mine, theirs in zip(batch.column("mine").to_pylist(), batch.column("theirs").to_pylist()):
+                xs, ys = ([np.frombuffer(m["grams"], np.uint64) for m in side] for side in (mine, theirs))
+                nx, ny = (np.array([len(s) for s in side], np.int64) for side in (xs, ys))
+                both = shared(xs, ys).astype(np.int64)
+                later = np.array([m["least"] for m in mine])[:, None] > np.array([m["least"] for m in theirs])[None]
+                hit = later & (both >= similarity * (nx[:, None] + ny[None] - both))
+                gone += [m["num"] for m, h in zip(mine, hit.any(1).tolist()) if h]
+            yield pa.record_batch([pa.array(gone, pa.int64())], names=["num"])
+
+    return run
+
+
+def _verified(pairs: DataFrame, marks: DataFrame, classes: DataFrame, similarity: float) -> DataFrame:
+    """num: the ``x`` of the pairs (x, y) whose shingles are similar enough."""
+    pairs = SharedTable(pairs.distinct(), "pairs").read()
+    pool = _pool(pairs.select(F.col("x").alias("num")).union(pairs.select("y")).distinct(), marks, classes).select("num", "grams")
+    pool = SharedTable(pool, "pool").read()
+    # earlier members of over a thousandth of all pairs, fewer than a thousand, are dealt over as many parts as they have thousandths
+    often = pairs.groupBy("y").agg(F.count(F.lit(1)).alias("m"))
+    share = max(1000, (often.agg(F.sum("m")).first()[0] or 0) // 1000)
+    parts = often.where(F.col("m") > share).select("y", F.ceil(F.col("m") / share).cast("int").alias("parts"))
+    parts = SharedTable(parts, "parts").read()
+    dealt = pairs.join(F.broadcast(parts), "y", "left").select("x", "y", F.pmod(F.xxhash64("x"), F.coalesce("parts", F.lit(1))).cast("int").alias("part"))
+    ys = pool.select(F.col("num").alias("y"), F.col("grams").alias("theirs")).join(F.broadcast(parts), "y", "left")
+    ys = ys.select("y", "theirs", F.explode(F.sequence(F.lit(0), F.coalesce("parts", F.lit(1)) - 1)).alias("part"))
+    met = dealt.join(ys, ["y", "part"]).join(pool.select(F.col("num").alias("x"), F.col("grams").alias("mine")), "x")
+    return SharedTable(met.select("x", "mine", "theirs").mapInArrow(_similar(similarity), "num long").distinct(), "gone").read()
+
+
+def _pool(nums: DataFrame, marks: DataFrame, classes: DataFrame) -> DataFrame:
+    """num, least, open, n, grams of the classes with these numbers."""
+    named = SharedTable(classes.join(nums, "num", "left_semi").select("num", "class", "least", "open"), "named").read()
+    few = F.broadcast if named.count() <= BROADCAST_ROWS else lambda df: df  # so that the sets of all others are not shuffled
+    rows = marks.select("doc_id", "class", "n", "grams").join(few(named), "class").where("doc_id = least")
+    return rows.select("num", "least", "open", "n", "grams").dropDuplicates(["num"])
+
+
+def _hot(members: DataFrame, marks: DataFrame, classes: DataFrame, similarity: float) -> DataFrame:
+    """num: members of large groups (key, num) with a similar earlier one; keys that share a member are one group, so that a member travels once."""
+    one = members.groupBy("num").agg(F.min("key").alias("first"))
+    edges = members.join(one, "num").where("key <> first").select(F.col("first").alias("a"), F.col("key").alias("b")).distinct()
+    roots = components(edges).select(F.col("node").alias("first"), "root")
+    group = one.join(roots, "first", "left").select("num", F.coalesce("root", "first").alias("root"))
+    pool = SharedTable(_pool(one.select("num"), marks, classes).join(group, "num"), "pool").read()
+
+    def packed(rows: DataFrame, name: str) -> DataFrame:
+        size = rows.groupBy("root").agg(F.greatest(F.ceil(F.count(F.lit(1)) / BLOCK), F.ceil(F.sum(F.col("n").cast("long") * 8) / BLOCK_BYTES)).alias("blocks"))
+        dealt = rows.join(size, "root").withColumn("block", F.pmod(F.xxhash64("num"), F.col("blocks")))
+        return SharedTable(dealt.groupBy("root", "block").agg(F.collect_list(F.struct("num", "least", "grams")).alias(name)), "blocks").read()
+
+    mine, theirs = packed(pool.where("open"), "mine"), packed(pool, "theirs").withColumnRenamed("block", "other")
+    tasks = int(pool.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    met = mine.join(theirs, "root").repartition(tasks, F.xxhash64("root", "block", "other"))
+    return SharedTable(met.select("mine", "theirs").mapInArrow(_blocks_similar(similarity), "num long").distinct(), "gone").read()
+
+
 def near_dedup(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", words: int = 5, similarity: float = 0.8, radius: int = 3, masks: int = 3) -> DataFrame:
     """The rows of ``docs`` without near duplicates, all columns unchanged.
 
-    Texts are compared by their words, A-Z lowered.  Of rows with the same words the smallest id stays.  Rows whose weighted
-    fingerprints reach each other in steps of ``radius`` bits are a group; in it a document goes when one with a smaller
-    id is found whose ``words``-word shingles are similar by ``similarity`` or more (shared over all distinct shingles, counted
-    exactly).  Each of four rounds compares the members that share a least hash of their shingles with the smallest id among
-    them, so a pair at the threshold is overlooked in the rounds once in six hundred times, and no round makes pairs.  The
-    smallest id of a set of similar documents always stays, and whatever goes has a similar document before it.
+    Texts are compared by their words, A-Z lowered.  Of rows with the same words the smallest id stays.  A document goes when
+    one with a smaller id has ``words``-word shingles that are similar by ``similarity`` or more (shared over all distinct shingles,
+    by 64-bit hashes), and only then.  First each document is compared with the smallest id that ball hashing of weighted
+    fingerprints shows within ``radius`` bits.  Those that stay open meet all others with which they share one of the first
+    n - ceil(similarity n) + 1 shingles in one order of all shingles, so that no pair is lost; often seen shingles come
+    last in it.  Meetings of up to ``PAIRWISE`` are pairs of rows; larger ones are packed in blocks and compared by matrix products.
 
     Null and empty texts have the same (no) words.  A row without an id has no place in the order and stays; rows that share an
     id stay or go together.  An empty input gives an empty result.
     """
-    ship(docs.sparkSession)
+    spark = docs.sparkSession
+    ship(spark)
     names = docs.columns
     plain = docs.toDF(*[f"c{i}" for i in range(len(names))])  # clashing names stay apart
     mine = F.col(f"c{names.index(id_col)}").cast("long")
     body = F.coalesce(F.col(f"c{names.index(text_col)}").cast("string"), F.lit(""))
     rows = plain.select(mine.alias("doc_id"), body.alias("body")).where("doc_id is not null")
-    marks = SharedTable(rows.mapInArrow(_marks, MARKS), "marks").read()
-    classes = SharedTable(marks.groupBy("class").agg(F.min("doc_id").alias("least"), F.min("fp").alias("fp")), "classes").read()
-    roots = components(links(classes.select("fp").distinct(), radius=radius, masks=masks))
-    named = classes.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("least", "class", F.coalesce("root", "fp").alias("root"))
-    grouped = named.groupBy("root").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("root")
-    members = SharedTable(named.join(grouped, "root", "left_semi").select("least", "root", "class"), "members").read()
-    open_ = SharedTable(rows.withColumnRenamed("doc_id", "least").join(members, "least").mapInArrow(_sets(words), SETS).dropDuplicates(["class"]), "sets").read()
-    gone = None
-    for r in range(len(MULTIPLIERS)):
-        keyed = open_.withColumn("key", F.get("keys", F.lit(r)))
-        leads = keyed.groupBy("root", "key").agg(F.min_by(F.struct("class", "grams"), F.struct("least", "class")).alias("lead"), F.count(F.lit(1)).alias("n")).where("n > 1")
-        leads = SharedTable(leads.select("root", "key", F.col("lead.class").alias("lead"), F.col("lead.grams").alias("lead_grams"), "n"), "leads").read()
-        # groups of over a thousandth of all members, fewer than a thousand, are dealt over as many parts as they have thousandths
-        share = max(1, (leads.agg(F.sum("n")).first()[0] or 0) // 1000)
-        parts = F.ceil(F.col("n") / share).cast("int")
-        hot = F.broadcast(leads.where(F.col("n") > share).select("root", "key", parts.alias("parts")))
-        dealt = keyed.join(hot, ["root", "key"], "left").withColumn("part", F.pmod(F.xxhash64("class"), F.coalesce("parts", F.lit(1))).cast("int"))
-        spread = leads.select("root", "key", "lead", "lead_grams", F.explode(F.sequence(F.lit(0), parts - 1)).alias("part"))
-        met = dealt.join(spread, ["root", "key", "part"]).where(F.col("class") != F.col("lead")).select("class", "grams", "lead_grams")
-        found = SharedTable(met.mapInArrow(_similar(similarity), "class binary"), "gone").read()
-        gone = found if gone is None else gone.unionAll(found)
-        if r + 1 < len(MULTIPLIERS):
-            open_ = SharedTable(open_.join(found, "class", "left_anti"), "sets").read()
-    stay = classes.join(gone, "class", "left_anti").select(F.col("least").alias("_stay")).distinct()
+    marks = SharedTable(rows.mapInArrow(_marks(words), MARKS), "marks").read()
+    classes = marks.groupBy("class").agg(F.min("doc_id").alias("least"), F.min("fp").alias("fp"))
+    classes = SharedTable(classes.withColumn("num", F.monotonically_increasing_id()), "classes").read()
+
+    # one comparison for each class: the smallest id within the radius
+    tasks = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    firsts = SharedTable(classes.groupBy("fp").agg(F.min(F.struct("least", "num")).alias("one")).select("fp", "one.*"), "firsts").read()
+    met = firsts.select("fp", "least").repartition(tasks, F.xxhash64("fp")).select("fp", "least", F.explode(variants(F.col("fp"), radius, masks)).alias("v"))
+    met = met.select(F.xxhash64("v.mask", "v.key").alias("k"), "fp", "least").repartition("k").sortWithinPartitions("k")
+    leads = SharedTable(met.mapInArrow(_lead(radius), EDGES + ", times long"), "leads").read()
+    near = leads.join(firsts.withColumnRenamed("fp", "b"), "b").groupBy(F.col("a").alias("fp")).agg(F.min(F.struct("least", "num")).alias("far"))
+    best = firsts.join(near, "fp", "left").select("fp", F.least(F.struct("least", "num"), "far").alias("lead"))
+    first = classes.join(best, "fp").where("lead.least < least").select(F.col("num").alias("x"), F.col("lead.num").alias("y"))
+    gone = _verified(first, marks, classes.withColumn("open", F.lit(True)), similarity)
+
+    # whatever is open meets all that it may be similar to
+    classes = classes.join(gone.withColumn("_gone", F.lit(True)), "num", "left").select("class", "least", "num", F.col("_gone").isNull().alias("open"))
+    classes = SharedTable(classes, "classes").read()
+    few = max(8, marks.count() // 4096)
+    seen = marks.select("grams").mapInArrow(_often, "h long, f long").groupBy("h").agg(F.sum("f").alias("f")).where(F.col("f") >= few)
+    seen = seen.toArrow()  # at most 4096 times the mean number of shingles of a text
+    h, f = seen["h"].to_numpy().view(np.uint64), seen["f"].to_numpy()
+    place = np.empty(len(h), np.int64)
+    place[np.lexsort((h, f))] = np.arange(1, len(h) + 1)
+    often = spark.sparkContext.broadcast((np.sort(h), place[np.argsort(h)]))
+    keys = marks.select("doc_id", "class", "n", "grams").where("n > 0").mapInArrow(_prefixes(often, similarity), "doc_id long, class binary, n int, keys array<long>")
+    keys = keys.join(classes, "class").where("doc_id = least").select("num", "least", "n", "open", F.explode("keys").alias("key"))
+    keys = keys.select("key", "num", "least", "n", F.col("open").cast("byte").alias("open")).repartition("key").sortWithinPartitions("key")
+    meetings = keys.mapInArrow(_meetings(similarity), "hot long, a long, b long, need long, times long")
+    meetings = meetings.groupBy("hot", "a", "b", "need").agg(F.sum("times").alias("times")).where("times >= need")
+    meetings = SharedTable(meetings, "meetings").read()
+    gone = gone.unionAll(_verified(meetings.where("hot = 0").select(F.col("a").alias("x"), F.col("b").alias("y")), marks, classes, similarity))
+    gone = gone.unionAll(_hot(meetings.where("hot = 1").select(F.col("a").alias("key"), F.col("b").alias("num")), marks, classes, similarity))
+    stay = classes.join(gone, "num", "left_anti").select(F.col("least").alias("_stay")).distinct()
     kept = plain.join(stay, mine == F.col("_stay"), "left_semi")
     return kept.unionAll(plain.where(mine.isNull())).toDF(*names)
