@@ -83,3 +83,10 @@ def test_figures_have_the_whole_grid(monkeypatch):
     monkeypatch.setattr(X, "table_quality", lambda *a, **o: record("weighted", quality, *a, **o))
     entry.queries()["table_quality_weighted"](None, "")
     assert seen["weighted"]["trials"] == 100
+
+
+@pytest.mark.parametrize("name", ["random_graph_md5", "random_params_repulsive", "random_params_mixed", "random_params_attractive", "random_singletons", "tabular_cliques"])
+def test_data_comes_from_a_given_table(spark, data, name):
+    got, want = _both(spark, data, name)
+    assert got == want and len(got) > 100
+    assert any(f.endswith("lineitem.parquet") for f in entry.queries()[name](spark, data).inputFiles())
