@@ -27,7 +27,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..shipping import ship
-from .common import SharedTable
+from .common import SharedTable, rows_at_once
 
 FINGERPRINTS = "doc_id long, fp long"
 EDGES = "a long, b long"
@@ -246,6 +246,10 @@ MARKS = "doc_id long, fp long, class binary, n int, grams binary"
 PAIRWISE = 128
 #: Members, and bytes of shingles, in one packed block.
 BLOCK, BLOCK_BYTES = 512, 4 << 20
+#: Texts, and their shingles, among which often seen shingles are counted at once.
+OFTEN_ROWS, OFTEN_GRAMS = 10_000, 4 << 20
+#: Rows that a task hands to Python at once where each holds two sets of shingles, or two packed blocks.
+PAIR_ROWS, BLOCK_ROWS = 512, 4
 #: Rows of a class, its number and its smallest id that a task may hold in a broadcast.
 BROADCAST_ROWS = 500_000
 
@@ -341,13 +345,37 @@ def _batched(found, names, rows: int = 1 << 16):
         yield pack()
 
 
+def _sets(column: pa.Array) -> list[np.ndarray]:
+    """The sets of a binary column, as views of its buffer."""
+    return [np.frombuffer(x.as_buffer() or b"", np.uint64) for x in column]
+
+
 def _often(batches):
-    """h, f: shingles that a 4096th of a batch's texts have (three at least), and how many; they only order the shingles."""
+    """h, f: shingles that a 4096th of a part's texts have (three at least), and how many; they only order the shingles.
+
+    A part is ``OFTEN_ROWS`` texts, or fewer that have ``OFTEN_GRAMS`` shingles together.
+    """
+
+    def count():
+        every = np.concatenate(held)
+        held.clear()
+        every.sort()
+        cut = np.concatenate(([0], np.flatnonzero(every[1:] != every[:-1]) + 1, [len(every)]))
+        f = np.diff(cut)
+        hot = f >= max(3, rows // 4096)
+        return pa.record_batch([pa.array(every[cut[:-1][hot]].view(np.int64)), pa.array(f[hot].astype(np.int64))], names=["h", "f"])
+
+    held, rows, size = [], 0, 0
     for batch in batches:
-        every = np.frombuffer(b"".join(batch.column("grams").to_pylist()), np.uint64)
-        h, f = np.unique(every, return_counts=True)
-        hot = f >= max(3, batch.num_rows // 4096)
-        yield pa.record_batch([pa.array(h[hot].view(np.int64)), pa.array(f[hot].astype(np.int64))], names=["h", "f"])
+        for g in _sets(batch.column("grams")):
+            held.append(g.copy())
+            rows, size = rows + 1, size + len(g)
+            if rows >= OFTEN_ROWS or size >= OFTEN_GRAMS:
+                if size:
+                    yield count()
+                held, rows, size = [], 0, 0
+    if size:
+        yield count()
 
 
 def prefix(g: np.ndarray, often: np.ndarray, place: np.ndarray, similarity: float) -> np.ndarray:
@@ -402,8 +430,7 @@ def _similar(similarity: float):
     def run(batches):
         for batch in batches:
             gone = []
-            for own, mine, theirs in zip(*(batch.column(n).to_pylist() for n in ("x", "mine", "theirs"))):
-                a, b = np.frombuffer(mine, np.uint64), np.frombuffer(theirs, np.uint64)
+            for own, a, b in zip(batch.column("x").to_pylist(), _sets(batch.column("mine")), _sets(batch.column("theirs"))):
                 if min(len(a), len(b)) >= similarity * max(len(a), len(b)) - 1e-9:
                     both = len(np.intersect1d(a, b, assume_unique=True))
                     if both >= similarity * (len(a) + len(b) - both):
@@ -440,13 +467,14 @@ def _blocks_similar(similarity: float):
     def run(batches):
         for batch in batches:
             gone = []
-            for mine, theirs in zip(batch.column("mine").to_pylist(), batch.column("theirs").to_pylist()):
-                xs, ys = ([np.frombuffer(m["grams"], np.uint64) for m in side] for side in (mine, theirs))
+            for i in range(batch.num_rows):
+                mine, theirs = batch.column("mine")[i].values, batch.column("theirs")[i].values
+                xs, ys = (_sets(side.field("grams")) for side in (mine, theirs))
                 nx, ny = (np.array([len(s) for s in side], np.int64) for side in (xs, ys))
                 both = shared(xs, ys).astype(np.int64)
-                later = np.array([m["least"] for m in mine])[:, None] > np.array([m["least"] for m in theirs])[None]
+                later = mine.field("least").to_numpy()[:, None] > theirs.field("least").to_numpy()[None]
                 hit = later & (both >= similarity * (nx[:, None] + ny[None] - both))
-                gone += [m["num"] for m, h in zip(mine, hit.any(1).tolist()) if h]
+                gone += mine.field("num").to_numpy()[hit.any(1)].tolist()
             yield pa.record_batch([pa.array(gone, pa.int64())], names=["num"])
 
     return run
@@ -466,7 +494,8 @@ def _verified(pairs: DataFrame, marks: DataFrame, classes: DataFrame, similarity
     ys = pool.select(F.col("num").alias("y"), F.col("grams").alias("theirs")).join(F.broadcast(parts), "y", "left")
     ys = ys.select("y", "theirs", F.explode(F.sequence(F.lit(0), F.coalesce("parts", F.lit(1)) - 1)).alias("part"))
     met = dealt.join(ys, ["y", "part"]).join(pool.select(F.col("num").alias("x"), F.col("grams").alias("mine")), "x")
-    return SharedTable(met.select("x", "mine", "theirs").mapInArrow(_similar(similarity), "num long").distinct(), "gone").read()
+    with rows_at_once(pairs.sparkSession, PAIR_ROWS):
+        return SharedTable(met.select("x", "mine", "theirs").mapInArrow(_similar(similarity), "num long").distinct(), "gone").read()
 
 
 def _pool(nums: DataFrame, marks: DataFrame, classes: DataFrame) -> DataFrame:
@@ -493,7 +522,8 @@ def _hot(members: DataFrame, marks: DataFrame, classes: DataFrame, similarity: f
     mine, theirs = packed(pool.where("open"), "mine"), packed(pool, "theirs").withColumnRenamed("block", "other")
     tasks = int(pool.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     met = mine.join(theirs, "root").repartition(tasks, F.xxhash64("root", "block", "other"))
-    return SharedTable(met.select("mine", "theirs").mapInArrow(_blocks_similar(similarity), "num long").distinct(), "gone").read()
+    with rows_at_once(pool.sparkSession, BLOCK_ROWS):
+        return SharedTable(met.select("mine", "theirs").mapInArrow(_blocks_similar(similarity), "num long").distinct(), "gone").read()
 
 
 def near_dedup(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", words: int = 5, similarity: float = 0.8, radius: int = 3, masks: int = 3) -> DataFrame:
@@ -536,7 +566,8 @@ def near_dedup(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text
     classes = SharedTable(classes, "classes").read()
     few = max(8, marks.count() // 4096)
     seen = marks.select("grams").mapInArrow(_often, "h long, f long").groupBy("h").agg(F.sum("f").alias("f")).where(F.col("f") >= few)
-    seen = seen.toArrow()  # at most 4096 times the mean number of shingles of a text
+    with rows_at_once(spark, 2 * PAIR_ROWS):
+        seen = seen.toArrow()  # at most 4096 times the mean number of shingles of a text
     h, f = seen["h"].to_numpy().view(np.uint64), seen["f"].to_numpy()
     place = np.empty(len(h), np.int64)
     place[np.lexsort((h, f))] = np.arange(1, len(h) + 1)

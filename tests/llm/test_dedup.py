@@ -3,11 +3,14 @@
 import hashlib
 import random
 import re
+import tracemalloc
 
 import numpy as np
+import pyarrow as pa
 import xxhash
 
 from cutfield.llm import exact_dedup, line_dedup, simhash, substring_dedup
+from cutfield.llm.common import rows_at_once
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
 
@@ -368,3 +371,24 @@ def test_near_dedup_large_group(spark, monkeypatch):
     want = _brute_kept(texts)
     got = simhash.near_dedup(spark.createDataFrame(list(texts.items()), "doc_id long, text string"))
     assert {x["doc_id"] for x in got.collect()} == want and 20 < len(want) < 250
+
+
+def test_near_dedup_holds_no_second_copy_of_a_batch(spark):
+    """Comparing the pairs of a batch takes little memory beside it; what Spark hands over at once is bounded while they run."""
+    sets = np.arange(2000 * 1000, dtype=np.uint64).reshape(2000, 1000)
+    grams = pa.array([s.tobytes() for s in sets], pa.binary())
+    pairs = pa.record_batch([pa.array(range(2000)), grams, grams], names=["x", "mine", "theirs"])
+    side = pa.StructArray.from_arrays([pa.array(range(2000)), pa.array(range(2000)), grams], names=["num", "least", "grams"])
+    lists = pa.ListArray.from_arrays(pa.array(range(0, 2001, 20), pa.int32()), side)
+    blocks = pa.record_batch([lists.slice(1), lists.slice(0, 99)], names=["mine", "theirs"])
+    for run, batch, want in ((simhash._similar(0.8), pairs, list(range(2000))), (simhash._blocks_similar(0.8), blocks, [])):
+        tracemalloc.start()
+        got = [n for b in run([batch]) for n in b.column("num").to_pylist()]
+        peak = tracemalloc.get_traced_memory()[1]
+        tracemalloc.stop()
+        assert got == want and peak < batch.nbytes / 4
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    was = spark.conf.get(key)
+    with rows_at_once(spark, 7):
+        sizes = [r["n"] for r in spark.range(100).mapInArrow(lambda bs: (pa.record_batch([pa.array([b.num_rows])], names=["n"]) for b in bs), "n long").collect()]
+    assert max(sizes) <= 7 and sum(sizes) == 100 and spark.conf.get(key) == was
