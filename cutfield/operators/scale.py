@@ -2,11 +2,16 @@
 
 from __future__ import annotations
 
+import itertools
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..storage import Stored
-from .graph import both_ways, ends
+from .graph import both_ways, ends, few
+
+#: Groups of a coarsened graph beyond which matching goes on; at most twice as many are cut densely.
+DENSE_NODES = 1000
 
 
 def ranked(df: DataFrame, keys: list[str], order: list[Column], name: str) -> DataFrame:
@@ -69,38 +74,66 @@ def spanning_forest(edges: DataFrame, assignment: DataFrame, max_rounds: int = 3
     return taken.select("model_id", F.col("a").alias("cluster_a"), F.col("b").alias("cluster_b"), "src", "dst", "theta")
 
 
-def heavy_matching(nodes: DataFrame, weighted: DataFrame, cap: float, rounds: int = 12, stop_at: int = 0) -> DataFrame:
+def heavy_matching(nodes: DataFrame, weighted: DataFrame, cap: float, rounds: int = 12, stop_at: int = 0, at_most: int = 0) -> DataFrame:
     """model_id, var_id, group, mass: nodes merged along heavy edges while a group's mass stays within ``cap``.
 
     ``nodes`` may have a ``mass`` column (1 if not).  Each round every group proposes to the heaviest neighbour that it fits
-    with (ties by a hash of the round); mutual proposals merge.  Rounds end early at ``stop_at`` groups or when none merges.
+    with (ties by a hash of the round); mutual proposals merge.  Rounds end early at ``stop_at`` groups or when none merges,
+    and go on while a model has more than ``at_most`` groups, where that is given.
     """
     mass = F.col("mass") if "mass" in nodes.columns else F.lit(1.0)
     group = Stored(nodes.select("model_id", "var_id", F.col("var_id").alias("group"), mass.cast("double").alias("own")))
     masses = Stored(group.read().select("model_id", "group", F.col("own").alias("mass")))
-    coarse = Stored(weighted.select("model_id", F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst"), "weight"))
-    for r in range(rounds):
-        m = lambda end, name: masses.read().select("model_id", F.col("group").alias(end), F.col("mass").alias(name))
-        fits = coarse.read().join(m("src", "m1"), ["model_id", "src"]).join(m("dst", "m2"), ["model_id", "dst"]).where(F.col("m1") + F.col("m2") <= cap)
+    n = group.read().count()
+
+    def fitting(pairs: DataFrame) -> DataFrame:
+        """The pairs that fit together, with their masses, by ranges of src.  Masses only grow, so what does not fit never will."""
+        m = lambda end, name: few(masses.read().select("model_id", F.col("group").alias(end), F.col("mass").alias(name)), n)
+        return pairs.join(m("src", "m1"), ["model_id", "src"]).join(m("dst", "m2"), ["model_id", "dst"]).where(F.col("m1") + F.col("m2") <= cap).repartitionByRange("model_id", "src")
+
+    coarse = Stored(fitting(weighted.select("model_id", F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst"), "weight")))
+    largest = 0
+    for r in itertools.count():
+        if r >= rounds and (not at_most or largest <= at_most):
+            break
         # weight for each pair of members, so that large groups do not draw every wish
-        fits = fits.select("model_id", "src", "dst", (F.col("weight") / (F.col("m1") * F.col("m2"))).alias("weight"))
-        order = F.struct("weight", F.xxhash64(F.lit(r), F.least("i", "j"), F.greatest("i", "j")))
-        wish = Stored(both_ways(fits).groupBy("model_id", "i").agg(F.max_by("j", order).alias("j"))).read()
+        fits = coarse.read().select("model_id", "src", "dst", (F.col("weight") / (F.col("m1") * F.col("m2"))).alias("weight"), F.xxhash64(F.lit(r), "src", "dst").alias("h"))
+        wishes = fits.select("model_id", F.col("src").alias("i"), F.col("dst").alias("j"), "weight", "h").unionByName(fits.select("model_id", F.col("dst").alias("i"), F.col("src").alias("j"), "weight", "h"))
+        # the heaviest first, then the hash among those: numbers alone, which are aggregated without a sort
+        top = Stored(wishes.groupBy("model_id", "i").agg(F.max("weight").alias("top")))
+        heaviest = wishes.join(few(top.read(), n), ["model_id", "i"]).where(F.col("weight").eqNullSafe(F.col("top")))
+        wish = Stored(heaviest.groupBy("model_id", "i").agg(F.max_by("j", "h").alias("j"))).read()
         back = wish.select("model_id", F.col("i").alias("j"), F.col("j").alias("i"))
         matched = Stored(wish.join(back, ["model_id", "i", "j"]).where("i < j").select("model_id", F.col("j").alias("group"), F.col("i").alias("into"))).read()
         if not matched.limit(1).count():
             break
-        group = Stored(group.read().join(matched, ["model_id", "group"], "left").select("model_id", "var_id", F.coalesce("into", "group").alias("group"), "own"))
-        masses = Stored(masses.read().join(matched, ["model_id", "group"], "left").groupBy("model_id", F.coalesce("into", "group").alias("group")).agg(F.sum("mass").alias("mass")))
-        if stop_at and masses.read().groupBy("model_id").count().agg(F.max("count")).first()[0] <= stop_at:
+        group = Stored(group.read().join(few(matched, n), ["model_id", "group"], "left").select("model_id", "var_id", F.coalesce("into", "group").alias("group"), "own"))
+        masses = Stored(masses.read().join(few(matched, n), ["model_id", "group"], "left").groupBy("model_id", F.coalesce("into", "group").alias("group")).agg(F.sum("mass").alias("mass")))
+        if stop_at or at_most:
+            largest = masses.read().groupBy("model_id").count().agg(F.max("count")).first()[0]
+        if stop_at and largest <= stop_at:
             break
         # the contracted graph takes the place of the last one, so the input is read once
-        a, b = (matched.select("model_id", F.col("group").alias(e), F.col("into").alias(f"{e}_into")) for e in ("src", "dst"))
+        a, b = (few(matched.select("model_id", F.col("group").alias(e), F.col("into").alias(f"{e}_into")), n) for e in ("src", "dst"))
         ends_now = coarse.read().join(a, ["model_id", "src"], "left").join(b, ["model_id", "dst"], "left").select("model_id", F.coalesce("src_into", "src").alias("x"), F.coalesce("dst_into", "dst").alias("y"), "weight")
-        coarse = Stored(ends_now.where("x <> y").groupBy("model_id", F.least("x", "y").alias("src"), F.greatest("x", "y").alias("dst")).agg(F.sum("weight").alias("weight")))
+        merged = fitting(ends_now.where("x <> y").select("model_id", F.least("x", "y").alias("src"), F.greatest("x", "y").alias("dst"), "weight"))
+        last, coarse = coarse, Stored(merged.groupBy("model_id", "src", "dst").agg(F.sum("weight").alias("weight"), F.max("m1").alias("m1"), F.max("m2").alias("m2")))
+        last.drop()
+    coarse.drop()
     return group.read().select("model_id", "var_id", "group", F.col("own").alias("mass"))
 
 
+def bounded(group: DataFrame, at_most: int) -> DataFrame:
+    """The groups of ``heavy_matching``, at most twice ``at_most`` in a model: those of less than a share of the mass are packed by rank."""
+    mass = Stored(group.groupBy("model_id", "group").agg(F.sum("mass").alias("m")))
+    total = mass.read().groupBy("model_id").agg(F.count(F.lit(1)).alias("n"), F.sum("m").alias("all")).where(F.col("n") > at_most)
+    light = mass.read().join(total, "model_id").where(F.col("m") * at_most <= F.col("all")).select("model_id", "group", "m")
+    placed = Stored(ranked(light, ["model_id"], [F.col("m"), F.col("group")], "r"))
+    into = placed.read().select("model_id", "group", F.pmod("r", F.lit(at_most)).alias("bin"))
+    named = into.groupBy("model_id", "bin").agg(F.min("group").alias("into"))
+    return group.join(into.join(named, ["model_id", "bin"]).drop("bin"), ["model_id", "group"], "left").select("model_id", "var_id", F.coalesce("into", "group").alias("group"), "mass")
+
+
 def merged_clusters(nodes: DataFrame, weighted: DataFrame, cap: float, balance: str = "nodes", rounds: int = 12) -> DataFrame:
     """model_id, var_id, cluster: clusters of any number whose cost stays within a cap, grown along heavy edges.
 
@@ -125,7 +158,9 @@ def rebalance(nodes: DataFrame, weighted: DataFrame, assignment: DataFrame, k: i
 
     Places are matched by rank, so sizes come out exact in one pass.
     """
-    inside = both_ways(weighted).join(assignment.select("model_id", F.col("var_id").alias("i"), F.col("cluster").alias("ci")), ["model_id", "i"]).join(assignment.select("model_id", F.col("var_id").alias("j"), F.col("cluster").alias("cj")), ["model_id", "j"])
+    assignment = Stored(assignment).read()
+    n = assignment.count()
+    inside = both_ways(weighted).join(few(assignment.select("model_id", F.col("var_id").alias("i"), F.col("cluster").alias("ci")), n), ["model_id", "i"]).join(few(assignment.select("model_id", F.col("var_id").alias("j"), F.col("cluster").alias("cj")), n), ["model_id", "j"])
     tie = inside.groupBy("model_id", F.col("i").alias("var_id")).agg(F.sum(F.when(F.col("ci") == F.col("cj"), F.col("weight")).otherwise(0.0)).alias("tie"))
     total = assignment.groupBy("model_id").agg(F.count(F.lit(1)).alias("n"))
     all_clusters = total.select("model_id", "n", F.explode(F.sequence(F.lit(0), F.lit(k - 1))).alias("cluster"))
@@ -149,9 +184,11 @@ def refine(weighted: DataFrame, assignment: DataFrame, sense: str = "min", round
     """
     sign = 1.0 if sense == "min" else -1.0
     now = Stored(assignment.select("model_id", "var_id", F.col("cluster").cast("int").alias("cluster")))
+    n = now.read().count()
     for r in range(rounds):
         a = now.read()
-        pull = both_ways(weighted).join(a.select("model_id", F.col("var_id").alias("j"), F.col("cluster").alias("c")), ["model_id", "j"]).groupBy("model_id", F.col("i").alias("var_id"), "c").agg(F.sum("weight").alias("w"))
+        pull = both_ways(weighted).join(few(a.select("model_id", F.col("var_id").alias("j"), F.col("cluster").alias("c")), n), ["model_id", "j"]).groupBy("model_id", F.col("i").alias("var_id"), "c").agg(F.sum("weight").alias("w"))
+        pull = Stored(pull).read()  # read twice
         own = a.join(pull.withColumnRenamed("c", "cluster"), ["model_id", "var_id", "cluster"], "left").fillna(0.0, ["w"]).withColumnRenamed("w", "own")
         wish = own.join(pull, ["model_id", "var_id"]).where("c <> cluster").withColumn("gain", F.lit(sign) * (F.col("w") - F.col("own")))
         wish = wish.where(F.pmod(F.xxhash64(F.lit(r), "var_id"), F.lit(2)) == 0).groupBy("model_id", "var_id", "cluster").agg(F.max_by(F.struct("c", "gain"), F.struct("gain", -F.col("c"))).alias("b")).select("model_id", "var_id", "cluster", F.col("b.c").alias("to"), "b.gain")
@@ -177,15 +214,17 @@ def coarse_partition(nodes: DataFrame, weighted: DataFrame, k: int, sense: str =
     from .graph import random_partition
     from .inference import arrays
 
-    nodes, weighted = Stored(nodes.select("model_id", "var_id")).read(), Stored(weighted).read()
+    nodes, weighted = Stored(nodes.select("model_id", "var_id")).read(), Stored(weighted.repartitionByRange("model_id", "src")).read()
     if sense == "max":
         return refine(weighted, random_partition(nodes, k), "max", rounds)
     ship(nodes.sparkSession)
     largest = nodes.groupBy("model_id").count().agg(F.max("count")).first()[0]
     cap = max(1.0, largest / k / 2)
-    group = Stored(heavy_matching(nodes, weighted, cap, 24, coarse_nodes)).read()
-    a = group.select("model_id", F.col("var_id").alias("src"), F.col("group").alias("ga"))
-    b = group.select("model_id", F.col("var_id").alias("dst"), F.col("group").alias("gb"))
+    # the dense kernel takes the square of the groups, so their number is bounded, however large or scattered the graph is
+    group = Stored(bounded(heavy_matching(nodes, weighted, cap, 24, coarse_nodes, DENSE_NODES), DENSE_NODES)).read()
+    n = group.count()
+    a = few(group.select("model_id", F.col("var_id").alias("src"), F.col("group").alias("ga")), n)
+    b = few(group.select("model_id", F.col("var_id").alias("dst"), F.col("group").alias("gb")), n)
     edges = weighted.join(a, ["model_id", "src"]).join(b, ["model_id", "dst"]).where("ga <> gb").groupBy("model_id", F.least("ga", "gb").alias("a"), F.greatest("ga", "gb").alias("b")).agg(F.sum("weight").alias("theta"))
     masses = group.groupBy("model_id", "group").agg(F.sum("mass").alias("theta"))
     packed = masses.select("model_id", F.col("group").alias("a"), F.lit(None).cast("long").alias("b"), "theta", F.lit(0).alias("cluster")).unionByName(edges.select("model_id", "a", "b", "theta", F.lit(None).cast("int").alias("cluster")))

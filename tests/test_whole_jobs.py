@@ -5,10 +5,12 @@ from itertools import combinations
 
 import duckdb
 import pytest
+from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
 from cutfield.operators import graph as G
 from cutfield.operators import partition as P
+from cutfield.operators import scale as L
 from cutfield.plans import experiments as X
 
 
@@ -90,3 +92,49 @@ def test_data_comes_from_a_given_table(spark, data, name):
     got, want = _both(spark, data, name)
     assert got == want and len(got) > 100
     assert any(f.endswith("lineitem.parquet") for f in entry.queries()[name](spark, data).inputFiles())
+
+
+def test_coarse_graph_is_bounded(spark):
+    """What is cut densely has a bounded number of groups: matching goes on beyond its rounds, and nodes without edges are packed."""
+    nodes = spark.range(400).selectExpr("0L AS model_id", "id AS var_id")
+    path = spark.range(299).selectExpr("0L AS model_id", "id AS src", "id + 1 AS dst", "1.0D AS weight")  # 100 nodes are without edges
+    loose = L.heavy_matching(nodes, path, 50.0, 1)
+    matched = L.heavy_matching(nodes, path, 50.0, 1, at_most=130)
+    count = lambda df: df.select("group").distinct().count()
+    assert count(loose) > 150 and 100 < count(matched) <= 130
+    packed = L.bounded(matched, 20)
+    assert count(packed) <= 40 and packed.count() == 400 and packed.agg(F.sum("mass")).first()[0] == 400.0
+
+
+def test_matching_follows_the_rule(spark):
+    """Rounds of mutual proposals against a plain loop over dictionaries, with pairs left out once they no longer fit."""
+    rows = [(0, i, (7 * i + 3) % 30, float(1 + i % 3)) for i in range(30)] + [(0, i, (i + 1) % 30, 2.0) for i in range(30)]
+    edges = spark.createDataFrame([r for r in rows if r[1] != r[2]], "model_id long, src long, dst long, weight double")
+    nodes = spark.range(31).selectExpr("0L AS model_id", "id AS var_id")
+    got = {r["var_id"]: r["group"] for r in L.heavy_matching(nodes, edges, 5.0, 4).collect()}
+    group, weight = {i: i for i in range(31)}, {}
+    for _, a, b, w in rows:
+        if a != b:
+            weight[min(a, b), max(a, b)] = weight.get((min(a, b), max(a, b)), 0.0) + w
+    single = {}  # in the first round, parallel edges are not yet one
+    for _, a, b, w in rows:
+        if a != b:
+            single[min(a, b), max(a, b)] = max(single.get((min(a, b), max(a, b)), 0.0), w)
+    for r in range(4):
+        mass = {g: list(group.values()).count(g) for g in group.values()}
+        pairs = spark.createDataFrame([(r, a, b) for a, b in weight], "r int, a long, b long").selectExpr("a", "b", "xxhash64(r, a, b) AS h").collect()
+        best = {}
+        for a, b, h in pairs:
+            if mass[a] + mass[b] <= 5:
+                w = (weight if r else single)[a, b] / (mass[a] * mass[b])
+                for i, j in ((a, b), (b, a)):
+                    best[i] = max(best.get(i, (-1.0, 0, 0)), (w, h, j))
+        into = {j: i for i, (_, _, j) in best.items() if i < j and best[j][2] == i}
+        group = {v: into.get(g, g) for v, g in group.items()}
+        merged = {}
+        for (a, b), w in weight.items():
+            x, y = sorted((into.get(a, a), into.get(b, b)))
+            if x != y:
+                merged[x, y] = merged.get((x, y), 0.0) + w
+        weight = merged
+    assert got == group
