@@ -274,36 +274,39 @@ def label_propagation(nodes: DataFrame, weighted: DataFrame, k: int, rounds: int
 
 
 def spectral_bisection(nodes: DataFrame, weighted: DataFrame, sense: str = "min", rounds: int = 30, tol: float = 1e-4) -> DataFrame:
-    """Two equal halves by an extreme eigenvector of the Laplacian, found by power iteration; a product is one join and one sum.
+    """Two equal halves by an extreme eigenvector of the Laplacian, found by power iteration; a product is one join and one sum,
+    with the vector broadcast where its nodes are counted to be few.
 
     It ends when three products move the unit vector by less than ``tol`` in every model, or after ``rounds`` products.
 
     ``min`` iterates on (2 d_max - L), which brings out the second smallest eigenvector; ``max`` on L itself.
     """
     from ..hashing import uniform
-    from .graph import degrees
 
     nodes = Stored(nodes.select("model_id", "var_id")).read()
-    pairs = Stored(both_ways(weighted)).read()
-    deg = Stored(degrees(nodes, weighted).withColumnRenamed("i", "var_id"))
+    size = nodes.count()
+    # by ranges of i, so that a product's sums are nearly done before they are shuffled
+    pairs = Stored(both_ways(weighted).repartitionByRange("model_id", "i")).read()
+    found = pairs.groupBy("model_id", F.col("i").alias("var_id")).agg(F.sum("weight").alias("d"))
+    deg = Stored(nodes.join(found, ["model_id", "var_id"], "left").fillna(0.0, ["d"]))
     top = Stored(deg.read().groupBy("model_id").agg((2 * F.max("d")).alias("shift"), F.count(F.lit(1)).alias("n"))).read()
     # a row a model: broadcast where they are counted to be few, so that the nodes of a large model do not meet in one task
-    few = F.broadcast if top.count() <= 100_000 else lambda df: df
+    models = top.count()
     x = Stored(nodes.select("model_id", "var_id", (uniform(11, F.col("var_id")) - 0.5).alias("x")))
-    # three products a stored round; the constant vector and the norm are taken out once for each
+    # the constant vector and the norm are taken out once for three products
     for step in range(-(-rounds // 3)):
         now = x.read().select("model_id", "var_id", "x", F.col("x").alias("was"))
         for _ in range(min(3, rounds - 3 * step)):
-            ax = pairs.join(now.select("model_id", F.col("var_id").alias("j"), "x"), ["model_id", "j"]).groupBy("model_id", F.col("i").alias("var_id")).agg(F.sum(F.col("weight") * F.col("x")).alias("ax"))
-            lx = now.join(deg.read(), ["model_id", "var_id"]).join(ax, ["model_id", "var_id"], "left").join(few(top), "model_id").withColumn("lx", F.col("d") * F.col("x") - F.coalesce("ax", F.lit(0.0)))
+            ax = pairs.join(few(now.select("model_id", F.col("var_id").alias("j"), "x"), size), ["model_id", "j"]).groupBy("model_id", F.col("i").alias("var_id")).agg(F.sum(F.col("weight") * F.col("x")).alias("ax"))
+            lx = now.join(deg.read(), ["model_id", "var_id"]).join(ax, ["model_id", "var_id"], "left").join(few(top, models), "model_id").withColumn("lx", F.col("d") * F.col("x") - F.coalesce("ax", F.lit(0.0)))
             part = F.col("x") - F.col("lx") / F.col("shift") if sense == "min" else F.col("lx") / F.col("shift")
-            now = lx.select("model_id", "var_id", F.when(F.col("shift") > 0, part).otherwise(F.col("x")).alias("x"), "was")
+            now = Stored(lx.select("model_id", "var_id", F.when(F.col("shift") > 0, part).otherwise(F.col("x")).alias("x"), "was")).read()
         y = now.withColumnRenamed("x", "y")
         stats = y.groupBy("model_id").agg(F.avg("y").alias("mean"), F.sqrt(F.greatest(F.sum(F.col("y") * F.col("y")) - F.count(F.lit(1)) * F.pow(F.avg("y"), 2), F.lit(1e-300))).alias("norm"))
-        x = Stored(y.join(few(stats), "model_id").select("model_id", "var_id", ((F.col("y") - F.col("mean")) / F.col("norm")).alias("x"), "was"))
+        x = Stored(y.join(few(stats, models), "model_id").select("model_id", "var_id", ((F.col("y") - F.col("mean")) / F.col("norm")).alias("x"), "was"))
         # both operators have no negative eigenvalue here, so the sign stays
         moved = x.read().groupBy("model_id").agg(F.sum(F.pow(F.col("x") - F.col("was"), 2)).alias("m")).agg(F.max("m")).first()[0] or 0.0
         if moved < tol * tol:
             break
-    placed = ranked(x.read().select("model_id", "var_id", "x"), ["model_id"], [F.col("x"), F.col("var_id")], "r").join(few(top), "model_id")
+    placed = ranked(x.read().select("model_id", "var_id", "x"), ["model_id"], [F.col("x"), F.col("var_id")], "r").join(few(top, models), "model_id")
     return placed.select("model_id", "var_id", (2 * F.col("r") > F.col("n") + 1).cast("int").alias("cluster"))

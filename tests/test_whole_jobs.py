@@ -138,3 +138,11 @@ def test_matching_follows_the_rule(spark):
                 merged[x, y] = merged.get((x, y), 0.0) + w
         weight = merged
     assert got == group
+
+
+def test_copurchase_graph_is_built_once(spark, data):
+    """Rounds over the graph read its edges, not the lines that they are counted from."""
+    from cutfield.plans.queries_more import _copurchase
+
+    _, edges = _copurchase(spark, data)
+    assert edges.inputFiles() and not any("lineitem" in f for f in edges.inputFiles())
