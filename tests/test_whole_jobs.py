@@ -146,3 +146,21 @@ def test_copurchase_graph_is_built_once(spark, data):
 
     _, edges = _copurchase(spark, data)
     assert edges.inputFiles() and not any("lineitem" in f for f in edges.inputFiles())
+
+
+def test_table_quality_reads_the_given_tables(spark, data):
+    """Graphs of trade by shares of the orders: every line between two of the nations counts once, in Spark as in SQL."""
+    con = duckdb.connect()
+    names = ("lineitem", "orders", "supplier", "customer")
+    l, o, s, c = (f"'{data}/{t}.parquet'" for t in names)
+    want = con.execute(f"""SELECT l_orderkey % 7, least(s_nationkey, c_nationkey), greatest(s_nationkey, c_nationkey), count(*) FROM {l} JOIN {o} ON l_orderkey = o_orderkey
+      JOIN {s} ON l_suppkey = s_suppkey JOIN {c} ON o_custkey = c_custkey WHERE s_nationkey <> c_nationkey AND s_nationkey < 24 AND c_nationkey < 24 GROUP BY ALL""").fetchall()
+    trials = X.trade_trials(spark, data, 7).collect()
+    assert len(trials) == 7 and {(r["trial"], *p) for r in trials for p in r["pairs"] or []} == set(want)
+    a = X.trade_matrix(trials[0]["pairs"], 0, 24, 0.3, False)
+    assert a.sum() == 2 * round(0.3 * 276) and (a == a.T).all()
+    w = X.trade_matrix(trials[0]["pairs"], 0, 24, 0.3, True)
+    assert ((w > 0) == (a > 0)).all() and w.max() == 1.0
+    rows = X.table_quality(spark, 2, sf_dir=data, ks=(3,), densities=(0.5,)).collect()
+    assert len(rows) == 8 and all(r["trials"] == 2 for r in rows)
+    assert all((r["cut"] >= r["bound"] - 0.02) if r["sense"] == "min" else (r["cut"] <= r["bound"] + 0.02) for r in rows if r["bound"] is not None)
