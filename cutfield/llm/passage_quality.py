@@ -19,6 +19,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..shipping import ship
+from .common import released, sliced
 
 #: Words in a passage; a last passage shorter than half joins the one before.
 PASSAGE = 128
@@ -183,7 +184,7 @@ def held_out(id_: Column) -> Column:
 
 
 def _encode(batches):
-    for batch in batches:
+    for batch in sliced(batches):
         texts = batch.column("body").cast(pa.binary()).to_pylist()
         bags = [passages(t or b"") for t in texts]
         yield pa.record_batch([batch.column("doc_id"), batch.column("label"), pa.array([len(b) for b in bags], pa.int32()), pa.array([b.astype("<f4").tobytes() for b in bags], pa.large_binary())], names=["doc_id", "label", "n", "bag"])
@@ -205,7 +206,7 @@ def fit(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col:
     order = Window.orderBy(F.xxhash64("doc_id"), "doc_id").rowsBetween(Window.unboundedPreceding, 0)  # sample_rows at most
     picked = sizes.withColumn("until", F.sum("size").over(order)).where(F.col("until") <= sample_bytes).select("doc_id", "label", "size")
     taken = rows.join(F.broadcast(picked), "doc_id").where(size <= sample_bytes).groupBy("doc_id", "label").agg(F.min("body").alias("body"))
-    seen = taken.mapInArrow(_encode, "doc_id long, label int, n int, bag binary").toArrow()
+    seen = taken.mapInArrow(released(_encode), "doc_id long, label int, n int, bag binary").toArrow()
     seen = seen.sort_by("doc_id")
     if not seen.num_rows:
         return _constant(1.0)
@@ -231,7 +232,7 @@ def _scores(model: AttentionModel, texts: list[bytes | None], most: int = 8_192)
 
 def _score(model: AttentionModel):
     def run(batches):
-        for batch in batches:
+        for batch in sliced(batches):
             yield pa.record_batch([batch.column("doc_id"), pa.array(_scores(model, batch.column("body").cast(pa.binary()).to_pylist()))], names=["doc_id", "score"])
 
     return run
@@ -246,7 +247,7 @@ def quality_scores(docs: DataFrame, model: AttentionModel, *, id_col: str = "doc
     """
     ship(docs.sparkSession)
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("body"))
-    scored = rows.mapInArrow(_score(model), "doc_id long, score double")
+    scored = rows.mapInArrow(released(_score(model)), "doc_id long, score double")
     return scored.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "score", (F.col("score") >= threshold).cast("int").alias("predicted"))
 
 
@@ -278,7 +279,7 @@ def keep_good(docs: DataFrame, model: AttentionModel, *, id_col: str = "doc_id",
     mine = names.index(text_col)
 
     def run(batches):
-        for batch in batches:
+        for batch in sliced(batches):
             yield batch.filter(pa.array(_scores(model, batch.column(mine).cast(pa.binary()).to_pylist()) >= threshold))
 
-    return plain.mapInArrow(run, plain.schema).toDF(*names)
+    return plain.mapInArrow(released(run), plain.schema).toDF(*names)

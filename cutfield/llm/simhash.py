@@ -27,7 +27,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..shipping import ship
-from .common import SharedTable, rows_at_once
+from .common import SharedTable, released, rows_at_once, sliced
 
 FINGERPRINTS = "doc_id long, fp long"
 EDGES = "a long, b long"
@@ -249,7 +249,9 @@ BLOCK, BLOCK_BYTES = 512, 4 << 20
 #: Texts, and their shingles, among which often seen shingles are counted at once.
 OFTEN_ROWS, OFTEN_GRAMS = 10_000, 4 << 20
 #: Rows that a task hands to Python at once where each holds two sets of shingles, or two packed blocks.
-PAIR_ROWS, BLOCK_ROWS = 512, 4
+PAIR_ROWS, BLOCK_ROWS = 512, 1
+#: Texts, or sets of shingles, that a task hands to Python at once.
+TEXT_ROWS = 1024
 #: Rows of a class, its number and its smallest id that a task may hold in a broadcast.
 BROADCAST_ROWS = 500_000
 
@@ -283,16 +285,14 @@ def _class(words: list[bytes]) -> bytes:
 
 def _marks(size: int):
     def run(batches):
-        for batch in batches:
-            for at in range(0, batch.num_rows, 1024):
-                part = batch.slice(at, 1024)
-                out = []
-                for text in part.column("body").cast(pa.binary()):
-                    words = text.as_py().lower().split()
-                    g = grams(words, size)
-                    out.append((weighted_fingerprint(words), _class(words), len(g), g.tobytes()))
-                fp, own, n, g = zip(*out)
-                yield pa.record_batch([part.column("doc_id"), pa.array(np.array(fp, np.uint64).view(np.int64)), pa.array(own, pa.binary()), pa.array(n, pa.int32()), pa.array(g, pa.binary())], names=["doc_id", "fp", "class", "n", "grams"])
+        for part in sliced(batches):
+            out = []
+            for text in part.column("body").cast(pa.binary()):
+                words = text.as_py().lower().split()
+                g = grams(words, size)
+                out.append((weighted_fingerprint(words), _class(words), len(g), g.tobytes()))
+            fp, own, n, g = zip(*out)
+            yield pa.record_batch([part.column("doc_id"), pa.array(np.array(fp, np.uint64).view(np.int64)), pa.array(own, pa.binary()), pa.array(n, pa.int32()), pa.array(g, pa.binary())], names=["doc_id", "fp", "class", "n", "grams"])
 
     return run
 
@@ -495,7 +495,7 @@ def _verified(pairs: DataFrame, marks: DataFrame, classes: DataFrame, similarity
     ys = ys.select("y", "theirs", F.explode(F.sequence(F.lit(0), F.coalesce("parts", F.lit(1)) - 1)).alias("part"))
     met = dealt.join(ys, ["y", "part"]).join(pool.select(F.col("num").alias("x"), F.col("grams").alias("mine")), "x")
     with rows_at_once(pairs.sparkSession, PAIR_ROWS):
-        return SharedTable(met.select("x", "mine", "theirs").mapInArrow(_similar(similarity), "num long").distinct(), "gone").read()
+        return SharedTable(met.select("x", "mine", "theirs").mapInArrow(released(_similar(similarity)), "num long").distinct(), "gone").read()
 
 
 def _pool(nums: DataFrame, marks: DataFrame, classes: DataFrame) -> DataFrame:
@@ -523,7 +523,7 @@ def _hot(members: DataFrame, marks: DataFrame, classes: DataFrame, similarity: f
     tasks = int(pool.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     met = mine.join(theirs, "root").repartition(tasks, F.xxhash64("root", "block", "other"))
     with rows_at_once(pool.sparkSession, BLOCK_ROWS):
-        return SharedTable(met.select("mine", "theirs").mapInArrow(_blocks_similar(similarity), "num long").distinct(), "gone").read()
+        return SharedTable(met.select("mine", "theirs").mapInArrow(released(_blocks_similar(similarity)), "num long").distinct(), "gone").read()
 
 
 def near_dedup(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", words: int = 5, similarity: float = 0.8, radius: int = 3, masks: int = 3) -> DataFrame:
@@ -546,7 +546,8 @@ def near_dedup(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text
     mine = F.col(f"c{names.index(id_col)}").cast("long")
     body = F.coalesce(F.col(f"c{names.index(text_col)}").cast("string"), F.lit(""))
     rows = plain.select(mine.alias("doc_id"), body.alias("body")).where("doc_id is not null")
-    marks = SharedTable(rows.mapInArrow(_marks(words), MARKS), "marks").read()
+    with rows_at_once(spark, TEXT_ROWS):
+        marks = SharedTable(rows.mapInArrow(released(_marks(words)), MARKS), "marks").read()
     classes = marks.groupBy("class").agg(F.min("doc_id").alias("least"), F.min("fp").alias("fp"))
     classes = SharedTable(classes.withColumn("num", F.monotonically_increasing_id()), "classes").read()
 
@@ -565,19 +566,20 @@ def near_dedup(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text
     classes = classes.join(gone.withColumn("_gone", F.lit(True)), "num", "left").select("class", "least", "num", F.col("_gone").isNull().alias("open"))
     classes = SharedTable(classes, "classes").read()
     few = max(8, marks.count() // 4096)
-    seen = marks.select("grams").mapInArrow(_often, "h long, f long").groupBy("h").agg(F.sum("f").alias("f")).where(F.col("f") >= few)
-    with rows_at_once(spark, 2 * PAIR_ROWS):
+    seen = marks.select("grams").mapInArrow(released(_often), "h long, f long").groupBy("h").agg(F.sum("f").alias("f")).where(F.col("f") >= few)
+    with rows_at_once(spark, TEXT_ROWS):
         seen = seen.toArrow()  # at most 4096 times the mean number of shingles of a text
     h, f = seen["h"].to_numpy().view(np.uint64), seen["f"].to_numpy()
     place = np.empty(len(h), np.int64)
     place[np.lexsort((h, f))] = np.arange(1, len(h) + 1)
     often = spark.sparkContext.broadcast((np.sort(h), place[np.argsort(h)]))
-    keys = marks.select("doc_id", "class", "n", "grams").where("n > 0").mapInArrow(_prefixes(often, similarity), "doc_id long, class binary, n int, keys array<long>")
+    keys = marks.select("doc_id", "class", "n", "grams").where("n > 0").mapInArrow(released(_prefixes(often, similarity)), "doc_id long, class binary, n int, keys array<long>")
     keys = keys.join(classes, "class").where("doc_id = least").select("num", "least", "n", "open", F.explode("keys").alias("key"))
     keys = keys.select("key", "num", "least", "n", F.col("open").cast("byte").alias("open")).repartition("key").sortWithinPartitions("key")
     meetings = keys.mapInArrow(_meetings(similarity), "hot long, a long, b long, need long, times long")
     meetings = meetings.groupBy("hot", "a", "b", "need").agg(F.sum("times").alias("times")).where("times >= need")
-    meetings = SharedTable(meetings, "meetings").read()
+    with rows_at_once(spark, 4 * TEXT_ROWS):
+        meetings = SharedTable(meetings, "meetings").read()
     gone = gone.unionAll(_verified(meetings.where("hot = 0").select(F.col("a").alias("x"), F.col("b").alias("y")), marks, classes, similarity))
     gone = gone.unionAll(_hot(meetings.where("hot = 1").select(F.col("a").alias("key"), F.col("b").alias("num")), marks, classes, similarity))
     stay = classes.join(gone, "num", "left_anti").select(F.col("least").alias("_stay")).distinct()

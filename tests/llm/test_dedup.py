@@ -10,7 +10,7 @@ import pyarrow as pa
 import xxhash
 
 from cutfield.llm import exact_dedup, line_dedup, simhash, substring_dedup
-from cutfield.llm.common import rows_at_once
+from cutfield.llm.common import released, rows_at_once
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
 
@@ -392,3 +392,54 @@ def test_near_dedup_holds_no_second_copy_of_a_batch(spark):
     with rows_at_once(spark, 7):
         sizes = [r["n"] for r in spark.range(100).mapInArrow(lambda bs: (pa.record_batch([pa.array([b.num_rows])], names=["n"]) for b in bs), "n long").collect()]
     assert max(sizes) <= 7 and sum(sizes) == 100 and spark.conf.get(key) == was
+
+
+def test_near_dedup_hands_over_few_texts_at_once(spark, monkeypatch):
+    """No Python step of the stage gets more than 4096 rows at once, nor more than 1024 texts."""
+
+    def watched(name, most):
+        make = getattr(simhash, name)
+
+        def made(*args):
+            inner = make(*args)
+
+            def run(batches):
+                def checked():
+                    for batch in batches:
+                        assert batch.num_rows <= most
+                        yield batch
+
+                return inner(checked())
+
+            return run
+
+        monkeypatch.setattr(simhash, name, made)
+
+    watched("_marks", 1024)
+    watched("_prefixes", 4096)
+    watched("_meetings", 4096)
+    docs = spark.range(9000).selectExpr("id as doc_id", "concat_ws(' ', transform(sequence(1, 12), i -> concat('w', id, '-', i))) as text").coalesce(1)
+    assert simhash.near_dedup(docs).count() == 9000
+
+
+def test_released_worker_holds_little(spark):
+    """After a step that took much memory in small pieces, a worker's memory is handed back; it would stay with it otherwise."""
+
+    def held(run):
+        def resident(batches):
+            for batch in batches:
+                with open("/proc/self/statm") as f:
+                    yield pa.record_batch([pa.array([int(f.read().split()[1]) * 4096 + 0 * batch.num_rows])], names=["n"])
+
+        one = spark.range(1).coalesce(1)
+        one.mapInArrow(run, "n long").collect()
+        return one.mapInArrow(resident, "n long").first()["n"]
+
+    def pieces(batches):
+        for batch in batches:
+            wide, last = [bytes(50_000) for _ in range(6000)], bytes(50_000)  # a small piece at the end keeps the heap from shrinking by itself
+            wide.clear()
+            yield pa.record_batch([pa.array([len(last)])], names=["n"])
+
+    calm = held(released(lambda batches: (pa.record_batch([pa.array([b.num_rows])], names=["n"]) for b in batches)))
+    assert held(released(pieces)) < calm + 100_000_000
