@@ -24,7 +24,7 @@ from .common import released, sliced
 #: Words in a passage; a last passage shorter than half joins the one before.
 PASSAGE = 128
 #: Places that words are hashed to, and words that a worker remembers before it starts anew.
-PLACES, REMEMBERED = 256, 500_000
+PLACES, REMEMBERED = 256, 100_000
 _CLASS = np.zeros(256, np.int64)  # 0: other bytes
 for _k, _chars in enumerate((b" \t\n\x0b\x0c\r", b"abcdefghijklmnopqrstuvwxyz", b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"0123456789", b".,;:", b"!?", b"#*$%&|<>", b"'\"()[]{}", b"-_/\\=+~^@`"), 1):
     _CLASS[list(_chars)] = _k

@@ -5,6 +5,7 @@ import math
 import random
 import re
 import string
+import tracemalloc
 import zlib
 
 import numpy as np
@@ -115,6 +116,18 @@ def test_packing(spark):
     _check_pieces(small, docs, 64)
 
 
+def test_packing_remembers_little():
+    """Words that a worker remembers take little memory, however many there are; ids do not depend on what is remembered."""
+    coder = packing.WordCoder(WORDS)
+    first = coder.ids(b"one two-three 4")
+    tracemalloc.start()
+    for i in range(0, 950_000, 1000):
+        coder.ids(" ".join(f"{k:x}w" for k in range(i, i + 1000)).encode())
+    held = tracemalloc.get_traced_memory()[0]
+    tracemalloc.stop()
+    assert held < 100 << 20 and coder.ids(b"one two-three 4") == first
+
+
 def test_packing_edges(edge, empty):
     unique = edge.where("doc_id is not null").dropDuplicates(["doc_id"])
     docs = [(x["doc_id"], x["text"]) for x in unique.collect()]
