@@ -164,3 +164,27 @@ def test_table_quality_reads_the_given_tables(spark, data):
     rows = X.table_quality(spark, 2, sf_dir=data, ks=(3,), densities=(0.5,)).collect()
     assert len(rows) == 8 and all(r["trials"] == 2 for r in rows)
     assert all((r["cut"] >= r["bound"] - 0.02) if r["sense"] == "min" else (r["cut"] <= r["bound"] + 0.02) for r in rows if r["bound"] is not None)
+
+
+def test_similar_sets_loses_no_link(spark, monkeypatch):
+    """Every link, with its similarity, of near copies at the threshold and of a shingle of many members, dealt over small blocks."""
+    import random
+
+    from cutfield.plans import similarity
+
+    monkeypatch.setattr(similarity, "BLOCK", 8)
+    r, texts = random.Random(3), {0: "", 1: None, 2: "one two", 3: "one  two", 4: "two one"}
+    for g in range(40):
+        base = [f"w{r.randrange(4000)}" for _ in range(r.randint(6, 80))]
+        for k in range(20 if g < 2 else 4):
+            words = base.copy()
+            for _ in range(r.randint(0, 2)):
+                words[r.randrange(len(words))] = f"x{r.randrange(10**6)}"
+            texts[len(texts)] = " ".join(words[r.randint(0, 2) :])
+    split = {i: (t or "").split() for i, t in texts.items()}
+    sets = {i: frozenset(tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4))) if w else frozenset() for i, w in split.items()}
+    first = {s: min(i for i in sets if sets[i] == s) for s in sets.values()}
+    want = {(i, j): round(len(a & b) / len(a | b), 6) for i, j in combinations(sorted(first.values()), 2) for a, b in [(sets[i], sets[j])] if a | b and len(a & b) / len(a | b) >= 0.8}
+    got = similarity.similar_sets(spark.createDataFrame(list(texts.items()), "doc_id long, text string").coalesce(2))
+    assert {x["doc_id"]: x["class_id"] for x in got.members.collect()} == {i: first[s] for i, s in sets.items()}
+    assert {(x["src"], x["dst"]): x["jaccard"] for x in got.links.collect()} == want and len(want) > 200
