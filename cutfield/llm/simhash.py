@@ -246,8 +246,10 @@ MARKS = "doc_id long, fp long, class binary, n int, grams binary"
 PAIRWISE = 128
 #: Members, and bytes of shingles, in one packed block.
 BLOCK, BLOCK_BYTES = 512, 4 << 20
-#: Texts, and their shingles, among which often seen shingles are counted at once.
+#: Texts, and their shingles, that are counted at once.
 OFTEN_ROWS, OFTEN_GRAMS = 10_000, 4 << 20
+#: Shingles that came so many times are often seen; of these at most so many, the most often seen, have a place in the order.
+OFTEN_LEAST, OFTEN = 2, 4 << 20
 #: Rows that a task hands to Python at once where each holds two sets of shingles, or two packed blocks.
 PAIR_ROWS, BLOCK_ROWS = 512, 1
 #: Texts, or sets of shingles, that a task hands to Python at once.
@@ -350,40 +352,115 @@ def _sets(column: pa.Array) -> list[np.ndarray]:
     return [np.frombuffer(x.as_buffer() or b"", np.uint64) for x in column]
 
 
-def _often(batches):
-    """h, f: shingles that a 4096th of a part's texts have (three at least), and how many; they only order the shingles.
+def _cell(g: np.ndarray) -> np.ndarray:
+    """The upper half of each hash; it only orders the shingles."""
+    return (g >> np.uint64(32)).astype(np.uint32)
 
-    A part is ``OFTEN_ROWS`` texts, or fewer that have ``OFTEN_GRAMS`` shingles together.
+
+def _sums(cells: np.ndarray, times: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """Ascending distinct cells, and the sum of ``times`` of each, or how often it came."""
+    if times is None:
+        return np.unique(cells, return_counts=True)
+    order = np.argsort(cells, kind="stable")
+    cells = cells[order]
+    cut = np.flatnonzero(np.concatenate(([True], cells[1:] != cells[:-1])))
+    return cells[cut], np.add.reduceat(times[order].astype(np.int64), cut)
+
+
+def _cells(similarity: float, bins: int):
+    """bin, cells, times: how often cells came, packed and dealt over ``bins`` by cell.
+
+    In a text its shingles of the least hashes count, half as many again as its prefix has; of its others those that a 4096th of a
+    part's texts have (three at least).  A part is ``OFTEN_ROWS`` texts, or fewer that have ``OFTEN_GRAMS`` shingles together.
     """
 
-    def count():
-        every = np.concatenate(held)
-        held.clear()
-        every.sort()
-        cut = np.concatenate(([0], np.flatnonzero(every[1:] != every[:-1]) + 1, [len(every)]))
-        f = np.diff(cut)
-        hot = f >= max(3, rows // 4096)
-        return pa.record_batch([pa.array(every[cut[:-1][hot]].view(np.int64)), pa.array(f[hot].astype(np.int64))], names=["h", "f"])
+    def run(batches):
+        def count():
+            first, rest = (np.concatenate(x) for x in zip(*held))
+            held.clear()
+            (cells, times), (late, f) = _sums(first), _sums(rest)
+            hot = f >= max(3, rows // 4096)
+            cells, times = np.concatenate((cells, late[hot])), np.concatenate((times, f[hot]))
+            own = cells % np.uint32(bins)
+            order = np.argsort(own, kind="stable")
+            at = np.searchsorted(own[order], np.arange(bins + 1))
+            packed = [[x[order[i:j]].astype(np.uint32).tobytes() for i, j in zip(at[:-1], at[1:])] for x in (cells, times)]
+            return pa.record_batch([pa.array(np.arange(bins, dtype=np.int32)), *(pa.array(x, pa.binary()) for x in packed)], names=["bin", "cells", "times"])
+
+        held, rows, size = [], 0, 0
+        for batch in batches:
+            for g in _sets(batch.column("grams")):
+                cells, least = _cell(g), _kept(len(g), similarity) * 3 // 2
+                held.append((cells[:least], cells[least:]))
+                rows, size = rows + 1, size + len(g)
+                if rows >= OFTEN_ROWS or size >= OFTEN_GRAMS:
+                    if size:
+                        yield count()
+                    held, rows, size = [], 0, 0
+        if size:
+            yield count()
 
-    held, rows, size = [], 0, 0
-    for batch in batches:
-        for g in _sets(batch.column("grams")):
-            held.append(g.copy())
-            rows, size = rows + 1, size + len(g)
-            if rows >= OFTEN_ROWS or size >= OFTEN_GRAMS:
-                if size:
+    return run
+
+
+def _often(least: int):
+    """cell, f: cells that came ``least`` times or more, and how often, from rows of ``_cells`` sorted by bin."""
+
+    def run(batches):
+        def count():
+            cells, f = _sums(*(np.concatenate([np.frombuffer(x, np.uint32) for x in side]) for side in zip(*held)))
+            hot = f >= least
+            return pa.record_batch([pa.array(cells[hot].view(np.int32)), pa.array(f[hot])], names=["cell", "f"])
+
+        held, last = [], None
+        for batch in batches:
+            for own, cells, times in zip(*(batch.column(c).to_pylist() for c in ("bin", "cells", "times"))):
+                if held and own != last:
                     yield count()
-                held, rows, size = [], 0, 0
-    if size:
-        yield count()
+                    held = []
+                held.append((cells, times))
+                last = own
+        if held:
+            yield count()
+
+    return run
+
+
+def _kept(n: int, similarity: float) -> int:
+    """How many shingles the prefix of a set of ``n`` has."""
+    return n - math.ceil(similarity * n - 1e-9) + 1
+
+
+def _order(marks: DataFrame, similarity: float) -> tuple[np.ndarray, np.ndarray]:
+    """Ascending cells of often seen shingles, ``OFTEN`` at most, and their places: the more often, the later.
+
+    Counts are taken over the whole table, not in its parts, where a shingle of few texts is seen once.
+    """
+    spark = marks.sparkSession
+    tasks = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    dealt = marks.select("grams").mapInArrow(released(_cells(similarity, tasks)), "bin int, cells binary, times binary")
+    dealt = dealt.where("length(cells) > 0").repartition(tasks, "bin").sortWithinPartitions("bin")
+    with rows_at_once(spark, TEXT_ROWS):
+        seen = SharedTable(dealt.mapInArrow(released(_often(OFTEN_LEAST)), "cell int, f long"), "often").read()
+    many = {x["bits"]: x["m"] for x in seen.groupBy(F.length(F.bin("f")).alias("bits")).agg(F.count(F.lit(1)).alias("m")).collect()}
+    bits = OFTEN_LEAST.bit_length()
+    while sum(m for b, m in many.items() if b >= bits) > OFTEN:
+        bits += 1
+    seen = seen.where(F.length(F.bin("f")) >= bits).toArrow()
+    cell, f = seen["cell"].to_numpy().view(np.uint32), seen["f"].to_numpy()
+    place = np.empty(len(cell), np.int32)
+    place[np.lexsort((cell, f))] = np.arange(1, len(cell) + 1)
+    at = np.argsort(cell)
+    return cell[at], place[at]
 
 
 def prefix(g: np.ndarray, often: np.ndarray, place: np.ndarray, similarity: float) -> np.ndarray:
     """The first n - ceil(similarity n) + 1 shingles, often seen ones behind all others: sets that are similar enough share one."""
-    keep = len(g) - math.ceil(similarity * len(g) - 1e-9) + 1
+    keep = _kept(len(g), similarity)
     if len(often):
-        at = np.minimum(np.searchsorted(often, g), len(often) - 1)
-        late = np.where(often[at] == g, place[at], 0)
+        cells = _cell(g)
+        at = np.minimum(np.searchsorted(often, cells), len(often) - 1)
+        late = np.where(often[at] == cells, place[at], 0)
         g = g[np.argsort(late, kind="stable")]
     return g[:keep]
 
@@ -565,14 +642,7 @@ def near_dedup(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text
     # whatever is open meets all that it may be similar to
     classes = classes.join(gone.withColumn("_gone", F.lit(True)), "num", "left").select("class", "least", "num", F.col("_gone").isNull().alias("open"))
     classes = SharedTable(classes, "classes").read()
-    few = max(8, marks.count() // 4096)
-    seen = marks.select("grams").mapInArrow(released(_often), "h long, f long").groupBy("h").agg(F.sum("f").alias("f")).where(F.col("f") >= few)
-    with rows_at_once(spark, TEXT_ROWS):
-        seen = seen.toArrow()  # at most 4096 times the mean number of shingles of a text
-    h, f = seen["h"].to_numpy().view(np.uint64), seen["f"].to_numpy()
-    place = np.empty(len(h), np.int64)
-    place[np.lexsort((h, f))] = np.arange(1, len(h) + 1)
-    often = spark.sparkContext.broadcast((np.sort(h), place[np.argsort(h)]))
+    often = spark.sparkContext.broadcast(_order(marks, similarity))
     keys = marks.select("doc_id", "class", "n", "grams").where("n > 0").mapInArrow(released(_prefixes(often, similarity)), "doc_id long, class binary, n int, keys array<long>")
     keys = keys.join(classes, "class").where("doc_id = least").select("num", "least", "n", "open", F.explode("keys").alias("key"))
     keys = keys.select("key", "num", "least", "n", F.col("open").cast("byte").alias("open")).repartition("key").sortWithinPartitions("key")

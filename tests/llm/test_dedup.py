@@ -422,6 +422,27 @@ def test_near_dedup_hands_over_few_texts_at_once(spark, monkeypatch):
     assert simhash.near_dedup(docs).count() == 9000
 
 
+def test_near_dedup_shared_passages_make_no_pairs(spark, monkeypatch):
+    """Texts that share a passage, and little else, meet nowhere: shingles of a few texts stand behind those of one."""
+    r = random.Random(15)
+    texts = {}
+    for i in range(84):
+        passage = [f"p{i % 12}-{j}" for j in range(20)]
+        texts[i] = " ".join(passage + [f"w{r.randrange(10**9)}" for _ in range(80)])
+    make = simhash._meetings
+
+    def made(*args):
+        def run(batches):
+            for batch in make(*args)(batches):
+                assert batch.num_rows == 0
+                yield batch
+
+        return run
+
+    monkeypatch.setattr(simhash, "_meetings", made)
+    assert simhash.near_dedup(spark.createDataFrame(list(texts.items()), "doc_id long, text string")).count() == 84
+
+
 def test_released_worker_holds_little(spark):
     """After a step that took much memory in small pieces, a worker's memory is handed back; it would stay with it otherwise."""
 
