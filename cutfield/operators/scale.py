@@ -8,6 +8,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..storage import Stored
+from . import blocks
 from .graph import both_ways, ends, few
 
 #: Groups of a coarsened graph beyond which matching goes on; at most twice as many are cut densely.
@@ -80,9 +81,23 @@ def heavy_matching(nodes: DataFrame, weighted: DataFrame, cap: float, rounds: in
     ``nodes`` may have a ``mass`` column (1 if not).  Each round every group proposes to the heaviest neighbour that it fits
     with (ties by a hash of the round); mutual proposals merge.  Rounds end early at ``stop_at`` groups or when none merges,
     and go on while a model has more than ``at_most`` groups, where that is given.
+
+    Where nodes are counted to be few, the rounds run over arrays in blocks of edges (``blocks``), else over tables alone.
     """
     mass = F.col("mass") if "mass" in nodes.columns else F.lit(1.0)
-    group = Stored(nodes.select("model_id", "var_id", F.col("var_id").alias("group"), mass.cast("double").alias("own")))
+    held = Stored(nodes.select("model_id", "var_id", mass.cast("double").alias("mass"))).read()
+    places = blocks.collected(held, held.count())
+    first = blocks.adjacency(places, weighted, cap) if places else None
+    if first is None:
+        return _matched_tables(held, weighted, cap, rounds, stop_at, at_most)
+    found = blocks.grouped(held, places, blocks.matched(places, first, cap, rounds, stop_at, at_most))
+    first.drop()
+    return found
+
+
+def _matched_tables(nodes: DataFrame, weighted: DataFrame, cap: float, rounds: int, stop_at: int, at_most: int) -> DataFrame:
+    """``heavy_matching`` by joins, for any number of nodes."""
+    group = Stored(nodes.select("model_id", "var_id", F.col("var_id").alias("group"), F.col("mass").alias("own")))
     masses = Stored(group.read().select("model_id", "group", F.col("own").alias("mass")))
     n = group.read().count()
 
@@ -153,15 +168,23 @@ def merged_clusters(nodes: DataFrame, weighted: DataFrame, cap: float, balance:
     return found.join(named, ["model_id", "group"]).select("model_id", "var_id", (F.col("r") - 1).cast("int").alias("cluster"))
 
 
-def rebalance(nodes: DataFrame, weighted: DataFrame, assignment: DataFrame, k: int) -> DataFrame:
+def rebalance(nodes: DataFrame, weighted: DataFrame, assignment: DataFrame, k: int, held: tuple[blocks.Nodes, blocks.Adjacency] | None = None) -> DataFrame:
     """The assignment with sizes that differ by one at most: nodes least tied to an overfull cluster move to free places.
 
-    Places are matched by rank, so sizes come out exact in one pass.
+    Places are matched by rank, so sizes come out exact in one pass.  ``held``: the graph in blocks, where it is.
     """
     assignment = Stored(assignment).read()
+    tie = blocks.ties(held[1], held[0], blocks.labels(assignment, held[0], "cluster")) if held else _ties(weighted, assignment)
+    return _rebalanced(assignment, tie, k)
+
+
+def _ties(weighted: DataFrame, assignment: DataFrame) -> DataFrame:
     n = assignment.count()
     inside = both_ways(weighted).join(few(assignment.select("model_id", F.col("var_id").alias("i"), F.col("cluster").alias("ci")), n), ["model_id", "i"]).join(few(assignment.select("model_id", F.col("var_id").alias("j"), F.col("cluster").alias("cj")), n), ["model_id", "j"])
-    tie = inside.groupBy("model_id", F.col("i").alias("var_id")).agg(F.sum(F.when(F.col("ci") == F.col("cj"), F.col("weight")).otherwise(0.0)).alias("tie"))
+    return inside.groupBy("model_id", F.col("i").alias("var_id")).agg(F.sum(F.when(F.col("ci") == F.col("cj"), F.col("weight")).otherwise(0.0)).alias("tie"))
+
+
+def _rebalanced(assignment: DataFrame, tie: DataFrame, k: int) -> DataFrame:
     total = assignment.groupBy("model_id").agg(F.count(F.lit(1)).alias("n"))
     all_clusters = total.select("model_id", "n", F.explode(F.sequence(F.lit(0), F.lit(k - 1))).alias("cluster"))
     sizes = assignment.groupBy("model_id", "cluster").agg(F.count(F.lit(1)).alias("m"))
@@ -176,22 +199,28 @@ def rebalance(nodes: DataFrame, weighted: DataFrame, assignment: DataFrame, k: i
     return placed.where("r <= cap").select("model_id", "var_id", F.col("cluster").cast("int").alias("cluster")).unionByName(moved)
 
 
-def refine(weighted: DataFrame, assignment: DataFrame, sense: str = "min", rounds: int = 4) -> DataFrame:
+def _moves(weighted: DataFrame, a: DataFrame, n: int, sign: float, r: int) -> DataFrame:
+    pull = both_ways(weighted).join(few(a.select("model_id", F.col("var_id").alias("j"), F.col("cluster").alias("c")), n), ["model_id", "j"]).groupBy("model_id", F.col("i").alias("var_id"), "c").agg(F.sum("weight").alias("w"))
+    pull = Stored(pull).read()  # read twice
+    own = a.join(pull.withColumnRenamed("c", "cluster"), ["model_id", "var_id", "cluster"], "left").fillna(0.0, ["w"]).withColumnRenamed("w", "own")
+    wish = own.join(pull, ["model_id", "var_id"]).where("c <> cluster").withColumn("gain", F.lit(sign) * (F.col("w") - F.col("own")))
+    return wish.where(F.pmod(F.xxhash64(F.lit(r), "var_id"), F.lit(2)) == 0).groupBy("model_id", "var_id", "cluster").agg(F.max_by(F.struct("c", "gain"), F.struct("gain", -F.col("c"))).alias("b")).select("model_id", "var_id", "cluster", F.col("b.c").alias("to"), "b.gain")
+
+
+def refine(weighted: DataFrame, assignment: DataFrame, sense: str = "min", rounds: int = 4, held: tuple[blocks.Nodes, blocks.Adjacency] | None = None) -> DataFrame:
     """Pair swaps between clusters in rounds, sizes unchanged.
 
     Each node names the cluster that it would gain most from; for every pair of clusters, wishes in either direction are ranked
     by gain and swapped by equal rank where the sum is positive.  Half of the nodes, by a hash of the round, may move.
+    ``held``: the graph in blocks, where it is.
     """
     sign = 1.0 if sense == "min" else -1.0
     now = Stored(assignment.select("model_id", "var_id", F.col("cluster").cast("int").alias("cluster")))
     n = now.read().count()
     for r in range(rounds):
         a = now.read()
-        pull = both_ways(weighted).join(few(a.select("model_id", F.col("var_id").alias("j"), F.col("cluster").alias("c")), n), ["model_id", "j"]).groupBy("model_id", F.col("i").alias("var_id"), "c").agg(F.sum("weight").alias("w"))
-        pull = Stored(pull).read()  # read twice
-        own = a.join(pull.withColumnRenamed("c", "cluster"), ["model_id", "var_id", "cluster"], "left").fillna(0.0, ["w"]).withColumnRenamed("w", "own")
-        wish = own.join(pull, ["model_id", "var_id"]).where("c <> cluster").withColumn("gain", F.lit(sign) * (F.col("w") - F.col("own")))
-        wish = wish.where(F.pmod(F.xxhash64(F.lit(r), "var_id"), F.lit(2)) == 0).groupBy("model_id", "var_id", "cluster").agg(F.max_by(F.struct("c", "gain"), F.struct("gain", -F.col("c"))).alias("b")).select("model_id", "var_id", "cluster", F.col("b.c").alias("to"), "b.gain")
+        wish = blocks.moves(held[1], held[0], blocks.labels(a, held[0], "cluster"), sign, r) if held else _moves(weighted, a, n, sign, r)
+        wish = Stored(wish).read()  # read twice
         wishes = wish.withColumn("r", F.row_number().over(Window.partitionBy("model_id", "cluster", "to").orderBy(F.desc("gain"), "var_id")))
         other = wishes.select("model_id", F.col("cluster").alias("to"), F.col("to").alias("cluster"), "r", F.col("gain").alias("gain2"))
         swaps = Stored(wishes.join(other, ["model_id", "cluster", "to", "r"]).where(F.col("gain") + F.col("gain2") > 1e-9).select("model_id", "var_id", F.col("to").alias("new")))
@@ -201,6 +230,13 @@ def refine(weighted: DataFrame, assignment: DataFrame, sense: str = "min", round
     return now.read()
 
 
+def _between(weighted: DataFrame, group: DataFrame, n: int) -> DataFrame:
+    """model_id, a, b, theta: summed weights between groups."""
+    a = few(group.select("model_id", F.col("var_id").alias("src"), F.col("group").alias("ga")), n)
+    b = few(group.select("model_id", F.col("var_id").alias("dst"), F.col("group").alias("gb")), n)
+    return weighted.join(a, ["model_id", "src"]).join(b, ["model_id", "dst"]).where("ga <> gb").groupBy("model_id", F.least("ga", "gb").alias("a"), F.greatest("ga", "gb").alias("b")).agg(F.sum("weight").alias("theta"))
+
+
 def coarse_partition(nodes: DataFrame, weighted: DataFrame, k: int, sense: str = "min", coarse_nodes: int = 200, rounds: int = 4) -> DataFrame:
     """model_id, var_id, cluster of large graphs: coarsen by heavy matching, cut the coarse graph densely, project, balance, refine.
 
@@ -214,18 +250,27 @@ def coarse_partition(nodes: DataFrame, weighted: DataFrame, k: int, sense: str =
     from .graph import random_partition
     from .inference import arrays
 
-    nodes, weighted = Stored(nodes.select("model_id", "var_id")).read(), Stored(weighted.repartitionByRange("model_id", "src")).read()
+    nodes = Stored(nodes.select("model_id", "var_id")).read()
+    n = nodes.count()
+    largest = nodes.groupBy("model_id").count().agg(F.max("count")).first()[0] if n else 0
+    cap = max(1.0, largest / k / 2)
+    ones = nodes.withColumn("mass", F.lit(1.0))
+    places = blocks.collected(ones, n)
+    # built once, for the matching, the places of the balance and every round of swaps
+    first = blocks.adjacency(places, weighted, cap) if places else None
+    held = (places, first) if first else None
+    if not held:
+        weighted = Stored(weighted.repartitionByRange("model_id", "src")).read()
     if sense == "max":
-        return refine(weighted, random_partition(nodes, k), "max", rounds)
+        return refine(weighted, random_partition(nodes, k), "max", rounds, held)
     ship(nodes.sparkSession)
-    largest = nodes.groupBy("model_id").count().agg(F.max("count")).first()[0]
-    cap = max(1.0, largest / k / 2)
     # the dense kernel takes the square of the groups, so their number is bounded, however large or scattered the graph is
-    group = Stored(bounded(heavy_matching(nodes, weighted, cap, 24, coarse_nodes, DENSE_NODES), DENSE_NODES)).read()
-    n = group.count()
-    a = few(group.select("model_id", F.col("var_id").alias("src"), F.col("group").alias("ga")), n)
-    b = few(group.select("model_id", F.col("var_id").alias("dst"), F.col("group").alias("gb")), n)
-    edges = weighted.join(a, ["model_id", "src"]).join(b, ["model_id", "dst"]).where("ga <> gb").groupBy("model_id", F.least("ga", "gb").alias("a"), F.greatest("ga", "gb").alias("b")).agg(F.sum("weight").alias("theta"))
+    if held:
+        found = blocks.grouped(ones, places, blocks.matched(places, first, cap, 24, coarse_nodes, DENSE_NODES))
+    else:
+        found = _matched_tables(ones, weighted, cap, 24, coarse_nodes, DENSE_NODES)
+    group = Stored(bounded(Stored(found).read(), DENSE_NODES)).read()
+    edges = blocks.between(first, places, places.finder()(places.model, blocks.labels(group, places, "group", long=True))) if held else _between(weighted, group, n)
     masses = group.groupBy("model_id", "group").agg(F.sum("mass").alias("theta"))
     packed = masses.select("model_id", F.col("group").alias("a"), F.lit(None).cast("long").alias("b"), "theta", F.lit(0).alias("cluster")).unionByName(edges.select("model_id", "a", "b", "theta", F.lit(None).cast("int").alias("cluster")))
 
@@ -251,9 +296,9 @@ def coarse_partition(nodes: DataFrame, weighted: DataFrame, k: int, sense: str =
         return pd.DataFrame({"model_id": pdf["model_id"].iloc[0], "group": ids, "cluster": best[1]})
 
     coarse = packed.groupBy("model_id").applyInPandas(run, "model_id long, group long, cluster int")
-    first = Stored(group.join(coarse, ["model_id", "group"]).select("model_id", "var_id", "cluster")).read()
-    balanced = Stored(rebalance(nodes, weighted, first, k)).read()
-    return refine(weighted, balanced, "min", rounds)
+    start = Stored(group.join(coarse, ["model_id", "group"]).select("model_id", "var_id", "cluster")).read()
+    balanced = Stored(rebalance(nodes, weighted, start, k, held)).read()
+    return refine(weighted, balanced, "min", rounds, held)
 
 
 def label_propagation(nodes: DataFrame, weighted: DataFrame, k: int, rounds: int = 5, seed: int = 1) -> DataFrame:
